@@ -34,18 +34,18 @@ def written(df: DataFrame, what: str) -> DataFrame:
 
 
 def mask_of(df: DataFrame, hashed: Column) -> DataFrame:
-    """The bits that the values of `hashed` set, as rows (mask_at, mask_word): at most 2**(MASK_BITS-6) rows however large df is."""
+    """The bits that the values of `hashed` set, as rows of words: at most 2**(MASK_BITS-6) rows however large df is."""
     bit = F.pmod(hashed, F.lit(1 << MASK_BITS))
-    at = df.select(F.shiftright(bit, 6).alias("mask_at"), (bit % 64).cast("int").alias("b"))
-    return at.groupBy("mask_at").agg(F.bit_or(F.expr("shiftleft(1L, b)")).alias("mask_word"))
+    at = df.select(F.shiftright(bit, 6).alias("mask at"), (bit % 64).cast("int").alias("bit"))
+    return at.groupBy("mask at").agg(F.bit_or(F.expr("shiftleft(1L, bit)")).alias("mask word"))
 
 
 def masked(df: DataFrame, hashed: Column, mask: DataFrame, flag: str = "in_mask") -> DataFrame:
     """df with a boolean: false means the value is surely not in the mask. The broadcast is bounded by the mask's size."""
     bit = F.pmod(hashed, F.lit(1 << MASK_BITS))
-    out = df.withColumn("mask_at", F.shiftright(bit, 6)).withColumn("mask_bit", (bit % 64).cast("int"))
-    out = out.join(F.broadcast(mask), "mask_at", "left")
-    return out.withColumn(flag, F.coalesce(F.expr("(shiftright(mask_word, mask_bit) & 1L) = 1L"), F.lit(False))).drop("mask_at", "mask_bit", "mask_word")
+    out = df.withColumn("mask at", F.shiftright(bit, 6)).withColumn("mask bit", (bit % 64).cast("int"))
+    out = out.join(F.broadcast(mask), "mask at", "left")
+    return out.withColumn(flag, F.coalesce(F.expr("(shiftright(`mask word`, `mask bit`) & 1L) = 1L"), F.lit(False))).drop("mask at", "mask bit", "mask word")
 
 
 def bytes_of(column: pa.Array | pa.ChunkedArray) -> tuple[np.ndarray, np.ndarray]:
