@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from tracegroup.llm import exact_dedup, mixing, ngram_join, packing, quality
 from tracegroup.llm.common import shared_dir
-from tracegroup.llm.queries import DOMAIN, quality_weights
+from tracegroup.llm.queries import domain, quality_weights
 
 #: Parts of the mix: nine tenths of the tokens that are left, no document twice.
 MIX = mixing.MixConfig(share_of_all=900, most_epochs=1)
@@ -34,7 +34,7 @@ def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """docs without those that the leaves' budgets have no room for."""
-    return mixing.mixed(docs, DOMAIN, MIX)
+    return mixing.mixed(docs, domain(), MIX)
 
 
 def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -67,14 +67,17 @@ def op6_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ngram_join.similar_groups(table(spark, sf_dir, "documents")).select("doc_id", "n_shingles", "component_id")
 
 
-#: The top level of the mix: a source's number, divided by four, names its domain.
-DOMAIN = F.expr("element_at(array('web', 'books', 'code', 'news'), pmod(coalesce(try_cast(regexp_extract(source, '([0-9]+)$', 1) as int), 0), 4) + 1)")
+def domain() -> Column:
+    """The top level of the mix: a source's number, divided by four, names its domain."""
+    return F.expr("element_at(array('web', 'books', 'code', 'news'), pmod(coalesce(try_cast(regexp_extract(source, '([0-9]+)$', 1) as int), 0), 4) + 1)")
+
+
 #: Target weights of the query; names that are not listed weigh 1.
 WEIGHTS = {"domain": {"web": 4, "books": 2}, "lang": {"en": 3, "de": 2}}
 
 
 def op9_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mixing.mix(table(spark, sf_dir, "documents"), DOMAIN, mixing.MixConfig(WEIGHTS))
+    return mixing.mix(table(spark, sf_dir, "documents"), domain(), mixing.MixConfig(WEIGHTS))
 
 
 def op10_quotes(spark: SparkSession, sf_dir: str) -> DataFrame:
