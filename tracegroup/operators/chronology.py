@@ -27,8 +27,8 @@ def numbered(reports: DataFrame, bucket_of: int = 1_000_003) -> DataFrame:
 def split(reports: DataFrame, parts: tuple[float, float, float] = PARTS) -> DataFrame:
     """reports with part: train, validation or test, by arrival_seq and the number of reports."""
     n = reports.agg(F.count("*").alias("n_reports"))
-    train, both = parts[0], round(parts[0] + parts[1], 9)
-    part = F.when(F.col("arrival_seq") <= F.lit(train) * F.col("n_reports"), "train").when(F.col("arrival_seq") <= F.lit(both) * F.col("n_reports"), "validation").otherwise("test")
+    train, both = round(parts[0] * 1000), round((parts[0] + parts[1]) * 1000)  # whole numbers, so that no border is rounded
+    part = F.when(F.col("arrival_seq") * 1000 <= F.col("n_reports") * train, "train").when(F.col("arrival_seq") * 1000 <= F.col("n_reports") * both, "validation").otherwise("test")
     return reports.join(F.broadcast(n), F.lit(True)).withColumn("part", part).drop("n_reports")
 
 

@@ -52,7 +52,7 @@ def orders_dense(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def sentences(text: Column) -> Column:
-    return F.filter(F.transform(F.split(F.coalesce(text, F.lit("")), r"[.\n]+"), F.trim), lambda x: x != "")
+    return F.filter(F.transform(F.split(F.coalesce(text, F.lit("")), r"[.\n]+"), lambda x: F.trim(x)), lambda x: x != "")
 
 
 def planted_docs(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -115,19 +115,26 @@ def label_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
     return docs.join(labels, "doc_id").select(F.col("doc_id").alias("report_id"), F.col("doc_id").alias("arrival"), sentences(F.col("text")).alias("frames"), F.concat_ws(",", F.col("quality").cast("string"), F.col("toxic").cast("string")).alias("category_id"), F.create_map(F.lit("lang"), "lang").alias("meta"))
 
 
-def benchmark_probe(spark: SparkSession, sf_dir: str) -> DataFrame:
+def benchmark_probe(spark: SparkSession, sf_dir: str, n: int = 8) -> DataFrame:
     """(item_id, doc_id): documents that contain a benchmark passage.
 
-    Passages and documents meet at the passage's longest sentence; whole containment is then looked up, so
-    no pair without a common sentence is ever made.
+    Passages and documents meet at a run of n words from inside the passage, which stands whole in any
+    document that has it; containment is then looked up. Passages too short for that are few words long
+    and are held against the documents that have their inner word.
     """
-    items = load(spark, sf_dir, "benchmark").select("item_id", F.col("text").alias("passage"))
-    inner = items.select("item_id", "passage", F.explode(F.slice(F.split("passage", r"[.\n]+"), 1, 10000)).alias("s")).withColumn("s", F.trim("s"))
-    key = inner.where("s != ''").groupBy("item_id").agg(F.max_by("s", F.struct(F.length("s"), "s")).alias("key"), F.first("passage").alias("passage"))
-    docs = load(spark, sf_dir, "documents").select("doc_id", "text")
-    spread = docs.select("doc_id", F.explode(F.array_distinct(sentences(F.col("text")))).alias("key"))
-    met = spread.join(key, "key").select("doc_id", "item_id", "passage").distinct()
-    return met.join(docs, "doc_id").where("contains(text, passage)").select("item_id", "doc_id")
+    words = lambda c: F.split(c, " ")
+    items = load(spark, sf_dir, "benchmark").select("item_id", F.col("text").alias("passage")).where("passage is not null").withColumn("w", words(F.col("passage")))
+    inside = F.slice("w", 2, F.greatest(F.least(F.size("w") - 2, F.lit(n)), F.lit(1)))
+    keyed = items.where("size(w) >= 3").select("item_id", "passage", F.size(inside).alias("m"), F.xxhash64(inside).alias("key"))
+    docs = load(spark, sf_dir, "documents").select("doc_id", "text").withColumn("w", words(F.coalesce("text", F.lit(""))))
+    used = keyed.select("m").distinct()
+    runs = docs.join(F.broadcast(used), F.lit(True)).where("size(w) >= m").select("doc_id", F.explode(F.array_distinct(F.transform(F.expr("sequence(1, size(w) - m + 1)"), lambda i: F.xxhash64(F.slice("w", i, F.col("m")))))).alias("key"))
+    met = runs.join(keyed, "key").select("doc_id", "item_id", "passage").distinct()
+    short = items.where("size(w) < 3")
+    found = met.join(docs.select("doc_id", "text"), "doc_id").where("contains(text, passage)").select("item_id", "doc_id")
+    if short.isEmpty():
+        return found
+    return found.unionByName(docs.join(F.broadcast(short), F.expr("contains(text, passage)")).select("item_id", "doc_id"))
 
 
 WORKLOADS = {
