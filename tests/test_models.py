@@ -54,7 +54,7 @@ def test_triplet_gradients(marker):
 
 
 def test_marker_and_order():
-    model = CrossEncoder(TINY)
+    model = CrossEncoder(EncoderConfig(vocab=12, token=6, frame=5, trace=8, seed=4))
     pair = [(TRACES[0], OTHERS[0])]
     apart = [(TRACES[2], OTHERS[1])]
     with_marker, alone = model.forward(pair)[0], model.forward(apart)[0]
