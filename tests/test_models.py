@@ -7,6 +7,7 @@ from tracegroup.operators import bpe, nn
 from tracegroup.operators.baselines import frame_edit_distance
 from tracegroup.operators.encoder import CrossEncoder, EncoderConfig, TraceEncoder, shared_marks, unit
 from tracegroup.operators.losses import bce_pair, info_nce
+from tracegroup.operators.neural_baselines import PairHead, pairwise_step
 from tracegroup.operators.train import TrainConfig, contrastive_step, triplet_step
 
 TINY = EncoderConfig(vocab=12, token=3, frame=2, trace=2, seed=4)
@@ -65,6 +66,17 @@ def test_marker_and_order():
     assert q.tolist() == [False, True, False, True] and c.tolist() == [False, True]
 
 
+def test_pairwise_gradients():
+    model = TraceEncoder(TINY)
+    head = PairHead(model.params, model.width)
+    step = lambda: pairwise_step(model, head, TRACES, OTHERS, OTHERS[::-1])
+    _, grads = step()
+    numeric(lambda: step()[0], model.params, grads, list(model.params))
+    u, v = RNG.normal(size=(3, model.width)), RNG.normal(size=(2, model.width))
+    want = [[head.forward(a[None], b[None])[0][0] for b in v] for a in u]
+    assert np.allclose(head.all_pairs()(u, v), want)
+
+
 def test_padding_does_not_count():
     model = TraceEncoder(TINY)
     one = np.concatenate([model.forward([t])[0] for t in TRACES + [[]]])

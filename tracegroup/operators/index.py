@@ -7,7 +7,7 @@ before the best are chosen.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -30,6 +30,10 @@ def _matrix(column: pa.Array) -> np.ndarray:
     return flat.reshape(len(column), -1) if len(column) else np.zeros((0, 1), np.float32)
 
 
+def _dots(q: np.ndarray, m: np.ndarray) -> np.ndarray:
+    return q @ m.T
+
+
 def _best(scores: np.ndarray, k: int) -> np.ndarray:
     """Column numbers of the k greatest of each row and of all that equal the k-th."""
     if scores.shape[1] <= k:
@@ -43,10 +47,10 @@ def merged(found: DataFrame, k: int) -> DataFrame:
     return found.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("q_id", "c_id", "score", "rank")
 
 
-def exact_topk(queries: DataFrame, base: DataFrame, k: int, causal: bool = True) -> DataFrame:
+def exact_topk(queries: DataFrame, base: DataFrame, k: int, causal: bool = True, similarity: Callable[[np.ndarray, np.ndarray], np.ndarray] | None = None) -> DataFrame:
     """Every query against every base row: a block of queries is broadcast, each task multiplies its rows and sends on its best.
 
-    The number of queries is checked; blocks of BLOCK bound what is broadcast.
+    Blocks of BLOCK queries bound what is broadcast. similarity(queries, rows) may replace the dot products.
     """
     out = None
     for block in _blocks(queries):
@@ -56,7 +60,8 @@ def exact_topk(queries: DataFrame, base: DataFrame, k: int, causal: bool = True)
             q_id, q_seq, q = shared.value
             for b in it:
                 ids, seq = b.column("id").to_numpy(zero_copy_only=False), b.column("seq").to_numpy()
-                s = np.round(q.astype(np.float64) @ _matrix(b.column("vec")).T.astype(np.float64), 9) if b.num_rows else np.zeros((len(q), 0))
+                m = _matrix(b.column("vec")).astype(np.float64)
+                s = np.round((similarity or _dots)(q.astype(np.float64), m), 9) if b.num_rows else np.zeros((len(q), 0))
                 if causal:
                     s = np.where(seq[None, :] < q_seq[:, None], s, -np.inf)
                 i, j = np.nonzero(_best(s, k))

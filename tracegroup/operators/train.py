@@ -162,8 +162,8 @@ def fit_embedding_on_tasks(batches: DataFrame, encoder: EncoderConfig, config: T
     return model, log
 
 
-def embed_all(toks: DataFrame, model: TraceEncoder, batch: int = 256) -> DataFrame:
-    """(fp, vec): unit vectors of distinct traces (fp, toks), a pass over them."""
+def embed_all(toks: DataFrame, model: TraceEncoder, batch: int = 256, scaled: bool = True) -> DataFrame:
+    """(fp, vec): vectors of distinct traces (fp, toks), of length 1 unless scaled=False, a pass over them."""
     config = model.config
     shared = toks.sparkSession.sparkContext.broadcast(dump(model.params))
 
@@ -175,7 +175,7 @@ def embed_all(toks: DataFrame, model: TraceEncoder, batch: int = 256) -> DataFra
             out: list = [None] * len(rows)
             for i in range(0, len(order), batch):
                 at = order[i : i + batch]
-                for k, v in zip(at, unit(own.forward([rows[k] for k in at])[0]).astype(np.float32), strict=True):
+                for k, v in zip(at, (unit if scaled else np.asarray)(own.forward([rows[k] for k in at])[0]).astype(np.float32), strict=True):
                     out[k] = v
             yield pa.RecordBatch.from_arrays([b.column("fp"), pa.array(out, pa.list_(pa.float32()))], ["fp", "vec"])
 

@@ -13,7 +13,7 @@ from dataclasses import replace
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tracegroup.operators import baselines, index, metrics, replay, train
+from tracegroup.operators import baselines, index, metrics, neural_baselines, replay, train
 from tracegroup.operators import chronology as ch
 from tracegroup.plans.queries import kept, scorer
 from tracegroup.plans.two_stage import TwoStage
@@ -37,6 +37,13 @@ def text_embedding_outcomes(reports: DataFrame, k: int = 10) -> DataFrame:
     return replay.outcomes(queries, replay.ranked(replay.category_scores(replay.earlier_pairs(queries, found, ch.index_entries(reports)))))
 
 
+def searched_outcomes(reports: DataFrame, search) -> DataFrame:
+    """Outcomes of a method that finds candidates itself: search(reports, queries) -> (q_fp, c_fp, score)."""
+    queries = ch.queries_of(reports)
+    found = replay.earlier_pairs(queries, search(reports, queries), ch.index_entries(reports))
+    return replay.outcomes(queries, replay.ranked(replay.category_scores(found)))
+
+
 def _measured(o: DataFrame) -> dict:
     o = written(o, "outcomes")
     return metrics.acc_at_1(o).first().asDict() | {"auc": metrics.roc_auc(o).first()["auc"]}
@@ -50,6 +57,8 @@ def accuracy(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("orders
         for system in FLAT:
             rows.append({"workload": name, "system": system} | _measured(replay.run(reports, scorer(system, reports))))
         rows.append({"workload": name, "system": "text embedding (stand-in)"} | _measured(text_embedding_outcomes(reports)))
+        for label, search in (("pairwise frame model", neural_baselines.pairwise_frames), ("package vectors", neural_baselines.package_vectors)):
+            rows.append({"workload": name, "system": label} | _measured(searched_outcomes(reports, search)))
         fitted = options(name).fit(reports)
         rows.append({"workload": name, "system": "two-stage"} | _measured(fitted.outcomes(reports)))
         fitted.cross = None

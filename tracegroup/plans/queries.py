@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from tracegroup.functions import frames as ff
-from tracegroup.operators import baselines, bpe, curate, decide, index, losses, metrics, pairs, replay
+from tracegroup.operators import baselines, bpe, curate, decide, index, losses, metrics, neural_baselines, pairs, replay
 from tracegroup.operators import chronology as ch
 from tracegroup.operators.components import resolve_roots
 from tracegroup.plans.two_stage import TwoStage
@@ -345,9 +345,23 @@ def two_stage_pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
     return TwoStage(sep=None).fit(reports).decisions(reports)
 
 
+def _found(search: Callable, spark: SparkSession, sf_dir: str) -> DataFrame:
+    reports = kept(spark, sf_dir, "planted_docs")
+    q = ch.queries_of(reports)
+    return replay.outcomes(q, replay.ranked(replay.category_scores(replay.earlier_pairs(q, search(reports, q), ch.index_entries(reports)))))
+
+
+def pairwise_frames(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _found(neural_baselines.pairwise_frames, spark, sf_dir)
+
+
+def package_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _found(neural_baselines.package_vectors, spark, sf_dir)
+
+
 def queries() -> dict[str, Query]:
     found: dict[str, Query] = {f"reports_{name}": partial(_named(report_rows), name) for name in REPORT_TABLES}
-    for f in (fingerprints, identical_shortcut, skip_identical, chrono_split, shared_traces, dataset_stats, frame_parts, bpe_piece_counts, bpe_first_pairs, bpe_merges, bpe_encoded_lengths, positive_pair_counts, positive_pairs_capped, pair_batches, triplet_draws, info_nce_on_embeddings, bce_on_embeddings, exact_topk_embeddings, causal_best_match, ivf_full_probe, ann_recall, lsh_bucket_keys, category_scores, shared_frame_flags, shared_frame_counts, char_edit_distance, llm_concat_text, acc_at_k, roc_points, decisions, skip_rule_effect, category_roots, curate_reviewed, curate_foreign, benchmark_probe, acc_rollup_region, acc_pivot, new_category_rate_hourly, moving_acc, session_traces, burst_windows, arrival_gaps, embedding_pipeline, two_stage_pipeline):
+    for f in (fingerprints, identical_shortcut, skip_identical, chrono_split, shared_traces, dataset_stats, frame_parts, bpe_piece_counts, bpe_first_pairs, bpe_merges, bpe_encoded_lengths, positive_pair_counts, positive_pairs_capped, pair_batches, triplet_draws, info_nce_on_embeddings, bce_on_embeddings, exact_topk_embeddings, causal_best_match, ivf_full_probe, ann_recall, lsh_bucket_keys, category_scores, shared_frame_flags, shared_frame_counts, char_edit_distance, llm_concat_text, acc_at_k, roc_points, decisions, skip_rule_effect, category_roots, curate_reviewed, curate_foreign, benchmark_probe, acc_rollup_region, acc_pivot, new_category_rate_hourly, moving_acc, session_traces, burst_windows, arrival_gaps, pairwise_frames, package_vectors, embedding_pipeline, two_stage_pipeline):
         found[f.__name__] = f
     for style in ("camel", "snake"):
         found[f"frame_pieces_{style}"] = partial(frame_pieces, style)
