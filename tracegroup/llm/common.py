@@ -1,36 +1,31 @@
-"""Shared pieces: tables in the shared folder, bounded membership masks, batch slicing, components."""
+"""Shared pieces: bounded membership masks, batch slicing; tables in the shared folder and components come from the engine."""
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from tracegroup.operators.components import components
+from tracegroup.sources.storage import shared_dir, written
+
+__all__ = ["components", "shared_dir", "written"]
+
 #: A membership mask has 2**MASK_BITS bits, so at most 2**(MASK_BITS - 6) rows of one word each.
 MASK_BITS = 24
 #: Text bytes that a kernel works on at a time (a longer text is taken alone).
-SLICE_BYTES = 4 << 20
-
+SLICE_BYTES = 2 << 20
+#: Bytes of a record batch.
+BATCH_BYTES = 8 << 20
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or one of our own where it is unset."""
-    found = spark.conf.get("spark.checkpoint.dir", None)
-    if not found:
-        current = spark.sparkContext._jsc.sc().getCheckpointDir()
-        found = current.get() if current.isDefined() else "/tmp/tracegroup-checkpoints"
-    return found.rstrip("/")
 
-
-def written(df: DataFrame, what: str) -> DataFrame:
-    """Write df as Parquet below the shared folder and read it back: lineage ends there, and a lost executor costs nothing."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/{what}-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+def small_batches(df: DataFrame) -> DataFrame:
+    """df, after a runtime setting that keeps the record batches that Python is given to a few MB; a longer row is a batch of its own."""
+    df.sparkSession.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(BATCH_BYTES))
+    return df
 
 
 def mask_of(df: DataFrame, hashed: Column) -> DataFrame:
@@ -40,12 +35,12 @@ def mask_of(df: DataFrame, hashed: Column) -> DataFrame:
     return at.groupBy("mask at").agg(F.bit_or(F.expr("shiftleft(1L, bit)")).alias("mask word"))
 
 
-def masked(df: DataFrame, hashed: Column, mask: DataFrame, flag: str = "in_mask") -> DataFrame:
-    """df with a boolean: false means the value is surely not in the mask. The broadcast is bounded by the mask's size."""
+def masked(df: DataFrame, hashed: Column, mask: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Rows of df that may be in the mask, and those that surely are not. The broadcast is bounded by the mask's size; columns of any name pass."""
     bit = F.pmod(hashed, F.lit(1 << MASK_BITS))
-    out = df.withColumn("mask at", F.shiftright(bit, 6)).withColumn("mask bit", (bit % 64).cast("int"))
-    out = out.join(F.broadcast(mask), "mask at", "left")
-    return out.withColumn(flag, F.coalesce(F.expr("(shiftright(`mask word`, `mask bit`) & 1L) = 1L"), F.lit(False))).drop("mask at", "mask bit", "mask word")
+    rows = df.select(F.struct(*[F.col(f"`{c}`") for c in df.columns]).alias("given"), F.shiftright(bit, 6).alias("mask at"), (bit % 64).cast("int").alias("mask bit"))
+    found = rows.join(F.broadcast(mask), "mask at", "left").withColumn("hit", F.coalesce(F.expr("(shiftright(`mask word`, `mask bit`) & 1L) = 1L"), F.lit(False)))
+    return found.where("hit").select("given.*"), found.where("not hit").select("given.*")
 
 
 def bytes_of(column: pa.Array | pa.ChunkedArray) -> tuple[np.ndarray, np.ndarray]:
@@ -77,30 +72,3 @@ def batches(**columns) -> Iterator[pa.RecordBatch]:
     batch = pa.RecordBatch.from_pydict(columns)
     if batch.num_rows:
         yield batch
-
-
-def components(edges: DataFrame, what: str = "components", most_rounds: int = 60) -> DataFrame:
-    """(node, component): the smallest node reachable over the edges (a, b), for every node of an edge.
-
-    Alternates large-star and small-star steps: each node's larger neighbours, then its smaller ones,
-    are hung on the smallest one known. Both are a min per node and an equi-join, so no group is ever
-    gathered; rounds grow with the logarithm of a component's diameter.
-    """
-    pairs = written(edges.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).where("a < b").distinct(), what)
-    before = None
-    for _ in range(most_rounds):
-        both = pairs.select(F.col("b").alias("u"), F.col("a").alias("v")).unionByName(pairs.select(F.col("a").alias("u"), F.col("b").alias("v")))
-        low = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("low"))
-        large = both.where("v > u").join(low, "u").select(F.col("low").alias("a"), F.col("v").alias("b")).where("a < b").distinct()
-        low2 = large.groupBy(F.col("b").alias("u")).agg(F.min("a").alias("low"))
-        small = large.join(low2, large["b"] == low2["u"]).select("low", F.col("a").alias("x"), "b")
-        nxt = small.select(F.col("low").alias("a"), "b").unionByName(small.select(F.col("low").alias("a"), F.col("x").alias("b"))).where("a < b").distinct()
-        pairs = written(nxt, what)
-        now = pairs.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
-        if now == before:
-            break
-        before = now
-    else:
-        raise RuntimeError(f"components did not settle in {most_rounds} rounds")
-    stars = pairs.groupBy(F.col("b").alias("node")).agg(F.min("a").alias("component"))
-    return stars.unionByName(pairs.select(F.col("a").alias("node"), F.col("a").alias("component")).distinct())

@@ -19,13 +19,13 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import BinaryType, LongType, StringType, StructType
 
-from tracegroup.llm.common import mask_of, masked, written
+from tracegroup.llm.common import mask_of, masked, small_batches, written
 
 PRIME = (1 << 61) - 1
 BASE = 0x1F3B5C7D9E8A6421 % PRIME
 CHUNK = 1 << 16
 #: Texts that a task keeps at hand to find repeats before anything is shuffled.
-LOCAL_BYTES = 48 << 20
+LOCAL_BYTES = 32 << 20
 
 
 @lru_cache(maxsize=4)
@@ -132,14 +132,15 @@ def exact_groups(docs: DataFrame, id_col: str = "doc_id", text: str = "text", pa
     a group of copies about one text per task is shuffled; these heads meet in fingerprint order, and
     are compared chunk by chunk. False bits cost a shuffle of that text, never a wrong result.
     """
+    small_batches(docs)
     columns = docs.columns if payload else [id_col]
     light = docs.select(F.col(f"`{text}`"))
     again = _hashed(light, text, prime, False, False, parallel_bytes).groupBy("fp", "n_bytes").agg(F.count("*").alias("n")).where("n > 1")
     mask = written(mask_of(again, _bucket()), "exact-mask")
     row = F.struct(*[F.col(f"`{c}`") for c in columns]).alias("row")
     scanned = _hashed(docs.select(F.col(f"`{id_col}`").cast("long").alias("id"), row, F.col(f"`{text}`").alias("t")), "t", prime, True, True, 0).drop("t")
-    scanned = masked(scanned, _bucket(), mask)
-    alone = scanned.where(~F.col("in_mask")).select("row", F.col("id").alias("keep_id"), F.lit(1).cast("long").alias("group_size"), F.lit(True).alias("kept"), "n_bytes", "text_sha256")
+    met, alone = masked(scanned, _bucket(), mask)
+    alone = alone.select("row", F.col("id").alias("keep_id"), F.lit(1).cast("long").alias("group_size"), F.lit(True).alias("kept"), "n_bytes", "text_sha256")
 
     heads_kind = StructType([*scanned.select("id", "row", "fp", "n_bytes", "text_sha256", "body").schema.fields]).add("uid", LongType()).add("head", LongType())
 
@@ -165,7 +166,7 @@ def exact_groups(docs: DataFrame, id_col: str = "doc_id", text: str = "text", pa
             cols = [batch.column(c) for c in ("id", "row", "fp", "n_bytes", "text_sha256")]
             yield pa.RecordBatch.from_arrays([*cols, pa.array(body, pa.binary()), pa.array(uid, pa.int64()), pa.array(head, pa.int64())], heads_kind.names)
 
-    members = written(scanned.where("in_mask").select("id", "row", "fp", "n_bytes", "text_sha256", "body").mapInArrow(local, heads_kind), "exact-members")
+    members = written(met.select("id", "row", "fp", "n_bytes", "text_sha256", "body").mapInArrow(local, heads_kind), "exact-members")
 
     class_kind = StructType().add("uid", LongType()).add("class", LongType())
 

@@ -13,6 +13,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from tracegroup.llm.common import small_batches
+
 #: Notices that licences ask for or that name them, as published.
 TEMPLATES: dict[str, str] = {
     "MIT-notice": "Released under the MIT License.",
@@ -120,5 +122,5 @@ def scan(docs: DataFrame, templates: Mapping[str, str] = TEMPLATES, threshold: f
             best = [m[0] if m else None for m in all_]
             yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array([b and b["template"] for b in best], pa.string()), pa.array([b and b["dice"] for b in best], pa.float64()), pa.array(all_, kind)], ["id", "licence", "dice", "matches"])
 
-    out = docs.select(F.col(f"`{id_col}`").cast("long").alias("id"), F.col(f"`{text}`").alias("t")).mapInArrow(run, "id long, licence string, dice double, matches array<struct<template:string,dice:double,low:long,high:long>>")
+    out = small_batches(docs).select(F.col(f"`{id_col}`").cast("long").alias("id"), F.col(f"`{text}`").alias("t")).mapInArrow(run, "id long, licence string, dice double, matches array<struct<template:string,dice:double,low:long,high:long>>")
     return out.withColumnRenamed("id", id_col)

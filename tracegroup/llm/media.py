@@ -11,6 +11,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from tracegroup.llm.common import small_batches
+
 UNIT = 192
 WIDTH = 64
 
@@ -148,7 +150,7 @@ def with_media(docs: DataFrame, id_col: str = "doc_id", text: str = "text", form
             hashes.append(f"{difference_hash(luma(samples)):016x}")
         return pa.RecordBatch.from_arrays([batch.column("id"), pa.array(size, pa.int64()), pa.array(media, pa.binary()), pa.array(back, pa.binary()), pa.array(tiles, pa.binary()), pa.array(hashes)], ["id", "n_bytes", "media", "payload", "tile", "difference_hash"])
 
-    out = docs.select(F.col(f"`{id_col}`").cast("long").alias("id"), F.col(f"`{text}`").alias("t")).mapInArrow(run, "id long, n_bytes long, media binary, payload binary, tile binary, difference_hash string")
+    out = small_batches(docs).select(F.col(f"`{id_col}`").cast("long").alias("id"), F.col(f"`{text}`").alias("t")).mapInArrow(run, "id long, n_bytes long, media binary, payload binary, tile binary, difference_hash string")
     return out.withColumnRenamed("id", id_col)
 
 

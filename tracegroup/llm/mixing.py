@@ -120,8 +120,5 @@ def mix(docs: DataFrame, domain: Column, config: MixConfig = MixConfig(), id_col
 def mixed(docs: DataFrame, domain: Column, config: MixConfig) -> DataFrame:
     """docs without the rows that the mix leaves out, for most_epochs = 1. Columns as given; only rows that may be left out are shuffled."""
     out = written(mix(docs, domain, config).where("copies = 0").select("doc_id").distinct(), "mix-out")
-    split = masked(docs, F.xxhash64("doc_id"), mask_of(out, F.xxhash64("doc_id")), "may be out")
-    sure = split.where("not `may be out`").drop("may be out")
-    d = split.where("`may be out`").drop("may be out")
-    gone = out.withColumnRenamed("doc_id", "left out id")
-    return sure.unionByName(d.join(gone, d["doc_id"].eqNullSafe(gone["left out id"]), "left_anti"))
+    near, sure = masked(docs, F.xxhash64("doc_id"), mask_of(out, F.xxhash64("doc_id")))
+    return sure.unionByName(near.join(out, near["doc_id"].eqNullSafe(out["doc_id"]), "left_anti"))

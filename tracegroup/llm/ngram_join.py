@@ -13,11 +13,11 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from tracegroup.llm import bytehash
-from tracegroup.llm.common import bytes_of, components, mask_of, masked, slices, written
+from tracegroup.llm.common import bytes_of, components, mask_of, masked, slices, small_batches, written
 
 GROUPS = 32
 #: Texts per leaf of the tree.
@@ -25,6 +25,12 @@ LEAF = 32
 #: Entries of the list of frequent shingles. It only orders shingles, so no result depends on it.
 FREQUENT = 100_000
 WORDS = 5
+#: How often the nodes of a block are held against one of them before all that is left is looked at.
+ROUNDS = 3
+#: Nodes of a block that the others are held against in a round.
+HEADS = 12
+#: How many of them each node is compared with: those it shares most with.
+BEST = 6
 #: Similarity: 100 * shared >= PERCENT * united.
 PERCENT = 75
 
@@ -196,6 +202,17 @@ def _blocks(postings: DataFrame) -> DataFrame:
     return dealt.mapInArrow(run, "shingle long, node long, leader long, second boolean")
 
 
+def _enough(common: Column, na: Column, nb: Column) -> Column:
+    """Whether two sets with so many common shingles among their rarest can be similar enough.
+
+    Of the two, take the one whose rarest shingles end first: all that it shares there is counted, and
+    beyond it has no more than its other shingles to share. Which one that is need not be known, as the
+    larger rest is allowed for.
+    """
+    rest = F.greatest(F.ceil(na * PERCENT / 100), F.ceil(nb * PERCENT / 100)) - 1
+    return (100 + PERCENT) * (common + rest) >= PERCENT * (na + nb)
+
+
 def _bounded(pairs: DataFrame) -> DataFrame:
     """Pairs (a, b, na, nb, pa, pb) that sizes and summed coordinate minima leave, as (a, b)."""
 
@@ -240,59 +257,66 @@ def _verified(pairs: DataFrame, texts: DataFrame) -> DataFrame:
 
 
 def _cross(members: DataFrame) -> DataFrame:
-    """Pairs (a, b) of a block's nodes that are of different components and that the tree's bounds leave.
+    """Pairs (a, b, na, nb, common) of different components that the tree's bounds leave, with the number of blocks they share.
 
-    members: shingle, node, part (component so far), n, point.
+    members: shingle, node, part (component so far), n, point. Whether the bounds leave a pair does not
+    depend on the block, so every shared block counts.
     """
 
-    def block(node: np.ndarray, part: np.ndarray, n: np.ndarray, point: list[bytes]) -> Iterator[pa.RecordBatch]:
-        tree = CountTree(np.frombuffer(b"".join(point), np.int32).reshape(-1, GROUPS), n, part)
-        for i, j in tree.pairs():
-            x, y = node[i], node[j]
-            yield pa.RecordBatch.from_arrays([pa.array(np.minimum(x, y)), pa.array(np.maximum(x, y))], ["a", "b"])
+    def flush(held: list[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        table = pa.Table.from_batches(held).combine_chunks()
+        key, node, part, n = (table.column(c).to_numpy() for c in ("shingle", "node", "part", "n"))
+        cut = np.concatenate([[0], np.flatnonzero(key[1:] != key[:-1]) + 1, [len(key)]])
+        size = np.diff(cut)
+        mixed = np.minimum.reduceat(part, cut[:-1]) != np.maximum.reduceat(part, cut[:-1])
+        if not mixed.any():
+            return
+        points = np.frombuffer(b"".join(table.column("point").to_pylist()), np.int32).reshape(-1, GROUPS)
+        first = cut[:-1][mixed & (size == 2)]  # blocks of two are bounded all at once
+        sizes = n[first] + n[first + 1]
+        fits = (100 + PERCENT) * np.minimum(points[first], points[first + 1]).sum(1, dtype=np.int64) >= PERCENT * sizes
+        fits &= (100 * n[first] >= PERCENT * n[first + 1]) & (100 * n[first + 1] >= PERCENT * n[first])
+        x, y = [first[fits]], [first[fits] + 1]
+        for g in np.flatnonzero(mixed & (size > 2)):
+            a, b = cut[g], cut[g + 1]
+            for i, j in CountTree(points[a:b], n[a:b], part[a:b]).pairs():
+                x.append(i + a)
+                y.append(j + a)
+        i, j = np.concatenate(x), np.concatenate(y)
+        if len(i):
+            swap = node[i] > node[j]
+            i, j = np.where(swap, j, i), np.where(swap, i, j)
+            both = pa.table({"a": node[i], "b": node[j], "na": n[i], "nb": n[j]}).group_by(["a", "b", "na", "nb"]).aggregate([([], "count_all")])
+            for batch in both.combine_chunks().to_batches():
+                yield pa.RecordBatch.from_arrays([batch.column(c) for c in ("a", "b", "na", "nb", "count_all")], ["a", "b", "na", "nb", "common"])
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[pa.RecordBatch] = []
-
-        def flush(table: pa.Table) -> Iterator[pa.RecordBatch]:
-            key, node, part, n = (table.column(c).to_numpy() for c in ("shingle", "node", "part", "n"))
-            cut = np.concatenate([[0], np.flatnonzero(key[1:] != key[:-1]) + 1, [len(key)]])
-            low, high = np.minimum.reduceat(part, cut[:-1]), np.maximum.reduceat(part, cut[:-1])
-            point = table.column("point")
-            found = []
-            for g in np.flatnonzero(low != high):
-                a, b = cut[g], cut[g + 1]
-                found += block(node[a:b], part[a:b], n[a:b], point.slice(a, b - a).to_pylist())
-            if found:
-                both = pa.Table.from_batches(found)
-                yield from both.group_by(["a", "b"]).aggregate([]).combine_chunks().to_batches()
-
+        rows = 0
         for batch in it:
             if not batch.num_rows:
                 continue
             key = batch.column("shingle").to_numpy()
-            cut = int(np.searchsorted(key, key[-1])) if np.all(key[1:] >= key[:-1]) else 0
-            if held and cut:
-                held.append(batch.slice(0, cut))
-                yield from flush(pa.Table.from_batches(held))
-                held = [batch.slice(cut)]
-            elif held and key[0] == held[-1].column("shingle")[-1].as_py():
-                held.append(batch)
-            else:
-                if held:
-                    yield from flush(pa.Table.from_batches(held))
+            cut = int(np.searchsorted(key, key[-1]))  # where the last, perhaps unfinished, block begins
+            if cut or (held and key[0] != held[-1].column("shingle")[-1].as_py()):
                 if cut:
-                    yield from flush(pa.Table.from_batches([batch.slice(0, cut)]))
-                held = [batch.slice(cut)]
+                    held.append(batch.slice(0, cut))
+                if rows + cut >= 50_000:
+                    yield from flush(held)
+                    held, rows = [], 0
+                held.append(batch.slice(cut))
+            else:
+                held.append(batch)
+            rows += batch.num_rows
         if held:
-            yield from flush(pa.Table.from_batches(held))
+            yield from flush(held)
 
     dealt = members.repartition("shingle").sortWithinPartitions("shingle", "node")
-    return dealt.mapInArrow(run, "a long, b long")
+    return dealt.mapInArrow(run, "a long, b long, na long, nb long, common long")
 
 
 def similar_groups(docs: DataFrame, id_col: str = "doc_id", text: str = "text") -> DataFrame:
-    """Per row of docs: id, n_shingles, component_id, and node (its shingle set's name).
+    """Per row of docs: id, n_shingles, component_id, class (one for all rows of a component, null without words) and tk, a hash of the text.
 
     Words are runs of bytes other than white space, A-Z lower-cased; a text's set has its distinct runs of
     five words, or the whole sequence if it is shorter. Rows link when 100 * shared >= 75 * united; a
@@ -301,12 +325,13 @@ def similar_groups(docs: DataFrame, id_col: str = "doc_id", text: str = "text")
     Repeated rows and texts with equal sets are one node; rows stay. Empty tables give empty results.
 
     Plan. Nodes meet at their rarest shingles (about a quarter of each set, by an order that puts frequent
-    ones last). First each block's nodes are held against its first node only, which costs a pair per row,
-    and links are gathered into components. Then pairs across components inside a block pass the R-tree's
-    bounds; the few that are left are verified. Pairs within a component need no further look, so groups
+    ones last). First, a few times over, each node is held against a few other nodes, those of some
+    that share most with it, which costs a few pairs per node, and links are gathered into components. Then all pairs across components
+    inside a block pass the R-tree's bounds, and must share enough of their rarest shingles; the few that
+    are left are verified. Pairs within a component need no further look, so groups
     of near copies never cost all their pairs.
     """
-    profile = written(_profile(docs, id_col, text), "shingle-profile")
+    profile = written(_profile(small_batches(docs), id_col, text), "shingle-profile")
     rows = profile.where("kind = 0").drop("kind")
     often = profile.where("kind = 1").groupBy("node").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "node").limit(FREQUENT)
     frequent = {r["node"]: r["n"] for r in often.collect()}
@@ -314,52 +339,79 @@ def similar_groups(docs: DataFrame, id_col: str = "doc_id", text: str = "text")
     nodes = written(nodes, "shingle-nodes")
     blocks = written(_blocks(_postings(docs, text, frequent)), "shingle-blocks")
 
-    star = blocks.select(F.col("leader").alias("a"), F.col("node").alias("b")).distinct()
     side = nodes.select("node", "n", "point")
-    sized = star.join(side.toDF("a", "na", "pa"), "a").join(side.toDF("b", "nb", "pb"), "b")
-    texts = _texts(docs, text, nodes, blocks)
-    links = written(_verified(written(_bounded(sized), "star-pairs"), texts), "star-links")
-    parts = written(components(links), "star-parts")
-
     members = blocks.select("shingle", "node").unionByName(blocks.where("second").select("shingle", F.col("leader").alias("node")))
-    known = side.join(parts, "node", "left").select("node", "n", "point", F.coalesce("component", "node").alias("part"))
-    cross = written(_cross(members.join(known, "node").select("shingle", "node", "part", "n", "point")).distinct(), "cross-pairs")
-    more = written(_verified(cross, texts), "cross-links")
+    parts = tried = found = None
+    for turn in range(ROUNDS):
+        told = members.withColumn("part", F.col("node")).withColumn("degree", F.lit(0)) if parts is None else members.join(parts, "node", "left").select("shingle", "node", F.coalesce("component", "node").alias("part"), F.coalesce("degree", F.lit(0)).alias("degree"))
+        # other nodes of each block are held against the rest every time, rather those that many have linked with
+        even = lambda k: (F.pmod(F.xxhash64("node", F.lit(HEADS * turn + k)), F.lit(1 << 30)) + 1) / (1 << 30)  # noqa: E731, B023
+        first = [F.min(F.struct((-F.log(even(k)) / (1 + F.col("degree"))).alias("h"), F.col("node").alias("a"), F.col("part").alias("p"))).alias(f"first{k}") for k in range(HEADS)]
+        heads = told.groupBy("shingle").agg(F.min("part").alias("low"), F.max("part").alias("high"), *first).where("low != high").select("shingle", F.array_distinct(F.array(*[F.struct(f"first{k}.a", f"first{k}.p") for k in range(HEADS)])).alias("first"))
+        open_ = written(told.join(heads, "shingle").select("shingle", "node", "part", "first"), "open-blocks")
+        members = open_.select("shingle", "node")
+        met = open_.select("node", "part", F.explode("first").alias("f")).where("part != f.p").groupBy(F.col("f.a").alias("a"), F.col("node").alias("b")).agg(F.count("*").alias("common"))
+        if tried is not None:
+            met = met.join(tried, (F.least(met["a"], met["b"]) == tried["x"]) & (F.greatest(met["a"], met["b"]) == tried["y"]), "left_anti")
+        size = nodes.select("node", "n")
+        sized = met.join(size.toDF("a", "na"), "a").join(size.toDF("b", "nb"), "b").where(_enough(F.col("common"), F.col("na"), F.col("nb")))
+        # a text meets no more heads than it has blocks, so this list is bounded by its length
+        best = sized.groupBy("b", "nb").agg(F.slice(F.sort_array(F.collect_list(F.struct("common", "a", "na")), asc=False), 1, BEST).alias("s")).select("b", "nb", F.explode("s").alias("s")).select("b", "nb", "s.a", "s.na")
+        point = nodes.select("node", "point")
+        best = best.join(point.toDF("a", "pa"), "a").join(point.toDF("b", "pb"), "b")
+        likely = written(_bounded(best).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "star-pairs")
+        now = likely.select(F.col("a").alias("x"), F.col("b").alias("y"))
+        tried = now if tried is None else tried.unionByName(now)
+        links = written(_verified(likely, _texts(docs, text, nodes, likely)), "star-links")
+        if links.isEmpty():
+            break
+        stars = links if parts is None else links.unionByName(parts.select(F.col("node").alias("a"), F.col("component").alias("b")))
+        found = links if found is None else found.unionByName(links)
+        degree = found.select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count("*").alias("degree"))
+        parts = written(components(stars).join(degree, "node", "left"), "star-parts")
+
+    if parts is None:
+        parts = nodes.select("node", F.col("node").alias("component")).where("false")
+    told = members.join(parts, "node", "left").select("shingle", "node", F.coalesce("component", "node").alias("part"))
+    split = told.groupBy("shingle").agg(F.min("part").alias("low"), F.max("part").alias("high")).where("low != high").select("shingle")
+    open_ = told.join(split, "shingle").join(side, "node").select("shingle", "node", "part", "n", "point")
+    cross = _cross(open_).groupBy("a", "b", "na", "nb").agg(F.sum("common").alias("common")).where(_enough(F.col("common"), F.col("na"), F.col("nb"))).select("a", "b")
+    cross = written(cross.join(tried.distinct(), (cross["a"] == tried["x"]) & (cross["b"] == tried["y"]), "left_anti"), "cross-pairs")
+    more = written(_verified(cross, _texts(docs, text, nodes, cross)), "cross-links")
     if not more.isEmpty():
         stars = parts.select(F.col("node").alias("a"), F.col("component").alias("b"))
         parts = components(stars.unionByName(more))
-    named = nodes.select("node", "low").join(parts, "node", "left").select("node", "low", F.coalesce("component", "node").alias("part"))
-    lowest = named.groupBy("part").agg(F.min("low").alias("component_id"))
-    names = named.join(lowest, "part").select("node", "component_id")
-    out = rows.join(names, "node", "left").select(F.col("id").alias(id_col), F.col("n").alias("n_shingles"), F.when(F.col("node").isNull(), F.col("id")).otherwise(F.col("component_id")).alias("component_id"), "node")
-    return out
+    named = nodes.select("node", "low").join(parts, "node", "left").select("node", "low", F.coalesce("component", "node").alias("class"))
+    lowest = named.groupBy("class").agg(F.min("low").alias("component_id"))
+    names = named.join(lowest, "class").select("node", "class", "component_id")
+    told = rows.join(names, "node", "left").withColumn("component_id", F.when(F.col("node").isNull(), F.col("id")).otherwise(F.col("component_id")))
+    return told.select(F.col("id").alias(id_col), F.col("n").alias("n_shingles"), "component_id", "class", "tk")
 
 
-def _texts(docs: DataFrame, text: str, nodes: DataFrame, blocks: DataFrame) -> DataFrame:
-    """(node, t): one text for every node of a block. A mask of bounded size keeps other texts from being shuffled."""
-    wanted = blocks.select("node").unionByName(blocks.where("second").select(F.col("leader").alias("node"))).distinct().join(nodes.select("node", "tk"), "node")
+def _texts(docs: DataFrame, text: str, nodes: DataFrame, pairs: DataFrame) -> DataFrame:
+    """(node, t): one text for every node of a pair. A mask of bounded size keeps other texts from being shuffled."""
+    wanted = pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).distinct().join(nodes.select("node", "tk"), "node")
     wanted = written(wanted, "shingle-wanted")
     given = docs.select(F.coalesce(F.col(f"`{text}`"), F.lit("")).alias("t")).withColumn("tk", F.xxhash64("t"))
-    found = masked(given, F.col("tk"), mask_of(wanted, F.col("tk"))).where("in_mask").groupBy("tk").agg(F.first("t").alias("t"))
+    found = masked(given, F.col("tk"), mask_of(wanted, F.col("tk")))[0].groupBy("tk").agg(F.first("t").alias("t"))
     return written(wanted.join(found, "tk").select("node", "t"), "shingle-texts")
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
-    """docs with one row of each component: that of the smallest doc_id; of rows that share it, one. Columns as given.
+    """docs with one row of each component: that of the smallest doc_id (a null one counts as largest); of equal rows, one. Columns as given.
 
-    Rows that have no link and no equal row are passed on where they are read; only others are shuffled.
+    Rows are told apart by id and text. Those that surely have no link and no equal row are passed on where
+    they are read; only others are shuffled.
     """
-    groups = similar_groups(docs)
-    size = groups.groupBy("component_id").agg(F.count("*").alias("n")).where("n > 1")
-    crowded = written(groups.join(size, "component_id").select("doc_id", "component_id"), "crowded")
-    lost = crowded.where(~F.col("doc_id").eqNullSafe(F.col("component_id"))).select("doc_id").distinct()
-    twice = crowded.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1").select("doc_id")
-    touched = written(lost.withColumn("lost", F.lit(True)).unionByName(twice.withColumn("lost", F.lit(False))).groupBy("doc_id").agg(F.max("lost").alias("lost")), "touched")
-    split = masked(docs, F.xxhash64("doc_id"), mask_of(touched, F.xxhash64("doc_id")), "may be touched")
-    calm = split.where("not `may be touched`").drop("may be touched")
-    d = split.where("`may be touched`").drop("may be touched")
-    named = touched.withColumnsRenamed({"doc_id": "touched id", "lost": "touched lost"})
-    met = d.join(named, d["doc_id"].eqNullSafe(named["touched id"]), "left").where("`touched lost` is null or not `touched lost`")
-    single = met.where("`touched lost` is null").drop("touched id", "touched lost")
-    repeated = met.where("not `touched lost`").drop("touched id", "touched lost").dropDuplicates(["doc_id"])
+    groups = written(similar_groups(docs).where("class is not null"), "near-groups")
+    key = F.struct(F.col("doc_id").isNull().alias("none"), F.col("doc_id").alias("id"), F.col("tk").alias("tk"))
+    size = groups.groupBy("class").agg(F.count("*").alias("n"), F.min(key).alias("keep")).where("n > 1")
+    crowded = groups.join(size, "class").select("doc_id", "tk", (key == F.col("keep")).alias("stays"))
+    touched = written(crowded.groupBy("doc_id", "tk").agg(F.max("stays").alias("stays")), "near-touched")
+    tk = F.xxhash64(F.coalesce(F.col("text"), F.lit("")))
+    near, calm = masked(docs, F.xxhash64(F.col("doc_id"), tk), mask_of(touched, F.xxhash64("doc_id", "tk")))
+    d = near.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("given"), F.col("doc_id").alias("own"), tk.alias("own_tk"))
+    met = d.join(touched, d["own"].eqNullSafe(touched["doc_id"]) & (d["own_tk"] == touched["tk"]), "left").where("stays is null or stays").select("given", "own", "own_tk", "stays")
+    single = met.where("stays is null").select("given.*")
+    repeated = met.where("stays").dropDuplicates(["own", "own_tk"]).select("given.*")
     return calm.unionByName(single).unionByName(repeated)

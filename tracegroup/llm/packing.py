@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from tracegroup.llm import bytehash
-from tracegroup.llm.common import bytes_of, slices, written
+from tracegroup.llm.common import bytes_of, slices, small_batches, written
 
 SIZE = 2048
 
@@ -175,7 +175,7 @@ def pieces(docs: DataFrame, id_col: str = "doc_id", text: str = "text", size: in
         row, *cols = zip(*out, strict=True)
         return pa.RecordBatch.from_arrays([doc.take(pa.array(row)), pa.array(cols[0], pa.int32()), *(pa.array(c, pa.int64()) for c in cols[1:]), pa.array(np.full(len(row), part), pa.int32())], ["id", "piece", "start", "length", "ids_crc32", "nth", "task"])
 
-    given = docs.select(F.col(f"`{id_col}`").cast("long").alias("id"), F.col(f"`{text}`").alias("t"))
+    given = small_batches(docs).select(F.col(f"`{id_col}`").cast("long").alias("id"), F.col(f"`{text}`").alias("t"))
     return given.mapInArrow(run, "id long, piece int, start long, length long, ids_crc32 long, nth long, task int")
 
 

@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, StructType
 
 from tracegroup.llm import bytehash
-from tracegroup.llm.common import batches, bytes_of, slices
+from tracegroup.llm.common import batches, bytes_of, slices, small_batches
 
 
 @dataclass(frozen=True)
@@ -81,7 +81,7 @@ def train(docs: DataFrame, labels: DataFrame, config: QualityConfig = QualityCon
     """
     rows = labels.where(F.col(label).isin(0, 1) & F.col("doc_id").isNotNull()).select("doc_id", F.col(label).cast("int").alias("label"))
     picked = rows.distinct().orderBy(F.xxhash64("doc_id"), "doc_id", "label").limit(config.sample_rows)
-    texts = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(picked), "doc_id")
+    texts = small_batches(docs).select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(picked), "doc_id")
 
     def featurise(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in it:
@@ -104,7 +104,7 @@ def train(docs: DataFrame, labels: DataFrame, config: QualityConfig = QualityCon
 
 def score(docs: DataFrame, weights: np.ndarray, config: QualityConfig = QualityConfig(), text: str = "text", out: str = "score") -> DataFrame:
     """docs with a column `out` from 0 to 1, from the whole text alone. Null and empty texts score the bias."""
-    shared = docs.sparkSession.sparkContext.broadcast(weights)
+    shared = small_batches(docs).sparkSession.sparkContext.broadcast(weights)
     keep = [c for c in docs.columns if c != out]
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

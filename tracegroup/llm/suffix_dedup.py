@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tracegroup.llm import bytehash
-from tracegroup.llm.common import SLICE_BYTES, bytes_of, mask_of, masked, slices, written
+from tracegroup.llm.common import SLICE_BYTES, bytes_of, mask_of, masked, slices, small_batches, written
 
 LENGTH = 400
 #: Bytes of the k-grams that anchors are chosen from.
@@ -28,6 +28,8 @@ GRAM = 128
 STEP = 32
 #: Regions of one anchor hash that a task takes; more are compared by their windows' digests.
 HOT = 4096
+#: Bytes of regions that are sorted together.
+SORT_BYTES = 6 << 20
 
 
 def sliding(f: np.ufunc, a: np.ndarray, w: int, fill: int) -> np.ndarray:
@@ -68,7 +70,7 @@ def anchors(data: np.ndarray, offsets: np.ndarray, length: int, gram: int) -> tu
 
 def _pieces(n: int, length: int) -> Iterator[tuple[int, int]]:
     """A very long text in overlapping parts: every string of `length` bytes is inside one."""
-    step = SLICE_BYTES // 2
+    step = SLICE_BYTES
     for a in range(0, max(n - length + 1, 1), step):
         yield a, min(n, a + step + length - 1)
 
@@ -81,7 +83,7 @@ def _anchor_rows(docs: DataFrame, length: int, gram: int) -> DataFrame:
         for batch in it:
             data, offsets = bytes_of(batch.column("t"))
             tk = batch.column("tk").to_numpy()
-            for a, b in slices(offsets, SLICE_BYTES // 2):
+            for a, b in slices(offsets, SLICE_BYTES):
                 for x, y in _pieces(offsets[b] - offsets[a], length) if b - a == 1 else [(0, offsets[b] - offsets[a])]:
                     off = np.array([0, y - x]) if b - a == 1 else offsets[a : b + 1] - offsets[a]
                     place, h = anchors(data[offsets[a] + x : offsets[a] + y], off, length, gram)
@@ -176,13 +178,19 @@ def repeated_starts(data: np.ndarray, bounds: np.ndarray, before: np.ndarray, gr
         rows = np.flatnonzero(before >= back)
         start = begins[rows] + before[rows] - back
         rows, start = rows[ends[rows] - start >= length - step + 1], start[ends[rows] - start >= length - step + 1]
+        # only suffixes that seem to agree in the bytes that all strings here share are sorted
+        core = bytehash.mix(group[rows].view(np.uint64)) ^ bytehash.ranges(ext.pre, start, start + length - step + 1)
+        _, cluster, times = np.unique(core, return_inverse=True, return_counts=True)
+        keep = np.flatnonzero(times[cluster] > 1)
+        keep = keep[np.argsort(cluster[keep], kind="stable")]
+        rows, start, cluster = rows[keep], start[keep], cluster[keep]
         if len(rows) < 2:
             continue
-        order = sort_suffixes(ext, group[rows], start, rows, ends)
+        order = sort_suffixes(ext, cluster, start, rows, ends)
         rows, start = rows[order], start[order]
         room = ends[rows] - start
         lcp = ext.common(start[:-1], start[1:], np.minimum(room[:-1], room[1:]))
-        lcp[group[rows][1:] != group[rows][:-1]] = 0
+        lcp[cluster[1:] != cluster[:-1]] = 0
         close = np.flatnonzero(lcp >= length - step + 1)
         raw = data.tobytes()
         for i in close:  # equal hashes are not yet equal bytes
@@ -296,11 +304,11 @@ def _spans(dealt: DataFrame, length: int) -> DataFrame:
             a = 0
             while a < len(h):
                 # whole groups of equal hashes, about half a slice at a time
-                b = min(len(h), a + max(1, SLICE_BYTES // 2 // per_row))
-                if held and size >= SLICE_BYTES // 2 and h[a] != held[-1].column("hash")[-1].as_py():
+                b = min(len(h), a + max(1, SORT_BYTES // per_row))
+                if held and size >= SORT_BYTES and h[a] != held[-1].column("hash")[-1].as_py():
                     yield from flush(held)
                     held, size = [], 0
-                if size >= SLICE_BYTES // 2:  # still inside one group: take it to its end
+                if size >= SORT_BYTES:  # still inside one group: take it to its end
                     b = a + int(np.argmax(h[a:] != h[a])) if (h[a:] != h[a]).any() else len(h)
                 else:
                     same = h[b - 1]
@@ -315,27 +323,63 @@ def _spans(dealt: DataFrame, length: int) -> DataFrame:
     return dealt.mapInArrow(run, "tk long, low long, high long")
 
 
-def _hot_spans(regions: DataFrame, length: int) -> DataFrame:
-    """The same for hashes of very many regions: windows are counted by digest, so no task meets a whole group."""
+def _hot_spans(regions: DataFrame, length: int, step: int = STEP) -> DataFrame:
+    """The same for hashes of very many regions, which no task meets as a group: ranges of starts are counted by digests.
 
-    def digests(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    For each range of `step` starts: the bytes that all its strings share, and those that any of them
+    covers. If the first occur once, none of the strings does again; if the second occur again, all do.
+    Only for other ranges are the strings counted one by one.
+    """
+
+    def ranges(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in it:
-            rid, at, key = [], [], []
+            rid, back, core, full = [], [], [], []
             for r, h, before, region in zip(*(batch.column(c).to_pylist() for c in ("rid", "hash", "before", "region")), strict=True):
-                for q in range(len(region) - length + 1):
+                for d in range(0, before + 1, step):
+                    last = before - d
+                    shared = last - step + 1 + length  # where the bytes end that strings of all starts have
+                    first = max(0, last - step + 1)
+                    if max(shared, length) > len(region):
+                        continue
+                    key = b"%d %d" % (h, d)
+                    rid.append(r)
+                    back.append(d)
+                    core.append(hashlib.blake2b(region[last:shared], digest_size=16, key=key).digest())
+                    # the last start's string may reach over the region's end; then not all of them are there
+                    whole = last + length <= len(region)
+                    full.append(hashlib.blake2b(region[first : last + length], digest_size=16, key=key + b" %d" % (last - first)).digest() if whole else None)
+            if rid:
+                yield pa.RecordBatch.from_arrays([pa.array(rid, pa.int64()), pa.array(back, pa.int32()), pa.array(core, pa.binary()), pa.array(full, pa.binary())], ["rid", "back", "core", "full"])
+
+    def windows(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in it:
+            rid, at, key, times = [], [], [], []
+            for r, h, before, region, d, m in zip(*(batch.column(c).to_pylist() for c in ("rid", "hash", "before", "region", "back", "m")), strict=True):
+                last = before - d
+                for q in range(max(0, last - step + 1), min(last, len(region) - length) + 1):
                     rid.append(r)
                     at.append(q)
                     key.append(hashlib.blake2b(region[q : q + length], digest_size=16, key=b"%d %d" % (h, q - before)).digest())
+                    times.append(m)
             if rid:
-                yield pa.RecordBatch.from_arrays([pa.array(rid, pa.int64()), pa.array(at, pa.int32()), pa.array(key, pa.binary())], ["rid", "at", "key"])
-
-    windows = regions.select("rid", "hash", "before", "region").mapInArrow(digests, "rid long, at int, key binary")
-    sized = windows.join(regions.select("rid", F.size("members").alias("m")), "rid")
-    again = sized.groupBy("key").agg(F.sum("m").alias("m")).where("m > 1").select("key")
-    starts = windows.join(again, "key").groupBy("rid").agg(F.collect_set("at").alias("at"))
-    rows = regions.select("rid", "before", "members").join(starts, "rid").select(F.explode("members").alias("m"), "before", F.explode("at").alias("at"))
-    low = F.col("m.pos") - F.col("before") + F.col("at")
-    return rows.select(F.col("m.tk").alias("tk"), low.alias("low"), (low + length).alias("high"))
+                yield pa.RecordBatch.from_arrays([pa.array(rid, pa.int64()), pa.array(at, pa.int32()), pa.array(key, pa.binary()), pa.array(times, pa.int64())], ["rid", "at", "key", "m"])
+
+    light = regions.select("rid", F.size("members").alias("m"))
+    cut = written(regions.select("rid", "hash", "before", "region").mapInArrow(ranges, "rid long, back int, core binary, full binary").join(light, "rid"), "hot-ranges")
+    core = cut.groupBy("core").agg(F.sum("m").alias("k")).where("k > 1").select("core", F.lit(True).alias("near"))
+    full = cut.where("full is not null").groupBy("full").agg(F.sum("m").alias("k")).where("k > 1").select("full", F.lit(True).alias("all"))
+    told = written(cut.join(full, "full", "left").join(core, "core", "left").select("rid", "back", "near", "all", "core", "full", "m"), "hot-told")
+    sure = told.where("all").join(regions.select("rid", "before"), "rid").select("rid", F.greatest(F.col("before") - F.col("back") - (step - 1), F.lit(0)).alias("low"), (F.col("before") - F.col("back")).alias("high"))
+    open_ = told.where("near and all is null")
+    # a range that is sure may hold the other copy of an open one's string; one of equal ranges stands for all
+    beside = told.where("all").join(open_.select("core").distinct(), "core").groupBy("core", "full").agg(F.min("rid").alias("rid"), F.first("back").alias("back"), F.sum("m").alias("m"))
+    told = open_.select("rid", "back", F.col("m").cast("long").alias("m")).unionByName(beside.select("rid", "back", "m"))
+    each = written(regions.select("rid", "hash", "before", "region").join(told, "rid").mapInArrow(windows, "rid long, at int, key binary, m long"), "hot-windows")
+    again = each.groupBy("key").agg(F.sum("m").alias("k")).where("k > 1").select("key")
+    starts = each.join(again, "key").select("rid", F.col("at").alias("low"), F.col("at").alias("high"))
+    rows = sure.unionByName(starts).join(regions.select("rid", "before", "members"), "rid").select(F.explode("members").alias("m"), "before", "low", "high")
+    base = F.col("m.pos") - F.col("before")
+    return rows.select(F.col("m.tk").alias("tk"), (base + F.col("low")).alias("low"), (base + F.col("high") + length).alias("high"))
 
 
 def _cut(texts: DataFrame) -> DataFrame:
@@ -368,13 +412,13 @@ def repeated(docs: DataFrame, text: str = "text", length: int = LENGTH, gram: in
     Strings never reach over two texts. Null and short texts lose nothing. Repeated rows are texts that
     occur again. Columns other than the text are not read.
     """
-    given = docs.select(F.coalesce(F.col(f"`{text}`"), F.lit("")).alias("t")).withColumn("tk", F.xxhash64("t"))
+    given = small_batches(docs).select(F.coalesce(F.col(f"`{text}`"), F.lit("")).alias("t")).withColumn("tk", F.xxhash64("t"))
     found = written(_anchor_rows(given, length, gram), "anchors")
     place = F.struct("tk", "pos")
     again = found.groupBy("hash").agg(F.min(place).alias("a"), F.max(place).alias("b")).where("a != b").select("hash")
     places = written(found.join(again, "hash").groupBy("tk").agg(F.collect_set("pos").alias("places")), "anchor-places")
     mask = mask_of(places, F.col("tk"))
-    once = masked(given, F.col("tk"), mask).where("in_mask").groupBy("tk").agg(F.first("t").alias("t"))
+    once = masked(given, F.col("tk"), mask)[0].groupBy("tk").agg(F.first("t").alias("t"))
     texts = written(once.join(places, "tk"), "anchor-texts")
     regions = written(_regions(texts, length, gram), "regions")
     crowded = regions.groupBy("hash").agg(F.count("*").alias("n")).where(F.col("n") > hot)
