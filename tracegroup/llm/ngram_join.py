@@ -31,6 +31,8 @@ ROUNDS = 3
 HEADS = 12
 #: How many of them each node is compared with: those it shares most with.
 BEST = 6
+#: Nodes of one component in a block from which on the block names the component instead of its nodes.
+LARGE = 8
 #: Similarity: 100 * shared >= PERCENT * united.
 PERCENT = 75
 
@@ -257,7 +259,8 @@ def _verified(pairs: DataFrame, texts: DataFrame) -> DataFrame:
 
 
 def _cross(members: DataFrame) -> DataFrame:
-    """Pairs (a, b, na, nb, common) of different components that the tree's bounds leave, with the number of blocks they share.
+    """Pairs (a, b, na, nb, null, common) of different components that the tree's bounds leave, with the number of blocks they share;
+    and (a, null, na, null, part, common) for a node beside a component that has many nodes in a block, with the number of such blocks.
 
     members: shingle, node, part (component so far), n, point. Whether the bounds leave a pair does not
     depend on the block, so every shared block counts.
@@ -277,18 +280,35 @@ def _cross(members: DataFrame) -> DataFrame:
         fits = (100 + PERCENT) * np.minimum(points[first], points[first + 1]).sum(1, dtype=np.int64) >= PERCENT * sizes
         fits &= (100 * n[first] >= PERCENT * n[first + 1]) & (100 * n[first + 1] >= PERCENT * n[first])
         x, y = [first[fits]], [first[fits] + 1]
+        beside, whole = [], []
         for g in np.flatnonzero(mixed & (size > 2)):
-            a, b = cut[g], cut[g + 1]
-            for i, j in CountTree(points[a:b], n[a:b], part[a:b]).pairs():
-                x.append(i + a)
-                y.append(j + a)
+            rows = np.arange(cut[g], cut[g + 1])
+            own, back, times = np.unique(part[rows], return_inverse=True, return_counts=True)
+            for c in np.flatnonzero(times >= LARGE):
+                # of two large components the nodes of the smaller are named
+                other = rows[(times[back] < times[c]) | ((times[back] == times[c]) & (back < c))]
+                beside.append(other)
+                whole.append(np.full(len(other), own[c]))
+            rows = rows[times[back] < LARGE]
+            if len(rows) > 1:
+                for i, j in CountTree(points[rows], n[rows], part[rows]).pairs():
+                    x.append(rows[i])
+                    y.append(rows[j])
+        if beside and sum(map(len, beside)):
+            i, p = np.concatenate(beside), np.concatenate(whole)
+            named = pa.table({"a": node[i], "na": n[i], "part": p}).group_by(["a", "na", "part"]).aggregate([([], "count_all")])
+            for batch in named.combine_chunks().to_batches():
+                none = pa.nulls(batch.num_rows, pa.int64())
+                yield pa.RecordBatch.from_arrays([batch.column("a"), none, batch.column("na"), none, batch.column("part"), batch.column("count_all")], names)
         i, j = np.concatenate(x), np.concatenate(y)
         if len(i):
             swap = node[i] > node[j]
             i, j = np.where(swap, j, i), np.where(swap, i, j)
             both = pa.table({"a": node[i], "b": node[j], "na": n[i], "nb": n[j]}).group_by(["a", "b", "na", "nb"]).aggregate([([], "count_all")])
             for batch in both.combine_chunks().to_batches():
-                yield pa.RecordBatch.from_arrays([batch.column(c) for c in ("a", "b", "na", "nb", "count_all")], ["a", "b", "na", "nb", "common"])
+                yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in ("a", "b", "na", "nb")), pa.nulls(batch.num_rows, pa.int64()), batch.column("count_all")], names)
+
+    names = ["a", "b", "na", "nb", "part", "common"]
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[pa.RecordBatch] = []
@@ -312,7 +332,7 @@ def _cross(members: DataFrame) -> DataFrame:
             yield from flush(held)
 
     dealt = members.repartition("shingle").sortWithinPartitions("shingle", "node")
-    return dealt.mapInArrow(run, "a long, b long, na long, nb long, common long")
+    return dealt.mapInArrow(run, "a long, b long, na long, nb long, part long, common long")
 
 
 def similar_groups(docs: DataFrame, id_col: str = "doc_id", text: str = "text") -> DataFrame:
@@ -375,7 +395,17 @@ def similar_groups(docs: DataFrame, id_col: str = "doc_id", text: str = "text")
     told = members.join(parts, "node", "left").select("shingle", "node", F.coalesce("component", "node").alias("part"))
     split = told.groupBy("shingle").agg(F.min("part").alias("low"), F.max("part").alias("high")).where("low != high").select("shingle")
     open_ = told.join(split, "shingle").join(side, "node").select("shingle", "node", "part", "n", "point")
-    cross = _cross(open_).groupBy("a", "b", "na", "nb").agg(F.sum("common").alias("common")).where(_enough(F.col("common"), F.col("na"), F.col("nb"))).select("a", "b")
+    cross = written(_cross(open_), "cross-blocks")
+    # a node beside a component shares with each of its nodes no more than with the component
+    beside = cross.where("b is null").groupBy("a", "na", "part").agg(F.sum("common").alias("common"))
+    inside = side.join(parts.select("node", "component"), "node").select(F.col("node").alias("b"), F.col("n").alias("nb"), F.col("component").alias("part"))
+    each = beside.join(inside, "part").where((100 * F.col("na") >= PERCENT * F.col("nb")) & (100 * F.col("nb") >= PERCENT * F.col("na")))
+    low, high = F.col("a") < F.col("b"), (F.col("a") >= F.col("b"))
+    each = each.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), F.when(low, F.col("na")).otherwise(F.col("nb")).alias("na"), F.when(high, F.col("na")).otherwise(F.col("nb")).alias("nb"), "common")
+    cross = cross.where("b is not null").select("a", "b", "na", "nb", "common").unionByName(each).groupBy("a", "b", "na", "nb").agg(F.sum("common").alias("common"))
+    point = nodes.select("node", "point")
+    cross = cross.where(_enough(F.col("common"), F.col("na"), F.col("nb"))).join(point.toDF("a", "pa"), "a").join(point.toDF("b", "pb"), "b")
+    cross = _bounded(cross)
     cross = written(cross.join(tried.distinct(), (cross["a"] == tried["x"]) & (cross["b"] == tried["y"]), "left_anti"), "cross-pairs")
     more = written(_verified(cross, _texts(docs, text, nodes, cross)), "cross-links")
     if not more.isEmpty():
