@@ -1,3 +1,5 @@
+import random
+
 from tests.llm.conftest import ROWS
 from tracegroup.llm import licenses as li
 
@@ -36,3 +38,45 @@ def test_odd_rows(odd_docs, no_docs):
     assert sorted(str(r["doc_id"]) for r in got) == sorted(str(r[0]) for r in ROWS)
     assert [r["licence"] for r in got if r["doc_id"] == 9] == ["MIT-notice"]
     assert li.scan(no_docs).count() == 0
+
+
+#: Notices as published, with blank lines between their paragraphs and wrapped lines.
+LAID_OUT = {
+    "MIT": li.TEMPLATES["MIT"].replace("conditions: ", "conditions:\n\n").replace("Software. THE", "Software.\n\nTHE").replace(", ", ",\n"),
+    "Apache-2.0-header": li.TEMPLATES["Apache-2.0-header"].replace("License. You may", "License.\nYou may").replace("at http", "at\n\n    http").replace("2.0 Unless", "2.0\n\nUnless"),
+    "GPL-3.0-header": li.TEMPLATES["GPL-3.0-header"].replace("version. This", "version.\n\nThis").replace("but WITHOUT", "but\nWITHOUT"),
+}
+
+
+def test_notices_inside_other_text(spark):
+    other = " ".join(f"word{i}" for i in range(400))
+    rows = [(i, f"{other}\n\n{t}\n\n{other}") for i, t in enumerate(LAID_OUT.values())]
+    rows += [(i + 10, f"{other}\n{t}\n{other}") for i, t in enumerate(LAID_OUT.values())]
+    rows += [(20, f"{other} Released\nunder the MIT License. {other}"), (21, "\u0130\u0130 " + f"{other} All rights reserved. {other}")]
+    text = dict(rows)
+    got = {r["doc_id"]: r for r in li.scan(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    names = [*LAID_OUT]
+    assert {i: (r["licence"], r["dice"]) for i, r in got.items()} == {**{i + k: (n, 1.0) for i, n in enumerate(names) for k in (0, 10)}, 20: ("MIT-notice", 1.0), 21: ("Reserved", 1.0)}
+    for i, r in got.items():
+        m = r["matches"][0]
+        assert li.bigrams(text[i][m["low"] : m["high"]]) == li.bigrams(li.TEMPLATES[r["licence"]])
+
+
+def test_windows_against_every_run():
+    """The best run is the best of all runs; every run that reaches the threshold meets one that is taken."""
+    rng, hit = random.Random(3), 0
+    name = "Reserved words"
+    known = li.Templates({name: "a b c d e a b f"}, 0.8)
+    ((n, _, b),) = known.sets
+    for _ in range(400):
+        words = [rng.choice("aabbccddeeffx") for _ in range(10)] + rng.choice(["a b c d e a b f".split(), "a b c x d e a b f".split(), "a b c d e".split()]) * rng.randint(0, 2) + [rng.choice("abcdefxy") for _ in range(rng.randint(0, 14))]
+        every = {(i, j): d for i in range(len(words)) for j in range(i + 1, len(words)) if (d := li.dice(li.bigrams(" ".join(words[i : j + 1])), b)) >= 0.8}
+        got = known.windows(words, n, b)
+        assert bool(every) == bool(got) and (not got or got[0][0] == max(every.values()))
+        assert not every or known.near(words)
+        for d, i, j in got:
+            assert every[i, j] == d
+        for i, j in every:
+            assert any(i <= y and x <= j for _, x, y in got)
+        hit += bool(got)
+    assert hit > 100

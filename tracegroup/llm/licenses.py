@@ -1,13 +1,16 @@
 """Licence scans: normalised text held against licence templates by the Dice coefficient over word bigrams.
 
 The sizes of two bigram sets bound their coefficient, so a piece of text is only held against templates
-whose size allows the threshold.
+whose size allows the threshold. Notices that stand inside other text, or run over lines and paragraphs, are
+found as windows of words.
 """
 
 from __future__ import annotations
 
 import re
+from bisect import bisect_left, bisect_right, insort
 from collections.abc import Iterator, Mapping
+from heapq import heapify, heappop, heappush
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -60,7 +63,7 @@ class Templates:
     def bounds(self, size: int) -> tuple[float, float]:
         """Sizes whose coefficient with a set of `size` can reach the threshold."""
         t = self.threshold
-        return size * t / (2 - t), size * (2 - t) / t
+        return size * t / (2 - t) - 1e-9, size * (2 - t) / t + 1e-9
 
     def possible(self, words: int) -> bool:
         """Whether a text of so many words can reach the threshold with any template; it has at most words - 1 bigrams."""
@@ -73,6 +76,67 @@ class Templates:
             if low <= n <= high and (d := dice(found, b)) >= self.threshold:
                 yield name, d
 
+    def near(self, words: list[str]) -> list[tuple[int, str, frozenset]]:
+        """Templates that some run of the words may reach the threshold with: at least the smallest size that allows it is shared."""
+        met = self.first.intersection(zip(words, words[1:], strict=False))
+        return [s for s in self.sets if met and len(s[2] & met) >= self.bounds(s[0])[0]]
+
+    def windows(self, words: list[str], n: int, b: frozenset) -> list[tuple[float, int, int]]:
+        """(dice, first word, last word) of runs of words that reach the threshold with a template of n bigrams, none over another.
+
+        Best first, then the earlier, then the shorter; a run that meets a better one is cut short before it. A run
+        that begins or ends outside the template, or with a bigram that it has again, is not better without it, so
+        from each start it is followed to the next like it, or to the widest set: linear in the text, any size.
+        """
+        pairs = list(zip(words, words[1:], strict=False))
+        widest = self.bounds(n)[1]
+        again, last = {}, {}
+        for i in range(len(pairs) - 1, -1, -1):
+            if pairs[i] in b:
+                again[i] = last.get(pairs[i], len(pairs))
+                last[pairs[i]] = i
+
+        def best(i: int, end: int) -> tuple[float, int, int] | None:
+            seen, shared, out = set(), 0, None
+            for j in range(i, min(end, again[i])):
+                if pairs[j] not in seen:
+                    seen.add(pairs[j])
+                    if len(seen) > widest:
+                        break
+                    if pairs[j] in b:
+                        shared += 1
+                        d = 2 * shared / (len(seen) + n)
+                        if d >= self.threshold and (out is None or -d < out[0]):
+                            out = (-d, i, j)
+            return out
+
+        heap = [w for i in again if (w := best(i, len(pairs)))]
+        heapify(heap)
+        taken: list[tuple[int, int]] = []
+        out = []
+        while heap:
+            d, i, j = heappop(heap)
+            at = bisect_right(taken, (i, len(pairs)))
+            if at and taken[at - 1][1] >= i:
+                continue
+            if at < len(taken) and j + 1 >= taken[at][0]:
+                if w := best(i, taken[at][0] - 1):
+                    heappush(heap, w)
+                continue
+            insort(taken, (i, j + 1))
+            out.append((-d, i, j + 1))
+        return out
+
+
+def placed_words(text: str) -> tuple[list[int], list[int]]:
+    """Where each word of the normalised text begins and ends in text; lower case may be longer than what it stands for."""
+    lower = text.lower()
+    spans = [m.span() for m in _WORD.finditer(lower)]
+    if len(lower) != len(text):
+        at = [i for i, c in enumerate(text) for _ in c.lower()]
+        spans = [(at[low], at[high - 1] + 1) for low, high in spans]
+    return [low for low, _ in spans], [high for _, high in spans]
+
 
 def pieces(text: str) -> Iterator[tuple[str, int, int]]:
     """What may be a licence text: each line, each paragraph of several lines, and the whole, with its place."""
@@ -95,7 +159,8 @@ def scan(docs: DataFrame, templates: Mapping[str, str] = TEMPLATES, threshold: f
     """Per row of docs: id, licence (the best match's template or null), dice of it, and all matches as (template, dice, low, high).
 
     Matches are pieces of the text (lines, paragraphs, the whole) whose bigram set reaches the threshold with
-    a template's; low and high are character places. The best is the highest coefficient, then the first
+    a template's, and the best runs of words anywhere in it that do and are no such piece, over line and paragraph
+    ends too; low and high are character places. The best is the highest coefficient, then the first
     name, then the first place. Null, empty and one-word texts match nothing; repeated rows stay; other
     columns are not read. A piece is judged whole, however long.
     """
@@ -103,6 +168,10 @@ def scan(docs: DataFrame, templates: Mapping[str, str] = TEMPLATES, threshold: f
     widest = known.bounds(known.most)[1]
 
     def found(body: str) -> list[dict]:
+        words_of = _WORD.findall(body.lower())
+        near = known.near(words_of)
+        if not near:
+            return []
         out = []
         for piece, low, high in pieces(body):
             # a cheap bound first: bigrams are at most the words less one, and a set over the widest size cannot match
@@ -112,6 +181,10 @@ def scan(docs: DataFrame, templates: Mapping[str, str] = TEMPLATES, threshold: f
             if words > 4 * widest and len(set(piece.split())) - 1 > widest * 2:
                 continue
             out += [{"template": n, "dice": d, "low": low, "high": high} for n, d in known.matches(piece)]
+        starts, ends = placed_words(body)
+        had = {(m["template"], bisect_left(starts, m["low"]), bisect_right(ends, m["high"]) - 1) for m in out}
+        for n, name, b in near:
+            out += [{"template": name, "dice": d, "low": starts[i], "high": ends[j]} for d, i, j in known.windows(words_of, n, b) if (name, i, j) not in had]
         return sorted(out, key=lambda m: (-m["dice"], m["template"], m["low"]))
 
     kind = pa.list_(pa.struct([("template", pa.string()), ("dice", pa.float64()), ("low", pa.int64()), ("high", pa.int64())]))
