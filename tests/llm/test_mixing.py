@@ -83,3 +83,17 @@ def test_mixed_rows(odd_docs):
     gone = {r["doc_id"] for r in m.mix(odd_docs, F.lit("d"), config).where("copies = 0").collect()}
     assert out.columns == odd_docs.columns and gone
     assert out.count() == odd_docs.where(~F.coalesce(F.col("doc_id").isin([g for g in gone if g is not None]), F.lit(None in gone))).count()
+
+
+def test_mixed_rows_of_equal_ids_in_several_leaves(spark):
+    """Null ids and ids that repeat over sources: each leaf keeps what its own budget has room for."""
+    rows = [(None if i % 3 == 0 else i // 5, f"{'w ' * (1 + i % 7)}{i}", ("en", "de", None)[i % 2 if i % 11 else 2], f"src{i % 5}") for i in range(300)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")
+    config = m.MixConfig({"source": {"src1": 0}}, 600, most_epochs=1)
+    domain = F.when(F.col("source") == "src4", "other").otherwise("web")
+    kept = m.mix(df, domain, config).where("copies = 1")
+    assert kept.where("doc_id is null").count() and m.mix(df, domain, config).where("copies = 0 and doc_id is null").count()
+    out = m.mixed(df, domain, config)
+    key = lambda frame: sorted(str(tuple(r)) for r in frame.selectExpr("doc_id", "coalesce(lang, '')", "source", "n_tokens").collect())
+    got = out.withColumn("n_tokens", F.size(F.split(F.trim("text"), " ")).cast("long"))
+    assert key(got) == key(kept)

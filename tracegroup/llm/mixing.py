@@ -118,7 +118,15 @@ def mix(docs: DataFrame, domain: Column, config: MixConfig = MixConfig(), id_col
 
 
 def mixed(docs: DataFrame, domain: Column, config: MixConfig) -> DataFrame:
-    """docs without the rows that the mix leaves out, for most_epochs = 1. Columns as given; only rows that may be left out are shuffled."""
-    out = written(mix(docs, domain, config).where("copies = 0").select("doc_id").distinct(), "mix-out")
-    near, sure = masked(docs, F.xxhash64("doc_id"), mask_of(out, F.xxhash64("doc_id")))
-    return sure.unionByName(near.join(out, near["doc_id"].eqNullSafe(out["doc_id"]), "left_anti"))
+    """docs without the rows that the mix leaves out, for most_epochs = 1. Columns as given; only rows that may be left out are shuffled.
+
+    Rows of equal id come in together within a leaf, so a row is told by its id and its leaf, a null id too.
+    """
+    key = {"id": F.col("doc_id").cast("long"), "domain": F.coalesce(domain, F.lit("")), "lang": F.coalesce(F.col("lang"), F.lit("")), "source": F.coalesce(F.col("source"), F.lit(""))}
+    out = mix(docs, domain, config).where("copies = 0").select(F.col("doc_id").alias("left out id"), *[F.col(c).alias(f"left out {c}") for c in LEVELS]).distinct()
+    out = written(out, "mix-out")
+    near, sure = masked(docs, F.xxhash64(*key.values()), mask_of(out, F.xxhash64(*[F.col(f"left out {c}") for c in key])))
+    same = F.lit(True)
+    for c, value in key.items():
+        same = same & value.eqNullSafe(F.col(f"left out {c}"))
+    return sure.unionByName(near.join(out, same, "left_anti"))
