@@ -152,3 +152,26 @@ def test_frame_edit_distance():
 
 def test_unit_rows():
     assert np.allclose(np.linalg.norm(unit(np.array([[3.0, 4], [0, 0]])), axis=1), [1, 0])
+
+
+def test_whole_traces_and_frames():
+    """Registered configurations read past the 64th frame and the 24th token, and marks count there; memory is cut by length only."""
+    from tracegroup.operators import encoder, neural_baselines
+    from tracegroup.plans import two_stage
+
+    assert two_stage.SMALL.vocab == 10_000
+    one = lambda k: np.full(1, k, np.int32).tobytes()
+    for config in (two_stage.SMALL, neural_baselines.SMALL):
+        model = TraceEncoder(config)
+        a = [one(i % 50 + 2) for i in range(400)]
+        u = model.forward([a, a[:399] + [one(60)], a[:3]])[0]
+        assert np.abs(u[0] - u[1]).max() > 0
+        long = np.arange(2, 90, dtype=np.int32)
+        v = model.forward([[long.tobytes()], [np.append(long, 99).astype(np.int32).tobytes()]])[0]
+        assert np.abs(v[0] - v[1]).max() > 0
+        assert np.allclose(model.forward([a, a[:3]], keep=False)[0], u[[0, 2]])
+    cross = CrossEncoder(two_stage.SMALL)
+    marked = cross.encoder.forward([a, a], [np.arange(400) == 399, np.zeros(400, bool)], cross.params["r.marker"])[0]
+    assert np.abs(marked[0] - marked[1]).max() > 0
+    groups = encoder.by_length([range(n) for n in (5, 0, 3, 40, 2)], 10)
+    assert sorted(i for g in groups for i in g) == [0, 1, 2, 3, 4] and groups[-1].tolist() == [3]

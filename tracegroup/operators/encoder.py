@@ -17,7 +17,7 @@ from tracegroup.operators.nn import Arrays, BiLstm, Mlp
 
 @dataclass(frozen=True)
 class EncoderConfig:
-    """frame_encoder: bilstm or mean (average of token vectors). Traces are cut to the first most_frames, frames to most_tokens."""
+    """frame_encoder: bilstm or mean (average of token vectors). Traces and frames are read whole unless most_frames or most_tokens is given."""
 
     vocab: int = 10_000
     token: int = 32
@@ -25,20 +25,36 @@ class EncoderConfig:
     trace: int = 64
     pool: str = "all"
     frame_encoder: str = "bilstm"
-    most_frames: int = 256
-    most_tokens: int = 48
+    most_frames: int | None = None
+    most_tokens: int | None = None
     seed: int = 11
 
 
-def padded(rows: list[np.ndarray], most: int) -> tuple[np.ndarray, np.ndarray]:
-    """Rows of ids as one array with lengths, cut to `most` from the end."""
-    lengths = np.array([min(len(r), most) for r in rows], np.int64)
+#: Steps, padding included, that a network runs over at a time (a longer row is taken alone).
+CELLS = 1 << 14
+
+
+def padded(rows: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    """Rows of ids as one array with lengths."""
+    lengths = np.array([len(r) for r in rows], np.int64)
     out = np.zeros((len(rows), max(1, int(lengths.max(initial=0)))), np.int64)
     for i, r in enumerate(rows):
-        out[i, : lengths[i]] = r[: lengths[i]]
+        out[i, : lengths[i]] = r
     return out, lengths
 
 
+def by_length(rows: list, most: int = CELLS) -> list[np.ndarray]:
+    """Places of rows of like length, in groups that padded have at most `most` cells."""
+    lengths = np.array([max(1, len(r)) for r in rows], np.int64)
+    order = np.argsort(lengths, kind="stable")
+    out, start = [], 0
+    for end in range(1, len(order) + 1):
+        if end == len(order) or (end + 1 - start) * lengths[order[end]] > most:
+            out.append(order[start:end])
+            start = end
+    return out
+
+
 class TraceEncoder:
     """Traces as lists of frames, frames as arrays of token ids."""
 
@@ -53,47 +69,63 @@ class TraceEncoder:
         self.traces = BiLstm(self.params, f"{name}.trace", self.frame_width, config.trace, config.pool, rng)
         self.width = self.traces.width
 
-    def _frame_vectors(self, frames: list[np.ndarray]) -> tuple[np.ndarray, tuple]:
-        ids, lengths = padded(frames, self.config.most_tokens)
-        x = self.params[f"{self.name}.tokens"][ids]
-        if self.frames:
-            vec, cache = self.frames.forward(x, lengths)
-        else:
-            live = np.arange(ids.shape[1])[None, :, None] < lengths[:, None, None]
-            vec, cache = np.where(live, x, 0).sum(1) / np.maximum(lengths, 1)[:, None], live
-        return vec, (ids, lengths, cache)
-
-    def forward(self, traces: list[list[bytes]], marks: list[np.ndarray] | None = None, marker: np.ndarray | None = None) -> tuple[np.ndarray, tuple]:
-        """Vectors of traces whose frames are token ids as bytes of int32. marks: per trace, which frames get the marker added."""
-        cut = [t[: self.config.most_frames] for t in traces]
-        index = {f: i for i, f in enumerate(dict.fromkeys(f for t in cut for f in t))}
-        vec, frame_cache = self._frame_vectors([np.frombuffer(f, np.int32) for f in index] or [np.zeros(0, np.int32)])
-        ids, lengths = padded([np.array([index[f] for f in t], np.int64) for t in cut], self.config.most_frames)
-        x = vec[ids]
-        flags = None
-        if marks is not None:
-            flags = np.zeros(ids.shape, bool)
-            for i, m in enumerate(marks):
-                flags[i, : lengths[i]] = m[: lengths[i]]
-            x = x + flags[:, :, None] * marker
-        out, cache = self.traces.forward(x, lengths)
-        return out, (frame_cache, len(vec), ids, lengths, flags, cache)
+    def _frame_vectors(self, frames: list[np.ndarray], keep: bool) -> tuple[np.ndarray, list]:
+        out, caches = np.zeros((len(frames), self.frame_width)), []
+        for at in by_length(frames):
+            ids, lengths = padded([frames[i] for i in at])
+            x = self.params[f"{self.name}.tokens"][ids]
+            if self.frames:
+                vec, cache = self.frames.forward(x, lengths)
+            else:
+                live = np.arange(ids.shape[1])[None, :, None] < lengths[:, None, None]
+                vec, cache = np.where(live, x, 0).sum(1) / np.maximum(lengths, 1)[:, None], live
+            out[at] = vec
+            if keep:
+                caches.append((at, ids, lengths, cache))
+        return out, caches
+
+    def forward(self, traces: list[list[bytes]], marks: list[np.ndarray] | None = None, marker: np.ndarray | None = None, keep: bool = True) -> tuple[np.ndarray, tuple]:
+        """Vectors of traces whose frames are token ids as bytes of int32. marks: per trace, which frames get the marker added.
+
+        keep=False leaves out what backward needs, so that memory is that of CELLS steps.
+        """
+        traces = [t[: self.config.most_frames] for t in traces]
+        index = {f: i for i, f in enumerate(dict.fromkeys(f for t in traces for f in t))}
+        vec, frame_caches = self._frame_vectors([np.frombuffer(f, np.int32)[: self.config.most_tokens] for f in index] or [np.zeros(0, np.int32)], keep)
+        out, caches = np.zeros((len(traces), self.width)), []
+        for at in by_length(traces):
+            ids, lengths = padded([np.array([index[f] for f in traces[i]], np.int64) for i in at])
+            x = vec[ids]
+            flags = None
+            if marks is not None:
+                flags = np.zeros(ids.shape, bool)
+                for k, i in enumerate(at):
+                    flags[k, : lengths[k]] = marks[i][: lengths[k]]
+                x = x + flags[:, :, None] * marker
+            out[at], cache = self.traces.forward(x, lengths)
+            if keep:
+                caches.append((at, ids, lengths, flags, cache))
+        return out, (frame_caches, vec.shape, caches)
 
     def backward(self, d: np.ndarray, cache: tuple, grads: Arrays) -> np.ndarray:
         """Adds gradients; gives that of the marker."""
-        (token_ids, token_lengths, inner), n, ids, lengths, flags, trace_cache = cache
-        dx = self.traces.backward(d, trace_cache, grads)
-        live = np.arange(ids.shape[1])[None, :] < lengths[:, None]
-        dvec = np.zeros((n, dx.shape[2]), dx.dtype)
-        np.add.at(dvec, ids[live], dx[live])
-        if self.frames:
-            dt = self.frames.backward(dvec, inner, grads)
-        else:
-            dt = np.where(inner, (dvec / np.maximum(token_lengths, 1)[:, None])[:, None, :], 0)
+        frame_caches, shape, caches = cache
+        dvec, dmarker = np.zeros(shape), np.zeros(shape[1])
+        for at, ids, lengths, flags, inner in caches:
+            dx = self.traces.backward(d[at], inner, grads)
+            live = np.arange(ids.shape[1])[None, :] < lengths[:, None]
+            np.add.at(dvec, ids[live], dx[live])
+            if flags is not None:
+                dmarker += dx[flags].sum(0)
         g = grads.setdefault(f"{self.name}.tokens", np.zeros_like(self.params[f"{self.name}.tokens"]))
-        real = np.arange(token_ids.shape[1])[None, :] < token_lengths[:, None]
-        np.add.at(g, token_ids[real], dt[real])
-        return dx[flags].sum(0) if flags is not None else np.zeros(dx.shape[2], dx.dtype)
+        for at, ids, lengths, inner in frame_caches:
+            if self.frames:
+                dt = self.frames.backward(dvec[at], inner, grads)
+            else:
+                dt = np.where(inner, (dvec[at] / np.maximum(lengths, 1)[:, None])[:, None, :], 0)
+            real = np.arange(ids.shape[1])[None, :] < lengths[:, None]
+            np.add.at(g, ids[real], dt[real])
+        return dmarker
 
 
 def shared_marks(query: list[bytes], candidate: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
@@ -115,12 +147,12 @@ class CrossEncoder:
         self.use_marker = use_marker
         self.head = Mlp(self.params, "r.head", 2 * self.encoder.width, max(2, self.encoder.width // 3), rng)
 
-    def forward(self, pairs: list[tuple[list[bytes], list[bytes]]]) -> tuple[np.ndarray, tuple]:
+    def forward(self, pairs: list[tuple[list[bytes], list[bytes]]], keep: bool = True) -> tuple[np.ndarray, tuple]:
         marks = [shared_marks(q, c) for q, c in pairs]
         if not self.use_marker:
             marks = [(np.zeros_like(a), np.zeros_like(b)) for a, b in marks]
         v = self.params["r.marker"]
-        both, cache = self.encoder.forward([q for q, _ in pairs] + [c for _, c in pairs], [a for a, _ in marks] + [b for _, b in marks], v)
+        both, cache = self.encoder.forward([q for q, _ in pairs] + [c for _, c in pairs], [a for a, _ in marks] + [b for _, b in marks], v, keep)
         n = len(pairs)
         score, head = self.head.forward(np.concatenate([both[:n], both[n:]], 1))
         return score, (n, cache, head)

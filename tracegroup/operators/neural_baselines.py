@@ -17,7 +17,7 @@ from tracegroup.operators.nn import Adam, Arrays
 from tracegroup.operators.pairs import default_cap, positive_pairs, triplets
 from tracegroup.sources.storage import written
 
-SMALL = EncoderConfig(vocab=20_000, token=16, trace=16, frame_encoder="mean", most_frames=64, most_tokens=1)
+SMALL = EncoderConfig(vocab=20_000, token=16, trace=16, frame_encoder="mean")
 
 
 class PairHead:

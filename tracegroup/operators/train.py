@@ -175,7 +175,7 @@ def embed_all(toks: DataFrame, model: TraceEncoder, batch: int = 256, scaled: bo
             out: list = [None] * len(rows)
             for i in range(0, len(order), batch):
                 at = order[i : i + batch]
-                for k, v in zip(at, (unit if scaled else np.asarray)(own.forward([rows[k] for k in at])[0]).astype(np.float32), strict=True):
+                for k, v in zip(at, (unit if scaled else np.asarray)(own.forward([rows[k] for k in at], keep=False)[0]).astype(np.float32), strict=True):
                     out[k] = v
             yield pa.RecordBatch.from_arrays([b.column("fp"), pa.array(out, pa.list_(pa.float32()))], ["fp", "vec"])
 
@@ -193,7 +193,7 @@ def rescore(pairs: DataFrame, toks: DataFrame, model: CrossEncoder, batch: int =
         own = CrossEncoder(config, restore(shared.value), marker)
         for b in it:
             rows = [(as_bytes(q), as_bytes(c)) for q, c in zip(b.column("q_toks").to_pylist(), b.column("c_toks").to_pylist(), strict=True)]
-            out = np.concatenate([own.forward(rows[i : i + batch])[0] for i in range(0, len(rows), batch)]) if rows else np.zeros(0)
+            out = np.concatenate([own.forward(rows[i : i + batch], keep=False)[0] for i in range(0, len(rows), batch)]) if rows else np.zeros(0)
             yield pa.RecordBatch.from_arrays([b.column("q_fp"), b.column("c_fp"), pa.array(out, pa.float64())], ["q_fp", "c_fp", "rerank"])
 
     return pairs.join(known.mapInArrow(run, "q_fp string, c_fp string, rerank double"), ["q_fp", "c_fp"])

@@ -16,7 +16,7 @@ from tracegroup.operators.encoder import CrossEncoder, EncoderConfig, TraceEncod
 from tracegroup.operators.metrics import best_threshold
 from tracegroup.sources.storage import written
 
-SMALL = EncoderConfig(vocab=2000, token=16, frame=12, trace=24, most_frames=64, most_tokens=24)
+SMALL = EncoderConfig(vocab=10_000, token=16, frame=12, trace=24)
 
 
 @dataclass
