@@ -175,3 +175,23 @@ def test_whole_traces_and_frames():
     assert np.abs(marked[0] - marked[1]).max() > 0
     groups = encoder.by_length([range(n) for n in (5, 0, 3, 40, 2)], 10)
     assert sorted(i for g in groups for i in g) == [0, 1, 2, 3, 4] and groups[-1].tolist() == [3]
+
+
+def test_every_name_has_a_vector_of_its_own(spark):
+    """Names outside the trained table, and names that training has not seen, differ from one another."""
+    from pyspark.sql import functions as F
+
+    from tracegroup.operators import neural_baselines as nb
+    from tracegroup.operators.train import as_bytes
+
+    rows = [(f"f{i}", [f"name{i}"], "train" if i < 20 else "test") for i in range(40)]
+    reports = spark.createDataFrame(rows, "fp string, frames array<string>, part string").withColumn("arrival_seq", F.lit(1))
+    toks, ids = nb.names_as_tokens(reports, lambda f: f, 7)
+    traces = {r["fp"]: as_bytes(r["toks"]) for r in toks.collect()}
+    model = TraceEncoder(nb.SMALL)
+    out, cache = model.forward([traces[f"f{i}"] for i in range(40)])
+    assert len(ids) == 5 and len({v.tobytes() for v in out.round(9)}) == 40
+    assert np.array_equal(out, TraceEncoder(nb.SMALL).forward([traces[f"f{i}"] for i in range(40)])[0])
+    grads = {}
+    model.backward(np.ones_like(out), cache, grads)
+    assert set(np.flatnonzero(np.abs(grads["e.tokens"]).sum(1))) == set(ids.values())

@@ -30,6 +30,8 @@ class EncoderConfig:
     seed: int = 11
 
 
+#: A frame [OWN, x, y] has a fixed vector of its own, drawn from x and y.
+OWN = -1
 #: Steps, padding included, that a network runs over at a time (a longer row is taken alone).
 CELLS = 1 << 14
 
@@ -71,7 +73,12 @@ class TraceEncoder:
 
     def _frame_vectors(self, frames: list[np.ndarray], keep: bool) -> tuple[np.ndarray, list]:
         out, caches = np.zeros((len(frames), self.frame_width)), []
-        for at in by_length(frames):
+        own = np.array([len(f) > 0 and f[0] == OWN for f in frames])
+        for i in np.flatnonzero(own):
+            out[i] = np.random.default_rng([self.config.seed, *frames[i].astype(np.uint32)]).normal(0, 0.3, self.frame_width)
+        rest = np.flatnonzero(~own)
+        for at in by_length([frames[i] for i in rest]):
+            at = rest[at]
             ids, lengths = padded([frames[i] for i in at])
             x = self.params[f"{self.name}.tokens"][ids]
             if self.frames:

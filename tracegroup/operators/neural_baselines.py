@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from tracegroup.operators import train
 from tracegroup.operators.baselines import traces_of
 from tracegroup.operators.bpe import UNKNOWN
-from tracegroup.operators.encoder import EncoderConfig, TraceEncoder
+from tracegroup.operators.encoder import OWN, EncoderConfig, TraceEncoder
 from tracegroup.operators.index import exact_topk
 from tracegroup.operators.losses import bce_pair
 from tracegroup.operators.nn import Adam, Arrays
@@ -69,12 +69,17 @@ def pairwise_step(model: TraceEncoder, head: PairHead, anchors: list, positives:
 
 
 def names_as_tokens(reports: DataFrame, name, most: int) -> tuple[DataFrame, dict[str, int]]:
-    """(fp, toks) with one id per frame, of the `most` most frequent names of the training part; others share the unknown id."""
+    """(fp, toks): one id per frame, of the `most` most frequent names of the training part; any other name has a fixed vector of its own, by its hash.
+
+    Ids only bound the table that is trained; the fixed vectors are drawn in the tasks, as the table's are before training.
+    """
     old = reports.where("part = 'train'").select(F.explode("frames").alias("f")).select(name(F.col("f")).alias("name")).groupBy("name").agg(F.count("*").alias("n"))
     ids = {r["name"]: i + 2 for i, r in enumerate(old.orderBy(F.desc("n"), "name").limit(most - 2).collect())}
     table = reports.sparkSession.createDataFrame(list(ids.items()) or [("", UNKNOWN)], "name string, id int")
     spread = traces_of(reports).select("fp", F.posexplode_outer("frames").alias("pos", "f")).withColumn("name", name(F.col("f"))).join(table, "name", "left")
-    one = F.when(F.col("pos").isNotNull(), F.struct("pos", F.array(F.coalesce("id", F.lit(UNKNOWN))).alias("t")))
+    h = F.xxhash64("name")
+    own = F.array(F.lit(OWN), F.shiftright(h, 32).cast("int"), (h.bitwiseAND(F.lit(0xFFFFFFFF)) - F.lit(1 << 31)).cast("int"))
+    one = F.when(F.col("pos").isNotNull(), F.struct("pos", F.when(F.col("id").isNotNull(), F.array("id")).otherwise(own).alias("t")))
     return spread.groupBy("fp").agg(F.transform(F.sort_array(F.collect_list(one)), lambda x: x["t"]).alias("toks")), ids
 
 
