@@ -80,3 +80,10 @@ def test_windows_against_every_run():
             assert any(i <= y and x <= j for _, x, y in got)
         hit += bool(got)
     assert hit > 100
+
+
+def test_words_split_at_other_signs(spark):
+    signs = " ".join(chr(0x4E00 + i) for i in range(3000))
+    text = {1: "All\u00a0rights\u00a0reserved.", 2: "x y\nAll_rights_reserved", 3: "All,rights:reserved", 4: f"{signs} All rights reserved. {signs}"}
+    for r in li.scan(spark.createDataFrame(list(text.items()), "doc_id long, text string")).collect():
+        assert [(m["template"], m["low"], m["high"]) for m in r["matches"]] == brute(text[r["doc_id"]]) and (r["licence"], r["dice"]) == ("Reserved", 1.0)

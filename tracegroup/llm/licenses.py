@@ -55,8 +55,6 @@ class Templates:
     def __init__(self, texts: Mapping[str, str], threshold: float):
         self.threshold = threshold
         self.sets = sorted(((len(b), name, b) for name, t in texts.items() if (b := bigrams(t))), key=lambda x: x[:2])
-        self.least = min((n for n, _, _ in self.sets), default=0)
-        self.most = max((n for n, _, _ in self.sets), default=0)
         self.first = {pair for _, _, b in self.sets for pair in b}
         self.words = {w for pair in self.first for w in pair}
 
@@ -65,10 +63,6 @@ class Templates:
         t = self.threshold
         return size * t / (2 - t) - 1e-9, size * (2 - t) / t + 1e-9
 
-    def possible(self, words: int) -> bool:
-        """Whether a text of so many words can reach the threshold with any template; it has at most words - 1 bigrams."""
-        return words > 1 and words - 1 >= self.bounds(self.least)[0]
-
     def matches(self, text: str) -> Iterator[tuple[str, float]]:
         found = bigrams(text)
         low, high = self.bounds(len(found))
@@ -165,7 +159,6 @@ def scan(docs: DataFrame, templates: Mapping[str, str] = TEMPLATES, threshold: f
     columns are not read. A piece is judged whole, however long.
     """
     known = Templates(templates, threshold)
-    widest = known.bounds(known.most)[1]
 
     def found(body: str) -> list[dict]:
         words_of = _WORD.findall(body.lower())
@@ -174,12 +167,6 @@ def scan(docs: DataFrame, templates: Mapping[str, str] = TEMPLATES, threshold: f
             return []
         out = []
         for piece, low, high in pieces(body):
-            # a cheap bound first: bigrams are at most the words less one, and a set over the widest size cannot match
-            words = piece.count(" ") + piece.count("\n") + piece.count("\t") + 1
-            if not known.possible(words + piece.count(".") + piece.count("-") + piece.count("/")):
-                continue
-            if words > 4 * widest and len(set(piece.split())) - 1 > widest * 2:
-                continue
             out += [{"template": n, "dice": d, "low": low, "high": high} for n, d in known.matches(piece)]
         starts, ends = placed_words(body)
         had = {(m["template"], bisect_left(starts, m["low"]), bisect_right(ends, m["high"]) - 1) for m in out}
