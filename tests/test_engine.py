@@ -146,3 +146,13 @@ def test_sql_functions(spark):
     assert [tuple(r) for r in rows] == [(0, "a.b", "C", "m"), (1, "", "", "f")]
     assert spark.sql("select frame_similarity(array('a','b'), array('a','c'))").first()[0] == 0.5
     assert spark.sql("select vec_max(v) from values (array(1D, 5D)), (array(2D, 3D)) t(v)").first()[0] == [2, 5]
+
+
+def test_doc_copies_of_large_groups(spark, tmp_path):
+    """Over 200 copies, and near copies of them, are one category; no cap on a sentence's documents."""
+    from tracegroup.sources.workloads import doc_copies
+
+    rows = [(i, "One here. Two here. Three here." + (f" Own {i}." if i % 2 else "")) for i in range(230)] + [(500, "One here. Other a. Other b. Other c"), (501, "")]
+    spark.createDataFrame(rows, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {r["report_id"]: r["category_id"] for r in doc_copies(spark, str(tmp_path)).collect()}
+    assert got == {**dict.fromkeys(range(230), "0"), 500: "500", 501: "501"}

@@ -65,16 +65,22 @@ def planted_docs(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def doc_copies(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Categories are components of documents whose distinct sentences have Jaccard 0.5 or more, met at a sentence of 2 to 200 documents."""
+    """Categories are components of documents whose distinct sentences have Jaccard 0.5 or more.
+
+    Equal sets are one node; two others can only reach 0.5 if they share one of their n // 2 + 1 rarest sentences.
+    """
     docs = load(spark, sf_dir, "documents").select(F.col("doc_id").alias("report_id"), F.col("doc_id").alias("arrival"), sentences(F.col("text")).alias("frames"))
-    sets = docs.select("report_id", F.array_distinct("frames").alias("d"))
-    postings = sets.select("report_id", F.size("d").alias("n"), F.explode("d").alias("frame"))
-    df = postings.groupBy("frame").agg(F.count("*").alias("df")).where("df between 2 and 200")
-    rare = postings.join(df, "frame").select("frame", "report_id")
-    ids = rare.select("frame", F.col("report_id").alias("a")).join(rare.select("frame", F.col("report_id").alias("b")), "frame").where("a < b").select("a", "b").distinct()
-    left, right = sets.toDF("a", "da"), sets.toDF("b", "db")
+    sets = docs.select("report_id", F.array_sort(F.array_distinct("frames")).alias("d")).where("size(d) > 0")
+    heads = sets.groupBy("d").agg(F.min("report_id").alias("head"))
+    equal = sets.join(heads, "d").where("head < report_id").select(F.col("head").alias("a"), F.col("report_id").alias("b"))
+    postings = heads.select("head", F.explode("d").alias("frame"))
+    df = postings.groupBy("frame").agg(F.count("*").alias("df"))
+    ordered = postings.join(df, "frame").groupBy("head").agg(F.sort_array(F.collect_list(F.struct("df", "frame"))).alias("o"))
+    rare = ordered.select("head", F.explode(F.slice("o", F.lit(1), F.floor(F.size("o") / 2).cast("int") + 1)).alias("x")).select("head", F.col("x.frame").alias("frame"))
+    ids = rare.select("frame", F.col("head").alias("a")).join(rare.select("frame", F.col("head").alias("b")), "frame").where("a < b").select("a", "b").distinct()
+    left, right = heads.toDF("da", "a"), heads.toDF("db", "b")
     both = ids.join(left, "a").join(right, "b").withColumn("i", F.size(F.array_intersect("da", "db")))
-    edges = both.where("2 * i >= size(da) + size(db) - i").select("a", "b")
+    edges = both.where("2 * i >= size(da) + size(db) - i").select("a", "b").unionByName(equal)
     named = components(edges, "doc-copies")
     return docs.join(named, docs["report_id"] == named["node"], "left").select("report_id", "arrival", "frames", F.coalesce("component", "report_id").cast("string").alias("category_id"), F.map_from_arrays(F.array().cast("array<string>"), F.array().cast("array<string>")).alias("meta"))
 
