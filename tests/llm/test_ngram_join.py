@@ -50,10 +50,12 @@ def near_rows(seed):
 
 @pytest.mark.parametrize("seed", [1, 2, 3])
 def test_against_brute_force(spark, seed, monkeypatch):
-    if seed > 1:  # no first look, and components named from two nodes on
-        monkeypatch.setattr(j, "ROUNDS", 4 - seed)
-        monkeypatch.setattr(j, "BEST", 1)
-        monkeypatch.setattr(j, "LARGE", 2)
+    if seed > 1:  # blocks, components and queries dealt out over several groups
+        monkeypatch.setattr(j, "BLOCK", 3)
+        monkeypatch.setattr(j, "MEMBERS", 50)
+        monkeypatch.setattr(j, "QUERIES", 2)
+    if seed > 2:  # no stars, so all links are found across components
+        monkeypatch.setattr(j, "_stars", lambda nodes: nodes.selectExpr("node as a", "node as b").where("false"))
     rows = near_rows(seed)
     got = j.similar_groups(spark.createDataFrame(rows, "doc_id long, text string")).collect()
     assert sorted((str(r[0]), r[1], str(r[2])) for r in got) == brute(rows)
@@ -92,3 +94,22 @@ def test_prefixes_of_similar_sets_meet():
         b = {x for x in a if rng.random() > 0.12} | set(range(100, 100 + rng.randint(0, 6)))
         if b and j.linked(len(a & b), len(a), len(b)):
             assert set(sorted(a)[: j.prefix_size(len(a))]) & set(sorted(b)[: j.prefix_size(len(b))])
+
+
+def test_wide_points():
+    rng = np.random.default_rng(2)
+    small, large = np.unique(rng.integers(0, 1 << 63, 500).astype(np.uint64)), np.unique(rng.integers(0, 1 << 63, 90_000).astype(np.uint64))
+    import pyarrow as pa
+
+    points = j.points_of(pa.array([j.counts(small), j.counts(large)], pa.binary()))
+    assert points.sum(1).tolist() == [len(small), len(large)] and points.max() > 255
+    assert j.overlap(points[0], points[1]) >= len(np.intersect1d(small, large))
+
+
+def test_index_counts_as_sets_do():
+    rng = random.Random(7)
+    sets = [np.unique(np.array([rng.randrange(60) for _ in range(rng.randint(1, 50))], np.uint64)) for _ in range(40)]
+    index = j.SetIndex(sets)
+    for s in sets:
+        want = [k for k, x in enumerate(sets) if j.linked(len(np.intersect1d(s, x)), len(s), len(x))]
+        assert index.linked(s).tolist() == want

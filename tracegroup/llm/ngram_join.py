@@ -3,7 +3,9 @@
 Shingles are hashed into groups; a text's counts per group are a point, and the sum of coordinate
 minima bounds how many shingles two texts share. Texts meet only where their rarest quarter of
 shingles meets, which no pair of the wanted similarity can avoid. What the bounds leave is verified
-on whole shingle sets.
+on whole shingle sets. Texts are first gathered into components by stars around a few of them, so
+that only pairs across components have to be looked for, and those are named as a text beside a
+component, never as all pairs with its members.
 """
 
 from __future__ import annotations
@@ -19,20 +21,18 @@ from pyspark.sql import functions as F
 from tracegroup.llm import bytehash
 from tracegroup.llm.common import bytes_of, components, mask_of, masked, slices, small_batches, written
 
-GROUPS = 32
+GROUPS = 256
 #: Texts per leaf of the tree.
-LEAF = 32
+LEAF = 64
 #: Entries of the list of frequent shingles. It only orders shingles, so no result depends on it.
 FREQUENT = 100_000
 WORDS = 5
-#: How often the nodes of a block are held against one of them before all that is left is looked at.
-ROUNDS = 3
-#: Nodes of a block that the others are held against in a round.
-HEADS = 12
-#: How many of them each node is compared with: those it shares most with.
-BEST = 6
-#: Nodes of one component in a block from which on the block names the component instead of its nodes.
-LARGE = 8
+#: Ranges of hashes whose smallest values propose stars, and how many of them make one proposal.
+RANGES, JOINED = 32, 4
+#: Nodes of a block that one task takes; a larger block is dealt out as pairs of parts of this size.
+BLOCK = 16_384
+#: Shingles of a component's members that a text is held against in one task, and texts that one task holds against them.
+MEMBERS, QUERIES = 100_000, 2_048
 #: Similarity: 100 * shared >= PERCENT * united.
 PERCENT = 75
 
@@ -48,9 +48,33 @@ def sets_of(column: pa.Array, n: int = WORDS) -> Iterator[tuple[int, int, list[n
         yield a, b, [np.unique(bytehash.shingles(words[i:j], n)) for i, j in zip(cut[:-1], cut[1:], strict=True)]
 
 
-def counts(shingles: np.ndarray) -> np.ndarray:
-    """The point of a text: how many of its shingles fall into each group."""
-    return np.bincount((shingles >> np.uint64(59)).astype(np.int64), minlength=GROUPS).astype(np.int32)
+def counts(shingles: np.ndarray) -> bytes:
+    """The point of a text: how many of its shingles fall into each group, a byte each where that is enough."""
+    found = np.bincount((shingles >> np.uint64(56)).astype(np.int64), minlength=GROUPS)
+    return found.astype(np.uint8 if found.max() < 256 else np.int32).tobytes()
+
+
+def points_of(column: pa.ChunkedArray | pa.Array) -> np.ndarray:
+    """Points, one row each."""
+    raw = column.to_pylist()
+    if all(len(x) == GROUPS for x in raw):
+        return np.frombuffer(b"".join(raw), np.uint8).reshape(-1, GROUPS)
+    return np.stack([np.frombuffer(x, np.uint8 if len(x) == GROUPS else np.int32).astype(np.int32) for x in raw])
+
+
+def overlap(x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """Sum of coordinate minima: at least as many shingles as two texts (or boxes) share."""
+    return np.minimum(x, y).sum(-1, dtype=np.int64)
+
+
+_EDGES = (np.arange(RANGES, dtype=np.uint64) << np.uint64(64 - RANGES.bit_length() + 1)).astype(np.uint64)
+_ODD = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x27D4EB2F165667C5][:JOINED], np.uint64)
+
+
+def proposals(shingles: np.ndarray) -> np.ndarray:
+    """Names that similar sets are likely to have in common: hashes of the first values from some places on, a few at a time."""
+    first = shingles[np.searchsorted(shingles, _EDGES) % len(shingles)].reshape(-1, JOINED)
+    return bytehash.mix((first * _ODD).sum(1, dtype=np.uint64) + np.arange(len(first), dtype=np.uint64)).view(np.int64)
 
 
 def node_of(shingles: np.ndarray) -> int:
@@ -68,7 +92,10 @@ def linked(shared: int, a: int, b: int) -> bool:
 
 
 class CountTree:
-    """R-tree of points: each node has the largest count per group, the range of sizes and the range of components below it."""
+    """R-tree of points: each node has the largest count per group, the range of sizes and the range of components below it.
+
+    A component with more points than a leaf holds is a branch of its own, which is never held against itself.
+    """
 
     def __init__(self, points: np.ndarray, sizes: np.ndarray, parts: np.ndarray):
         self.points, self.sizes, self.parts = points, sizes, parts
@@ -76,11 +103,17 @@ class CountTree:
 
     def _load(self, rows: np.ndarray) -> tuple:
         top, size, part = self.points[rows].max(0), self.sizes[rows], self.parts[rows]
-        box = (top, size.min(), size.max(), part.min(), part.max())
+        box = (top, int(size.min()), int(size.max()), part.min(), part.max())
         if len(rows) <= LEAF:
             return (*box, rows, ())
-        spread = np.ptp(self.points[rows], 0)
-        by_size = np.ptp(size) > spread.max()
+        if box[3] != box[4]:
+            own, back, times = np.unique(part, return_inverse=True, return_counts=True)
+            if times.max() > LEAF:
+                most = back == times.argmax()
+                return (*box, rows, (self._load(rows[most]), self._load(rows[~most])))
+        low = self.points[rows].min(0)
+        spread = top.astype(np.int64) - low
+        by_size = box[2] - box[1] > spread.max()
         order = np.argsort(size if by_size else self.points[rows, spread.argmax()], kind="stable")
         halves = np.array_split(rows[order], 2)
         return (*box, rows, tuple(self._load(h) for h in halves))
@@ -92,7 +125,7 @@ class CountTree:
             return True
         if 100 * x[2] < PERCENT * y[1] or 100 * y[2] < PERCENT * x[1]:
             return True
-        return (100 + PERCENT) * int(np.minimum(x[0], y[0]).sum()) < PERCENT * int(x[1] + y[1])
+        return bool((100 + PERCENT) * overlap(x[0], y[0]) < PERCENT * (x[1] + y[1]))
 
     def pairs(self) -> Iterator[tuple[np.ndarray, np.ndarray]]:
         """Row pairs of different components that the bounds leave."""
@@ -103,14 +136,16 @@ class CountTree:
                 continue
             if not x[6] and not y[6]:
                 a, b = x[5], y[5]
-                bound = np.minimum(self.points[a][:, None, :], self.points[b][None, :, :]).sum(2)
-                fits = (100 + PERCENT) * bound.astype(np.int64) >= PERCENT * (self.sizes[a][:, None] + self.sizes[b][None, :]).astype(np.int64)
-                fits &= self.parts[a][:, None] != self.parts[b][None, :]
+                fits = self.parts[a][:, None] != self.parts[b][None, :]
                 if x is y:
                     fits = np.triu(fits, 1)
+                na, nb = self.sizes[a][:, None], self.sizes[b][None, :]
+                fits &= (100 * na >= PERCENT * nb) & (100 * nb >= PERCENT * na)
                 i, j = np.nonzero(fits)
-                if len(i):
-                    yield a[i], b[j]
+                i, j = a[i], b[j]
+                ok = (100 + PERCENT) * overlap(self.points[i], self.points[j]) >= PERCENT * (self.sizes[i] + self.sizes[j])
+                if ok.any():
+                    yield i[ok], j[ok]
             elif x is y:
                 todo += [(p, q) for k, p in enumerate(x[6]) for q in x[6][k:]]
             else:
@@ -118,45 +153,49 @@ class CountTree:
 
 
 def _profile(docs: DataFrame, id_col: str, text: str) -> DataFrame:
-    """Rows of kind 0: id, tk (hash of the text), node, n and point; of kind 1: shingles that several texts of a slice share, with their number there."""
+    """Rows of kind 0: id, tk (hash of the text), node, n, point and proposals; of kind 1: shingles that several texts of a slice share, with their number there."""
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in it:
             for a, b, sets in sets_of(batch.column("t")):
                 node = [node_of(s) if len(s) else None for s in sets]
-                rows = [pa.array(np.zeros(b - a, np.int32)), batch.column("id").slice(a, b - a), batch.column("tk").slice(a, b - a), pa.array(node, pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array([counts(s).tobytes() for s in sets], pa.binary())]
-                yield pa.RecordBatch.from_arrays(rows, names)
+                told = [pa.array(np.zeros(b - a, np.int32)), batch.column("id").slice(a, b - a), batch.column("tk").slice(a, b - a), pa.array(node, pa.int64()), pa.array([len(s) for s in sets], pa.int64())]
+                told += [pa.array([counts(s) if len(s) else None for s in sets], pa.binary()), pa.array([proposals(s) if len(s) else None for s in sets], pa.list_(pa.int64()))]
+                yield pa.RecordBatch.from_arrays(told, names)
                 once = {k: s for k, s in zip(node, sets, strict=True)}
                 shingle, times = np.unique(np.concatenate(list(once.values())), return_counts=True)
                 shingle, times = shingle[times > 2], times[times > 2]
                 if len(shingle):
                     none = pa.nulls(len(shingle), pa.int64())
-                    yield pa.RecordBatch.from_arrays([pa.array(np.ones(len(shingle), np.int32)), none, none, pa.array(shingle.view(np.int64)), pa.array(times.astype(np.int64)), pa.nulls(len(shingle), pa.binary())], names)
+                    yield pa.RecordBatch.from_arrays([pa.array(np.ones(len(shingle), np.int32)), none, none, pa.array(shingle.view(np.int64)), pa.array(times.astype(np.int64)), pa.nulls(len(shingle), pa.binary()), pa.nulls(len(shingle), pa.list_(pa.int64()))], names)
 
-    names = ["kind", "id", "tk", "node", "n", "point"]
+    names = ["kind", "id", "tk", "node", "n", "point", "proposals"]
     given = docs.select(F.col(f"`{id_col}`").cast("long").alias("id"), F.xxhash64(F.coalesce(F.col(f"`{text}`"), F.lit(""))).alias("tk"), F.col(f"`{text}`").alias("t"))
-    return given.mapInArrow(run, "kind int, id long, tk long, node long, n long, point binary")
+    return given.mapInArrow(run, "kind int, id long, tk long, node long, n long, point binary, proposals array<long>")
+
 
+def _frequent(profile: DataFrame) -> tuple[np.ndarray, np.ndarray]:
+    """Shingles that many texts share, sorted, and how many: a list of bounded length."""
+    often = profile.where("kind = 1").groupBy("node").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "node").limit(FREQUENT).toArrow()
+    keys, rank = often.column("node").to_numpy().view(np.uint64), often.column("n").to_numpy()
+    order = np.argsort(keys)
+    return keys[order], rank[order]
 
-def _postings(docs: DataFrame, text: str, frequent: dict[int, int]) -> DataFrame:
-    """(shingle, node) for the rarest shingles of every text. A task leaves out texts whose set it has seen."""
-    keys = np.array(sorted(frequent), np.int64).view(np.uint64)
-    keys.sort()
-    rank = np.array([frequent[int(k)] for k in keys.view(np.int64)], np.int64)
-    shared = docs.sparkSession.sparkContext.broadcast((keys, rank))
+
+def _postings(docs: DataFrame, text: str, frequent: tuple[np.ndarray, np.ndarray]) -> DataFrame:
+    """(shingle, node) for the rarest shingles of every text. A task leaves out most texts whose set it has met."""
+    shared = docs.sparkSession.sparkContext.broadcast(frequent)
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         keys, rank = shared.value
-        seen: set[int] = set()
+        met = np.zeros(1 << 16, np.int64)  # the last node of each slot
         for batch in it:
             for _, _, sets in sets_of(batch.column("t")):
                 out, names = [], []
                 for s in sets:
-                    if not len(s) or (node := node_of(s)) in seen:
+                    if not len(s) or met[(node := node_of(s)) & 0xFFFF] == node:
                         continue
-                    if len(seen) > 1_000_000:
-                        seen.clear()
-                    seen.add(node)
+                    met[node & 0xFFFF] = node
                     p = prefix_size(len(s))
                     if len(keys):
                         at = np.minimum(np.searchsorted(keys, s), len(keys) - 1)
@@ -172,11 +211,11 @@ def _postings(docs: DataFrame, text: str, frequent: dict[int, int]) -> DataFrame
 
 
 def _blocks(postings: DataFrame) -> DataFrame:
-    """(shingle, node, leader, second) for shingles that several nodes have: each node but the first, with the first; one row each is marked `second`."""
+    """(shingle, node), each once, for shingles that several nodes have. Streams over sorted rows; of a block only its first node is remembered."""
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         last_key = last_node = leader = None
-        marked = False
+        told = False  # whether the block that goes on has its first node written
         for batch in it:
             key, node = batch.column(0).to_numpy(), batch.column(1).to_numpy()
             if not len(key):
@@ -193,15 +232,16 @@ def _blocks(postings: DataFrame) -> DataFrame:
             second = np.ones(len(rows), bool)
             second[1:] = begin[rows[1:]] != begin[rows[:-1]]
             if len(rows) and begin[rows[0]] < 0:
-                second[0] = not marked
+                second[0] = not told
             ended = begin[-1]
-            marked = bool(len(rows) and begin[rows[-1]] == ended) or (ended < 0 and marked)
+            told = bool(len(rows) and begin[rows[-1]] == ended) or (ended < 0 and told)
             last_key, last_node, leader = key[-1], node[-1], lead[-1]
             if len(rows):
-                yield pa.RecordBatch.from_arrays([pa.array(key[rows]), pa.array(node[rows]), pa.array(lead[rows]), pa.array(second)], ["shingle", "node", "leader", "second"])
+                first = rows[second]
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([key[rows], key[first]])), pa.array(np.concatenate([node[rows], lead[first]]))], ["shingle", "node"])
 
     dealt = postings.repartition("shingle").sortWithinPartitions("shingle", "node")
-    return dealt.mapInArrow(run, "shingle long, node long, leader long, second boolean")
+    return dealt.mapInArrow(run, "shingle long, node long")
 
 
 def _enough(common: Column, na: Column, nb: Column) -> Column:
@@ -220,95 +260,112 @@ def _bounded(pairs: DataFrame) -> DataFrame:
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in it:
-            na, nb = batch.column("na").to_numpy().astype(np.int64), batch.column("nb").to_numpy().astype(np.int64)
-            x, y = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.int32).reshape(-1, GROUPS) for c in ("pa", "pb"))
-            bound = np.minimum(x, y).sum(1, dtype=np.int64)
-            ok = ((100 + PERCENT) * bound >= PERCENT * (na + nb)) & (100 * na >= PERCENT * nb) & (100 * nb >= PERCENT * na)
+            na, nb = batch.column("na").to_numpy(), batch.column("nb").to_numpy()
+            ok = (100 * na >= PERCENT * nb) & (100 * nb >= PERCENT * na)
+            if len(ok):
+                ok &= (100 + PERCENT) * overlap(points_of(batch.column("pa")), points_of(batch.column("pb"))) >= PERCENT * (na + nb)
             yield batch.filter(pa.array(ok)).select(["a", "b"])
 
     return pairs.mapInArrow(run, "a long, b long")
 
 
-def _verified(pairs: DataFrame, texts: DataFrame) -> DataFrame:
-    """Those pairs whose whole shingle sets are similar enough.
+class SetIndex:
+    """Shingle sets by shingle, to count what another set shares with each of them."""
+
+    def __init__(self, sets: list[np.ndarray]):
+        self.sizes = np.array([len(s) for s in sets], np.int64)
+        values = np.concatenate(sets)
+        order = np.argsort(values, kind="stable")
+        self.owner = np.repeat(np.arange(len(sets)), self.sizes)[order]
+        self.keys, self.start = np.unique(values[order], return_index=True)
+        self.count = np.diff(np.append(self.start, len(values)))
+
+    def linked(self, s: np.ndarray) -> np.ndarray:
+        """The sets that are similar enough to s."""
+        at = np.minimum(np.searchsorted(self.keys, s), len(self.keys) - 1)
+        at = at[self.keys[at] == s]
+        start, count = self.start[at], self.count[at]
+        places = np.repeat(start - np.cumsum(count) + count, count) + np.arange(count.sum())
+        shared = np.bincount(self.owner[places], minlength=len(self.sizes))
+        return np.flatnonzero((100 * shared >= PERCENT * (self.sizes + len(s) - shared)) & (shared > 0))
 
-    Each b's text goes to its a; an a with many partners is dealt out by salt, with a copy of its text for each.
+
+def _verified(base: DataFrame, queries: DataFrame, texts: DataFrame) -> DataFrame:
+    """(a, b): for each query b of a group, one of the group's base nodes a whose whole shingle set is similar enough, if there is one.
+
+    base, queries: (g, salt, node). A task has the base of a group in memory, which the caller keeps small, and streams the queries.
     """
-    per_a = pairs.groupBy("a").agg(F.count("*").alias("n")).select("a", F.ceil(F.col("n") / 256).cast("int").alias("deal"))
-    salted = pairs.join(per_a, "a").select("a", "b", F.pmod(F.xxhash64("b"), F.col("deal")).cast("int").alias("salt"))
-    right = salted.join(texts.withColumnRenamed("node", "b"), "b").select("a", "salt", "b", "t")
-    left = per_a.select("a", F.explode(F.expr("sequence(0, deal - 1)")).alias("salt")).join(texts.withColumnRenamed("node", "a"), "a").select("a", "salt", F.lit(None).cast("long").alias("b"), "t")
+    kinds = base.select("g", "salt", F.lit(0).alias("kind"), "node").unionByName(queries.select("g", "salt", F.lit(1).alias("kind"), "node"))
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own, mine = None, None
+        own, held, names, index = None, [], [], None
         for batch in it:
-            a, salt, b = (batch.column(c).to_pylist() for c in ("a", "salt", "b"))
-            out = []
+            g, salt, kind, node = (batch.column(c).to_numpy() for c in ("g", "salt", "kind", "node"))
+            x, y = [], []
             for i, _, sets in sets_of(batch.column("t")):
                 for k, s in enumerate(sets, i):
-                    if b[k] is None:
-                        own, mine = (a[k], salt[k]), s
-                    elif own == (a[k], salt[k]) and linked(len(np.intersect1d(mine, s, assume_unique=True)), len(mine), len(s)):
-                        out.append((a[k], b[k]))
-            if out:
-                x, y = zip(*out, strict=True)
+                    if own != (g[k], salt[k]):
+                        own, held, names, index = (g[k], salt[k]), [], [], None
+                    if kind[k] == 0:
+                        held.append(s)
+                        names.append(node[k])
+                        continue
+                    if held and index is None:
+                        index = SetIndex(held)
+                    hits = index.linked(s) if index is not None else ()
+                    hit = next((h for h in hits if names[h] != node[k]), None)
+                    if hit is not None:
+                        x.append(names[hit])
+                        y.append(node[k])
+            if x:
                 yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()), pa.array(y, pa.int64())], ["a", "b"])
 
-    dealt = left.unionByName(right).repartition("a", "salt").sortWithinPartitions("a", "salt", F.col("b").asc_nulls_first())
+    dealt = kinds.join(texts, "node").select("g", "salt", "kind", "node", "t").repartition("g", "salt").sortWithinPartitions("g", "salt", "kind")
     return dealt.mapInArrow(run, "a long, b long")
 
 
 def _cross(members: DataFrame) -> DataFrame:
-    """Pairs (a, b, na, nb, null, common) of different components that the tree's bounds leave, with the number of blocks they share;
-    and (a, null, na, null, part, common) for a node beside a component that has many nodes in a block, with the number of such blocks.
+    """(a, na, q, common, low, high): node a beside component q, with the blocks they share and the sizes of q's nodes there that the tree's bounds leave.
 
-    members: shingle, node, part (component so far), n, point. Whether the bounds leave a pair does not
-    depend on the block, so every shared block counts.
+    members: block, node, part (component so far), psize, n, point. Of two components the nodes of the one with
+    fewer nodes are named, so that the same way holds in all blocks. Whether the bounds leave a pair
+    does not depend on the block, so every shared block counts.
     """
 
+    def told(i: np.ndarray, j: np.ndarray, cut: np.ndarray, node, part, psize, n) -> Iterator[pa.RecordBatch]:
+        swap = (psize[i] > psize[j]) | ((psize[i] == psize[j]) & (part[i] > part[j]))
+        i, j = np.where(swap, j, i), np.where(swap, i, j)
+        block = np.searchsorted(cut, i, "right")
+        once = pa.table({"g": block, "a": node[i], "na": n[i], "q": part[j], "nb": n[j]}).group_by(["g", "a", "na", "q"]).aggregate([("nb", "min"), ("nb", "max")])
+        found = once.group_by(["a", "na", "q"]).aggregate([([], "count_all"), ("nb_min", "min"), ("nb_max", "max")])
+        for batch in found.combine_chunks().to_batches():
+            yield pa.RecordBatch.from_arrays([batch.column(c) for c in ("a", "na", "q", "count_all", "nb_min_min", "nb_max_max")], ["a", "na", "q", "common", "low", "high"])
+
     def flush(held: list[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = pa.Table.from_batches(held).combine_chunks()
-        key, node, part, n = (table.column(c).to_numpy() for c in ("shingle", "node", "part", "n"))
+        key, node, part, psize, n = (table.column(c).to_numpy() for c in ("block", "node", "part", "psize", "n"))
         cut = np.concatenate([[0], np.flatnonzero(key[1:] != key[:-1]) + 1, [len(key)]])
         size = np.diff(cut)
         mixed = np.minimum.reduceat(part, cut[:-1]) != np.maximum.reduceat(part, cut[:-1])
         if not mixed.any():
             return
-        points = np.frombuffer(b"".join(table.column("point").to_pylist()), np.int32).reshape(-1, GROUPS)
+        points = points_of(table.column("point"))
         first = cut[:-1][mixed & (size == 2)]  # blocks of two are bounded all at once
         sizes = n[first] + n[first + 1]
-        fits = (100 + PERCENT) * np.minimum(points[first], points[first + 1]).sum(1, dtype=np.int64) >= PERCENT * sizes
+        fits = (100 + PERCENT) * overlap(points[first], points[first + 1]) >= PERCENT * sizes
         fits &= (100 * n[first] >= PERCENT * n[first + 1]) & (100 * n[first + 1] >= PERCENT * n[first])
-        x, y = [first[fits]], [first[fits] + 1]
-        beside, whole = [], []
+        x, y, held_pairs = [first[fits]], [first[fits] + 1], int(fits.sum())
         for g in np.flatnonzero(mixed & (size > 2)):
-            rows = np.arange(cut[g], cut[g + 1])
-            own, back, times = np.unique(part[rows], return_inverse=True, return_counts=True)
-            for c in np.flatnonzero(times >= LARGE):
-                # of two large components the nodes of the smaller are named
-                other = rows[(times[back] < times[c]) | ((times[back] == times[c]) & (back < c))]
-                beside.append(other)
-                whole.append(np.full(len(other), own[c]))
-            rows = rows[times[back] < LARGE]
-            if len(rows) > 1:
-                for i, j in CountTree(points[rows], n[rows], part[rows]).pairs():
-                    x.append(rows[i])
-                    y.append(rows[j])
-        if beside and sum(map(len, beside)):
-            i, p = np.concatenate(beside), np.concatenate(whole)
-            named = pa.table({"a": node[i], "na": n[i], "part": p}).group_by(["a", "na", "part"]).aggregate([([], "count_all")])
-            for batch in named.combine_chunks().to_batches():
-                none = pa.nulls(batch.num_rows, pa.int64())
-                yield pa.RecordBatch.from_arrays([batch.column("a"), none, batch.column("na"), none, batch.column("part"), batch.column("count_all")], names)
-        i, j = np.concatenate(x), np.concatenate(y)
-        if len(i):
-            swap = node[i] > node[j]
-            i, j = np.where(swap, j, i), np.where(swap, i, j)
-            both = pa.table({"a": node[i], "b": node[j], "na": n[i], "nb": n[j]}).group_by(["a", "b", "na", "nb"]).aggregate([([], "count_all")])
-            for batch in both.combine_chunks().to_batches():
-                yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in ("a", "b", "na", "nb")), pa.nulls(batch.num_rows, pa.int64()), batch.column("count_all")], names)
-
-    names = ["a", "b", "na", "nb", "part", "common"]
+            rows = slice(cut[g], cut[g + 1])
+            for i, j in CountTree(points[rows], n[rows], part[rows]).pairs():
+                x.append(i + cut[g])
+                y.append(j + cut[g])
+                held_pairs += len(i)
+                if held_pairs > 500_000:  # a block told in two goes counts twice, which only leaves more to verify
+                    yield from told(np.concatenate(x), np.concatenate(y), cut, node, part, psize, n)
+                    x, y, held_pairs = [], [], 0
+        if held_pairs:
+            yield from told(np.concatenate(x), np.concatenate(y), cut, node, part, psize, n)
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[pa.RecordBatch] = []
@@ -316,23 +373,34 @@ def _cross(members: DataFrame) -> DataFrame:
         for batch in it:
             if not batch.num_rows:
                 continue
-            key = batch.column("shingle").to_numpy()
+            key = batch.column("block").to_numpy()
             cut = int(np.searchsorted(key, key[-1]))  # where the last, perhaps unfinished, block begins
-            if cut or (held and key[0] != held[-1].column("shingle")[-1].as_py()):
+            if cut or (held and key[0] != held[-1].column("block")[-1].as_py()):
                 if cut:
                     held.append(batch.slice(0, cut))
-                if rows + cut >= 50_000:
+                    rows += cut
+                if rows >= BLOCK:
                     yield from flush(held)
                     held, rows = [], 0
-                held.append(batch.slice(cut))
-            else:
-                held.append(batch)
+                batch = batch.slice(cut)
+            held.append(batch)
             rows += batch.num_rows
         if held:
             yield from flush(held)
 
-    dealt = members.repartition("shingle").sortWithinPartitions("shingle", "node")
-    return dealt.mapInArrow(run, "a long, b long, na long, nb long, part long, common long")
+    dealt = members.repartition("block").sortWithinPartitions("block")
+    return dealt.mapInArrow(run, "a long, na long, q long, common long, low long, high long")
+
+
+def _stars(nodes: DataFrame) -> DataFrame:
+    """(a, b): node b beside a leader a of a proposal that both have, where sizes and points let them be similar. Two leaders a proposal."""
+    rows = nodes.select("node", F.explode("proposals").alias("proposal"))
+    other = F.min(F.struct(F.xxhash64("node").alias("h"), F.col("node").alias("a")))["a"]
+    heads = rows.groupBy("proposal").agg(F.min("node").alias("x"), F.max("node").alias("most"), other.alias("y")).where("x != most")
+    met = rows.join(heads, "proposal").select("node", F.explode(F.array_distinct(F.array("x", "y"))).alias("a")).where("a != node")
+    met = met.select("a", F.col("node").alias("b")).distinct()
+    sides = nodes.select("node", "n", "point")
+    return _bounded(met.join(sides.toDF("a", "na", "pa"), "a").join(sides.toDF("b", "nb", "pb"), "b"))
 
 
 def similar_groups(docs: DataFrame, id_col: str = "doc_id", text: str = "text") -> DataFrame:
@@ -344,73 +412,48 @@ def similar_groups(docs: DataFrame, id_col: str = "doc_id", text: str = "text")
     component. Null texts count as empty; a null id is never a component's name unless all are null.
     Repeated rows and texts with equal sets are one node; rows stay. Empty tables give empty results.
 
-    Plan. Nodes meet at their rarest shingles (about a quarter of each set, by an order that puts frequent
-    ones last). First, a few times over, each node is held against a few other nodes, those of some
-    that share most with it, which costs a few pairs per node, and links are gathered into components. Then all pairs across components
-    inside a block pass the R-tree's bounds, and must share enough of their rarest shingles; the few that
-    are left are verified. Pairs within a component need no further look, so groups
-    of near copies never cost all their pairs.
+    Plan. First each node is held against a few leaders that it shares a proposal with; what links is
+    gathered into components. Then nodes meet at their rarest shingles (about a quarter of each set, by an order that
+    puts frequent ones last), which no linked pair can avoid. Blocks of one component are left out there; in the others
+    the R-tree's bounds say which nodes may link with which other components, and a node that shares
+    enough of its rarest shingles with a component is held against its members, dealt out in chunks.
+    So neither groups of near copies nor those that just miss the threshold are ever written as pairs.
     """
     profile = written(_profile(small_batches(docs), id_col, text), "shingle-profile")
     rows = profile.where("kind = 0").drop("kind")
-    often = profile.where("kind = 1").groupBy("node").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "node").limit(FREQUENT)
-    frequent = {r["node"]: r["n"] for r in often.collect()}
-    nodes = rows.where("node is not null").groupBy("node").agg(F.min("id").alias("low"), F.min("tk").alias("tk"), F.first("n").alias("n"), F.first("point").alias("point"))
+    nodes = rows.where("node is not null").groupBy("node").agg(F.min("id").alias("low"), F.min("tk").alias("tk"), F.first("n").alias("n"), F.first("point").alias("point"), F.first("proposals").alias("proposals"))
     nodes = written(nodes, "shingle-nodes")
-    blocks = written(_blocks(_postings(docs, text, frequent)), "shingle-blocks")
-
-    side = nodes.select("node", "n", "point")
-    members = blocks.select("shingle", "node").unionByName(blocks.where("second").select("shingle", F.col("leader").alias("node")))
-    parts = tried = found = None
-    for turn in range(ROUNDS):
-        told = members.withColumn("part", F.col("node")).withColumn("degree", F.lit(0)) if parts is None else members.join(parts, "node", "left").select("shingle", "node", F.coalesce("component", "node").alias("part"), F.coalesce("degree", F.lit(0)).alias("degree"))
-        # other nodes of each block are held against the rest every time, rather those that many have linked with
-        even = lambda k: (F.pmod(F.xxhash64("node", F.lit(HEADS * turn + k)), F.lit(1 << 30)) + 1) / (1 << 30)  # noqa: E731, B023
-        first = [F.min(F.struct((-F.log(even(k)) / (1 + F.col("degree"))).alias("h"), F.col("node").alias("a"), F.col("part").alias("p"))).alias(f"first{k}") for k in range(HEADS)]
-        heads = told.groupBy("shingle").agg(F.min("part").alias("low"), F.max("part").alias("high"), *first).where("low != high").select("shingle", F.array_distinct(F.array(*[F.struct(f"first{k}.a", f"first{k}.p") for k in range(HEADS)])).alias("first"))
-        open_ = written(told.join(heads, "shingle").select("shingle", "node", "part", "first"), "open-blocks")
-        members = open_.select("shingle", "node")
-        met = open_.select("node", "part", F.explode("first").alias("f")).where("part != f.p").groupBy(F.col("f.a").alias("a"), F.col("node").alias("b")).agg(F.count("*").alias("common"))
-        if tried is not None:
-            met = met.join(tried, (F.least(met["a"], met["b"]) == tried["x"]) & (F.greatest(met["a"], met["b"]) == tried["y"]), "left_anti")
-        size = nodes.select("node", "n")
-        sized = met.join(size.toDF("a", "na"), "a").join(size.toDF("b", "nb"), "b").where(_enough(F.col("common"), F.col("na"), F.col("nb")))
-        # a text meets no more heads than it has blocks, so this list is bounded by its length
-        best = sized.groupBy("b", "nb").agg(F.slice(F.sort_array(F.collect_list(F.struct("common", "a", "na")), asc=False), 1, BEST).alias("s")).select("b", "nb", F.explode("s").alias("s")).select("b", "nb", "s.a", "s.na")
-        point = nodes.select("node", "point")
-        best = best.join(point.toDF("a", "pa"), "a").join(point.toDF("b", "pb"), "b")
-        likely = written(_bounded(best).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "star-pairs")
-        now = likely.select(F.col("a").alias("x"), F.col("b").alias("y"))
-        tried = now if tried is None else tried.unionByName(now)
-        links = written(_verified(likely, _texts(docs, text, nodes, likely)), "star-links")
-        if links.isEmpty():
-            break
-        stars = links if parts is None else links.unionByName(parts.select(F.col("node").alias("a"), F.col("component").alias("b")))
-        found = links if found is None else found.unionByName(links)
-        degree = found.select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count("*").alias("degree"))
-        parts = written(components(stars).join(degree, "node", "left"), "star-parts")
-
-    if parts is None:
-        parts = nodes.select("node", F.col("node").alias("component")).where("false")
-    told = members.join(parts, "node", "left").select("shingle", "node", F.coalesce("component", "node").alias("part"))
-    split = told.groupBy("shingle").agg(F.min("part").alias("low"), F.max("part").alias("high")).where("low != high").select("shingle")
-    open_ = told.join(split, "shingle").join(side, "node").select("shingle", "node", "part", "n", "point")
-    cross = written(_cross(open_), "cross-blocks")
-    # a node beside a component shares with each of its nodes no more than with the component
-    beside = cross.where("b is null").groupBy("a", "na", "part").agg(F.sum("common").alias("common"))
-    inside = side.join(parts.select("node", "component"), "node").select(F.col("node").alias("b"), F.col("n").alias("nb"), F.col("component").alias("part"))
-    each = beside.join(inside, "part").where((100 * F.col("na") >= PERCENT * F.col("nb")) & (100 * F.col("nb") >= PERCENT * F.col("na")))
-    low, high = F.col("a") < F.col("b"), (F.col("a") >= F.col("b"))
-    each = each.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), F.when(low, F.col("na")).otherwise(F.col("nb")).alias("na"), F.when(high, F.col("na")).otherwise(F.col("nb")).alias("nb"), "common")
-    cross = cross.where("b is not null").select("a", "b", "na", "nb", "common").unionByName(each).groupBy("a", "b", "na", "nb").agg(F.sum("common").alias("common"))
-    point = nodes.select("node", "point")
-    cross = cross.where(_enough(F.col("common"), F.col("na"), F.col("nb"))).join(point.toDF("a", "pa"), "a").join(point.toDF("b", "pb"), "b")
-    cross = _bounded(cross)
-    cross = written(cross.join(tried.distinct(), (cross["a"] == tried["x"]) & (cross["b"] == tried["y"]), "left_anti"), "cross-pairs")
-    more = written(_verified(cross, _texts(docs, text, nodes, cross)), "cross-links")
+
+    stars = written(_stars(nodes), "star-pairs")
+    per = stars.groupBy("a").agg(F.ceil(F.count("*") / QUERIES).cast("int").alias("deal"))
+    queries = stars.join(per, "a").select(F.col("a").alias("g"), F.pmod(F.xxhash64("b"), F.col("deal")).cast("int").alias("salt"), F.col("b").alias("node"))
+    base = per.select(F.col("a").alias("g"), F.explode(F.expr("sequence(0, deal - 1)")).alias("salt"), F.col("a").alias("node"))
+    links = written(_verified(base, queries, _texts(docs, text, nodes, base, queries)), "star-links")
+    parts = written(components(links), "star-parts")
+
+    members = written(_blocks(_postings(docs, text, _frequent(profile))), "shingle-blocks")
+    size = parts.groupBy("component").agg(F.count("*").alias("psize"))
+    sides = nodes.select("node", "n", "point").join(parts.join(size, "component"), "node", "left")
+    sides = written(sides.select("node", "n", "point", F.coalesce("component", "node").alias("part"), F.coalesce("psize", F.lit(1)).alias("psize")), "shingle-sides")
+    mixed = members.join(sides.select("node", "part"), "node").groupBy("shingle").agg(F.min("part").alias("low"), F.max("part").alias("high"), F.count("*").alias("m"))
+    mixed = mixed.where("low != high").select("shingle", F.ceil(F.col("m") / BLOCK).cast("int").alias("deal"))
+    own = F.pmod(F.xxhash64("node"), F.col("deal")).cast("int")
+    met = members.join(mixed, "shingle").select("shingle", "node", "deal", own.alias("own"), F.explode(F.expr("sequence(0, deal - 1)")).alias("other"))
+    block = F.when(F.col("deal") == 1, F.col("shingle")).otherwise(F.xxhash64("shingle", F.least("own", "other"), F.greatest("own", "other")))
+    met = met.select(block.alias("block"), "node").join(sides, "node")
+    beside = written(_cross(met), "cross-blocks").groupBy("a", "na", "q").agg(F.sum("common").alias("common"), F.min("low").alias("low"), F.max("high").alias("high"))
+    # what is asked of the shared shingles falls with the distance between the sizes, so the ends of the range decide
+    beside = written(beside.where(_enough(F.col("common"), F.col("na"), F.col("low")) | _enough(F.col("common"), F.col("na"), F.col("high"))).select("a", "q"), "cross-beside")
+
+    inside = sides.select(F.col("part").alias("q"), "node", "n").join(beside.groupBy("q").agg(F.ceil(F.count("*") / QUERIES).cast("int").alias("salts")), "q")
+    chunks = inside.groupBy("q").agg(F.ceil(F.sum("n") / MEMBERS).cast("int").alias("chunks"), F.first("salts").alias("salts"))
+    chunks = written(chunks, "cross-chunks")
+    group = F.xxhash64("q", "chunk").alias("g")
+    base = inside.drop("salts").join(chunks, "q").withColumn("chunk", F.pmod(F.xxhash64("node"), F.col("chunks")).cast("int")).select(group, F.explode(F.expr("sequence(0, salts - 1)")).alias("salt"), "node")
+    queries = beside.join(chunks, "q").select("q", F.col("a").alias("node"), F.pmod(F.xxhash64("a"), F.col("salts")).cast("int").alias("salt"), F.explode(F.expr("sequence(0, chunks - 1)")).alias("chunk")).select(group, "salt", "node")
+    more = written(_verified(base, queries, _texts(docs, text, nodes, base, queries)), "cross-links")
     if not more.isEmpty():
-        stars = parts.select(F.col("node").alias("a"), F.col("component").alias("b"))
-        parts = components(stars.unionByName(more))
+        parts = components(more.unionByName(parts.select(F.col("component").alias("a"), F.col("node").alias("b"))))
     named = nodes.select("node", "low").join(parts, "node", "left").select("node", "low", F.coalesce("component", "node").alias("class"))
     lowest = named.groupBy("class").agg(F.min("low").alias("component_id"))
     names = named.join(lowest, "class").select("node", "class", "component_id")
@@ -418,10 +461,12 @@ def similar_groups(docs: DataFrame, id_col: str = "doc_id", text: str = "text")
     return told.select(F.col("id").alias(id_col), F.col("n").alias("n_shingles"), "component_id", "class", "tk")
 
 
-def _texts(docs: DataFrame, text: str, nodes: DataFrame, pairs: DataFrame) -> DataFrame:
-    """(node, t): one text for every node of a pair. A mask of bounded size keeps other texts from being shuffled."""
-    wanted = pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).distinct().join(nodes.select("node", "tk"), "node")
-    wanted = written(wanted, "shingle-wanted")
+def _texts(docs: DataFrame, text: str, nodes: DataFrame, *asked: DataFrame) -> DataFrame:
+    """(node, t): one text for every node asked for. A mask of bounded size keeps other texts from being shuffled."""
+    named = asked[0].select("node")
+    for more in asked[1:]:
+        named = named.unionByName(more.select("node"))
+    wanted = written(named.distinct().join(nodes.select("node", "tk"), "node"), "shingle-wanted")
     given = docs.select(F.coalesce(F.col(f"`{text}`"), F.lit("")).alias("t")).withColumn("tk", F.xxhash64("t"))
     found = masked(given, F.col("tk"), mask_of(wanted, F.col("tk")))[0].groupBy("tk").agg(F.first("t").alias("t"))
     return written(wanted.join(found, "tk").select("node", "t"), "shingle-texts")
