@@ -87,4 +87,17 @@ def test_plan_uses_every_piece():
     h = {x: rng.randint(1, 500) for x in rng.sample(range(1, 2049), 300)}
     plan = p.minimum_bin_slack(h)
     assert {x: int(v[-1]) for x, v in plan.upto.items()} == h
-    assert plan.sequences <= -(-sum(k * v for k, v in h.items()) // 2048) * 1.01 + 1
+    assert plan.sequences <= least_sequences(h, 2048) * 1.01 + 1
+
+
+def least_sequences(h, size):
+    """No plan has fewer: tokens over the size; or, for any k, pieces over half a sequence each alone, those over size - k closed to pieces of k and more."""
+    best = -(-sum(x * n for x, n in h.items()) // size)
+    for k in range(1, size // 2 + 1):
+        closed = sum(n for x, n in h.items() if x > size - k)
+        half = [(x, n) for x, n in h.items() if size // 2 < x <= size - k]
+        small = sum(x * n for x, n in h.items() if k <= x <= size // 2)
+        alone = sum(n for _, n in half)
+        room = sum((size - x) * n for x, n in half)
+        best = max(best, closed + alone + max(0, -(-(small - room) // size)))
+    return best

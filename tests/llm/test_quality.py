@@ -18,7 +18,7 @@ def test_scores_read_only_the_text(spark):
     docs, labels = table(spark, SF, "documents"), table(spark, SF, "labels")
     weights = quality_weights(docs, labels, q.QualityConfig(sample_rows=100, epochs=1))
     part = docs.where("doc_id < 40")
-    one = {r[0]: r[1] for r in q.score(part.select("doc_id", "text"), weights).collect()}
+    one = {r[0]: r[-1] for r in q.score(part.select("doc_id", "text"), weights).collect()}
     other = {r[0]: r[-1] for r in q.score(part.selectExpr("doc_id", "text", "'zz' as lang", "0 as source"), weights).collect()}
     assert one == other
 
