@@ -84,7 +84,7 @@ def spans(data: np.ndarray, offsets: np.ndarray, classes: np.ndarray) -> tuple[n
     return start, end, np.searchsorted(offsets, start, "right") - 1
 
 
-def token_hashes(data: np.ndarray, start: np.ndarray, end: np.ndarray, block: int = 1 << 20) -> np.ndarray:
+def token_hashes(data: np.ndarray, start: np.ndarray, end: np.ndarray, block: int = 1 << 16) -> np.ndarray:
     """A scrambled hash of each token, worked out block by block."""
     out = np.empty(len(start), np.uint64)
     giant = np.flatnonzero(end - start >= GIANT)

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
@@ -14,12 +15,29 @@ from tracegroup.sources.storage import shared_dir, written
 
 __all__ = ["components", "shared_dir", "written"]
 
+#: glibc's names of the size from which memory is mapped by itself, and of the number of arenas.
+_MAPPED_FROM, _ARENAS = -3, -8
+
+
+def _give_back() -> None:
+    """Let this process return the memory of large arrays when they are freed, as idle Python workers otherwise keep their peak."""
+    pa.set_memory_pool(pa.system_memory_pool())
+    try:
+        libc = ctypes.CDLL("libc.so.6")
+        libc.mallopt(_MAPPED_FROM, 1 << 20)
+        libc.mallopt(_ARENAS, 1)
+    except (OSError, AttributeError):
+        pass  # another C library: workers are larger, results the same
+
+
+_give_back()
+
 #: A membership mask has 2**MASK_BITS bits, so at most 2**(MASK_BITS - 6) rows of one word each.
 MASK_BITS = 24
 #: Text bytes that a kernel works on at a time (a longer text is taken alone).
 SLICE_BYTES = 2 << 20
 #: Bytes of a record batch.
-BATCH_BYTES = 8 << 20
+BATCH_BYTES = 4 << 20
 
 
 def small_batches(df: DataFrame) -> DataFrame:

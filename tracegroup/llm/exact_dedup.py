@@ -25,7 +25,7 @@ PRIME = (1 << 61) - 1
 BASE = 0x1F3B5C7D9E8A6421 % PRIME
 CHUNK = 1 << 16
 #: Texts that a task keeps at hand to find repeats before anything is shuffled.
-LOCAL_BYTES = 32 << 20
+LOCAL_BYTES = 8 << 20
 
 
 @lru_cache(maxsize=4)

@@ -8,6 +8,8 @@ pieces of equal length.
 from __future__ import annotations
 
 import base64
+import json
+import re
 import zlib
 from collections import Counter
 from collections.abc import Iterator
@@ -35,20 +37,22 @@ class WordTokens:
     a table of bounded size. Other texts, and those with a special token's string, are encoded whole.
     """
 
-    SLOT_BITS = 22
-    MOST = 12_000_000
+    SLOT_BITS = 20
+    MOST = 3_000_000
     LINE_FEED = 198  # the vocabulary's id of a line feed
 
     def __init__(self, json_path: str | None = None, rank_path: str | None = None):
         import public_tokenizers
         import tiktoken
-        from tokenizers import Tokenizer
 
-        self.whole = Tokenizer.from_file(json_path or public_tokenizers.path("byte_bpe_50k.json"))
+        self.json_path, self.whole = json_path or public_tokenizers.path("byte_bpe_50k.json"), None
         with open(rank_path or public_tokenizers.path("byte_bpe_50k.tiktoken"), "rb") as lines:
             ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, lines)}
         self.words = tiktoken.Encoding("byte_bpe", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
-        self.special = [t.content.encode() for t in self.whole.get_added_tokens_decoder().values()]
+        with open(self.json_path, encoding="utf-8") as file:
+            described = file.read()
+        at = re.search(r'"added_tokens"\s*:\s*', described).end()
+        self.special = [t["content"].encode() for t in json.JSONDecoder().raw_decode(described, at)[0]]
         self._forget()
 
     def _forget(self) -> None:
@@ -59,6 +63,10 @@ class WordTokens:
     def one(self, body: bytes) -> np.ndarray:
         text = body.decode()
         if any(s in body for s in self.special):
+            if self.whole is None:  # few texts need it, and it takes much memory
+                from tokenizers import Tokenizer
+
+                self.whole = Tokenizer.from_file(self.json_path)
             return np.array(self.whole.encode(text, add_special_tokens=False).ids, np.uint32)
         return np.array(self.words.encode_ordinary(text), np.uint32)
 
@@ -158,7 +166,7 @@ def pieces(docs: DataFrame, id_col: str = "doc_id", text: str = "text", size: in
         tokens, seen, part = _tokens(json_path, rank_path), Counter(), TaskContext.get().partitionId()
         for batch in it:
             data, offsets = bytes_of(batch.column("t"))
-            for a, b in slices(offsets, 8 << 20):
+            for a, b in slices(offsets):
                 yield cut(batch.column("id").slice(a, b - a), *tokens.encode(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a]), seen, part)
 
     def cut(doc: pa.Array, ids: np.ndarray, cuts: np.ndarray, seen: Counter, part: int) -> pa.RecordBatch:

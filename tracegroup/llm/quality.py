@@ -56,12 +56,12 @@ def fit(rows: Iterator[tuple[int, np.ndarray]], config: QualityConfig) -> np.nda
     examples = []
     for label, at in rows:
         used, count = np.unique(at, return_counts=True)
-        value = config.gain * count / max(1, len(at))
-        examples.append((label, np.append(used, size), np.append(value, 1.0)))
+        examples.append((label, len(at), used.astype(np.int32), count.astype(np.int32)))
     order = np.random.default_rng(config.seed)
     for _ in range(config.epochs):
         for i in order.permutation(len(examples)):
-            label, at, x = examples[i]
+            label, total, used, count = examples[i]
+            at, x = np.append(used, size), np.append(config.gain * count / max(1, total), 1.0)
             zi, ni = z[at], n[at]
             wi = np.where(np.abs(zi) <= config.l1, 0.0, -(zi - np.sign(zi) * config.l1) / ((config.beta + np.sqrt(ni)) / config.alpha + config.l2))
             p = 1 / (1 + np.exp(-np.clip(wi @ x, -35, 35)))
