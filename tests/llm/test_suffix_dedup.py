@@ -66,3 +66,28 @@ def test_long_text_in_pieces(monkeypatch, spark):
         place, _ = s.anchors(data[a:b], np.array([0, b - a]), 400, 128)
         parts |= set((place + a).tolist())
     assert parts == set(whole.tolist())
+
+
+def test_crowded_cores_over_batches(spark):
+    rng = random.Random(11)
+    passage = "".join(rng.choice("abcdefgh ") for _ in range(150))
+    bodies = ["".join(rng.choice("xyz ") for _ in range(rng.randint(0, 90))) + passage + "".join(rng.choice("xyz ") for _ in range(rng.randint(0, 90))) for _ in range(25)]
+    bodies += ["so it is. " * k for k in (9, 30, 31, 32)] + ["a" * 300, passage, passage[:100] + "\0" * 40, passage[:100]]
+    df = spark.createDataFrame(list(enumerate(bodies)), "doc_id long, text string")
+    rows = spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", 3)
+    try:
+        got = {r[0]: tuple(r[1:5]) for r in s.without_repeats(df, length=90, gram=30, hot=2, rest=True).collect()}
+    finally:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", rows)
+    assert [got[i] for i in range(len(bodies))] == brute([b.encode() for b in bodies], 90)
+
+
+def test_each_string_has_one_anchor():
+    rng = random.Random(2)
+    for body in ("".join(rng.choice("ab") for _ in range(900)), "no end " * 120, "".join(rng.choice("abcdefgh ") for _ in range(900))):
+        data = np.frombuffer(body.encode(), np.uint8)
+        place, _, low, high = s.owned_anchors(data, np.array([0, len(data)]), 100, 30)
+        owned = Counter(q for a, b in zip(low.tolist(), high.tolist()) for q in range(a, b + 1))
+        assert owned == Counter(range(len(data) - 99))
+        assert (place - high >= 0).all() and (place - low <= 70).all()

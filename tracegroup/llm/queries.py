@@ -55,7 +55,7 @@ def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op2_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return suffix_dedup.without_repeats(table(spark, sf_dir, "documents"))
+    return suffix_dedup.without_repeats(table(spark, sf_dir, "documents"), rest=True)
 
 
 def op4_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -1,10 +1,11 @@
 """Removal of long byte strings that occur again, by a suffix sort whose comparisons look up prefix hashes.
 
-Two equal strings of `length` bytes have the same smallest k-gram hash at the same place, so suffixes
-only have to be compared around such anchors, and only where an anchor's hash occurs again. Around equal
-anchors, suffixes are merge-sorted: polynomial prefix hashes and a binary search give the common
-extension of two suffixes in a logarithmic number of steps, and the bytes of neighbours are compared
-before anything is removed.
+Two equal strings of `length` bytes have the same smallest k-gram hash at the same place: their anchor.
+The strings of an anchor are taken in ranges of STEP starts. All strings of a range share a core; beyond
+it a string has some bytes on the left and the others on the right. Ranges with equal cores are merge-sorted by
+what follows the core: polynomial prefix hashes and a binary search give the common extension of two
+suffixes in a logarithmic number of steps. Cores are compared by a second, cryptographic digest and
+the bytes around them as bytes before anything is removed.
 """
 
 from __future__ import annotations
@@ -14,22 +15,23 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark import TaskContext
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from tracegroup.llm import bytehash
-from tracegroup.llm.common import SLICE_BYTES, bytes_of, mask_of, masked, slices, small_batches, written
+from tracegroup.llm.common import bytes_of, mask_of, masked, slices, small_batches, written
 
 LENGTH = 400
 #: Bytes of the k-grams that anchors are chosen from.
 GRAM = 128
-#: Suffixes are sorted at every STEP-th place before an anchor; the places between follow from their left context.
+#: Starts of a range: strings of a range share length - STEP + 1 bytes.
 STEP = 32
-#: Regions of one anchor hash that a task takes; more are compared by their windows' digests.
-HOT = 4096
-#: Bytes of regions that are sorted together.
-SORT_BYTES = 6 << 20
+#: Bytes of texts whose anchors are looked for at a time.
+SLICE_BYTES = 1 << 19
+#: Ranges that are sorted together.
+ROWS = 12_000
+#: Ranges of one core that a task holds; those of a core with more are compared string by string, by counts of digests.
+HOT = 32_768
 
 
 def sliding(f: np.ufunc, a: np.ndarray, w: int, fill: int) -> np.ndarray:
@@ -45,13 +47,13 @@ def sliding(f: np.ufunc, a: np.ndarray, w: int, fill: int) -> np.ndarray:
     return f(behind[:n], ahead[w - 1 : w - 1 + n])
 
 
-def anchors(data: np.ndarray, offsets: np.ndarray, length: int, gram: int) -> tuple[np.ndarray, np.ndarray]:
-    """Places (and hashes) of the k-grams that are smallest in some string of `length` bytes of a row. Ties are all taken."""
+def owned_anchors(data: np.ndarray, offsets: np.ndarray, length: int, gram: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Places of k-grams that are the first smallest of a string of `length` bytes within a row, their hashes, and the first and last start of such strings."""
     w = length - gram + 1
     n = len(data) - gram + 1
     none = np.zeros(0, np.int64)
     if n < w:
-        return none, none.view(np.uint64)
+        return none, none.view(np.uint64), none, none
     pre = bytehash.prefix(data)
     at = np.arange(n)
     h = bytehash.mix(bytehash.ranges(pre, at, at + gram))
@@ -65,40 +67,57 @@ def anchors(data: np.ndarray, offsets: np.ndarray, length: int, gram: int) -> tu
     padded[w - 1 : w - 1 + len(least)] = least
     most = sliding(np.maximum, padded, w, 0)
     place = np.flatnonzero((most == h[: len(most)]) & (h[: len(most)] > 0))
-    return place, h[place]
+    # starts with the same smallest hash follow one another; of those over a place, one such run is its own
+    first = np.flatnonzero(np.concatenate([[True], least[1:] != least[:-1]]))
+    last = np.append(first[1:], len(least)) - 1
+    run = np.searchsorted(first, np.maximum(place - w + 1, 0), "right") - 1
+    while (wrong := least[first[run]] != h[place]).any():
+        run += wrong
+    low, high = np.maximum(first[run], place - w + 1), np.minimum(last[run], place)
+    # of equal smallest hashes the first one in a string is its anchor, so each string has one
+    low[1:] = np.where(run[1:] == run[:-1], np.maximum(low[1:], place[:-1] + 1), low[1:])
+    own = low <= high
+    return place[own], h[place[own]], low[own], high[own]
+
+
+def anchors(data: np.ndarray, offsets: np.ndarray, length: int, gram: int) -> tuple[np.ndarray, np.ndarray]:
+    """Places and hashes of owned_anchors()."""
+    return owned_anchors(data, offsets, length, gram)[:2]
 
 
 def _pieces(n: int, length: int) -> Iterator[tuple[int, int]]:
     """A very long text in overlapping parts: every string of `length` bytes is inside one."""
-    step = SLICE_BYTES
-    for a in range(0, max(n - length + 1, 1), step):
-        yield a, min(n, a + step + length - 1)
+    for a in range(0, max(n - length + 1, 1), SLICE_BYTES):
+        yield a, min(n, a + SLICE_BYTES + length - 1)
 
 
 def _anchor_rows(docs: DataFrame, length: int, gram: int) -> DataFrame:
-    """(hash, tk, pos) of every anchor of the texts, once for a text that a task has seen before."""
+    """(hash, k1, k2, pos, low, high) of every anchor of the texts, once for most texts that a task has met before."""
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen: set[int] = set()
+        met = np.zeros((1 << 16, 2), np.int64)
         for batch in it:
             data, offsets = bytes_of(batch.column("t"))
-            tk = batch.column("tk").to_numpy()
+            k1, k2 = batch.column("k1").to_numpy(), batch.column("k2").to_numpy()
             for a, b in slices(offsets, SLICE_BYTES):
+                fresh = np.ones(b - a, bool)
+                for i in range(a, b):
+                    slot = k1[i] & 0xFFFF
+                    fresh[i - a] = met[slot, 0] != k1[i] or met[slot, 1] != k2[i]
+                    met[slot] = k1[i], k2[i]
+                if not fresh.any():
+                    continue
                 for x, y in _pieces(offsets[b] - offsets[a], length) if b - a == 1 else [(0, offsets[b] - offsets[a])]:
                     off = np.array([0, y - x]) if b - a == 1 else offsets[a : b + 1] - offsets[a]
-                    place, h = anchors(data[offsets[a] + x : offsets[a] + y], off, length, gram)
+                    place, h, low, high = owned_anchors(data[offsets[a] + x : offsets[a] + y], off, length, gram)
                     row = np.searchsorted(off, place, "right") - 1
-                    names = tk[a:b]
-                    fresh = np.array([t not in seen for t in names.tolist()]) if b - a > 1 else np.ones(1, bool)
                     keep = fresh[row] if len(row) else np.zeros(0, bool)
-                    place, row, h = place[keep], row[keep], h[keep]
+                    place, row, h, low, high = place[keep], row[keep], h[keep], low[keep], high[keep]
                     if len(place):
-                        yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(names[row]), pa.array(place - off[row] + x)], ["hash", "tk", "pos"])
-                if len(seen) > 1_000_000:
-                    seen.clear()
-                seen.update(tk[a:b].tolist())
+                        base = off[row] - x
+                        yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(k1[a:b][row]), pa.array(k2[a:b][row]), pa.array(place - base), pa.array(low - base), pa.array(high - base)], ["hash", "k1", "k2", "pos", "low", "high"])
 
-    return docs.where(F.octet_length("t") >= length).select("tk", "t").mapInArrow(run, "hash long, tk long, pos long")
+    return docs.where(F.octet_length("t") >= length).select("k1", "k2", "t").mapInArrow(run, "hash long, k1 long, k2 long, pos long, low long, high long")
 
 
 class Extensions:
@@ -164,288 +183,293 @@ def sort_suffixes(ext: Extensions, group: np.ndarray, start: np.ndarray, region:
     return order
 
 
-def repeated_starts(data: np.ndarray, bounds: np.ndarray, before: np.ndarray, group: np.ndarray, length: int, step: int = STEP) -> np.ndarray:
-    """For every byte of the buffer, whether a string of `length` bytes that starts there is also found, at the same distance from the anchor, in another region of its group.
+def repeated_strings(group: np.ndarray, left: np.ndarray, right: np.ndarray, low: np.ndarray, high: np.ndarray) -> np.ndarray:
+    """Per range, for each number of bytes on the left of the core: whether another range of its group (sorted) has the same string.
 
-    bounds: where each region begins and ends; before: bytes of a region that stand before its anchor; group: sorted.
+    left, right: the bytes before and after the core, one row each; low, high: the numbers for which a range has a string.
+    """
+    rows, wide = left.shape
+    step = wide + 1
+    found = np.zeros((rows, step), bool)
+    if not rows:
+        return found
+    sides = np.concatenate([left, right], 1)
+    ext = Extensions(np.ascontiguousarray(sides).ravel())
+    begin = np.arange(rows) * 2 * wide
+    has = np.arange(step) >= low[:, None]
+    has &= np.arange(step) <= high[:, None]
+    # ranges that agree in all bytes are one class, all of whose strings occur again
+    name = bytehash.mix(bytehash.ranges(ext.pre, begin, begin + 2 * wide) + group.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) + (low * 64 + high).astype(np.uint64)
+    _, first, back, times = np.unique(name, return_index=True, return_inverse=True, return_counts=True)
+    like = first[back]
+    if not ((sides == sides[like]).all() and (group == group[like]).all() and (low == low[like]).all() and (high == high[like]).all()):
+        whole = np.concatenate([group.astype(np.int64)[:, None], low[:, None], high[:, None], sides], 1)  # a collision: compare them as they are
+        _, first, back, times = np.unique(whole, axis=0, return_index=True, return_inverse=True, return_counts=True)
+        back = back.ravel()
+    one = first[np.argsort(first)]
+    of = np.empty(len(first), np.int64)
+    of[np.argsort(first)] = np.arange(len(first))
+    many = times[np.argsort(first)] > 1
+    mine = np.zeros((len(one), step), bool)
+    mine[many] = has[one][many]
+    # groups of several classes: suffixes after the core in order, and what they share with their neighbours
+    own = group[one]
+    _, at, size = np.unique(own, return_inverse=True, return_counts=True)
+    mixed = np.flatnonzero(size[at] > 1)
+    if len(mixed):
+        rows_ = one[mixed]
+        start, ends = begin[rows_] + wide, begin[rows_] + 2 * wide
+        order = sort_suffixes(ext, own[mixed], start, np.arange(len(mixed)), ends)
+        rows_, cls = rows_[order], mixed[order]
+        differs = right[rows_[1:]] != right[rows_[:-1]]
+        lcp = np.where(differs.any(1), differs.argmax(1), wide)
+        lcp[group[rows_[1:]] != group[rows_[:-1]]] = -1
+        gap = np.concatenate([[-1], lcp])
+        before = np.zeros(len(rows_), np.int64)
+        for n in range(step):
+            if n:
+                before = np.unique(before * 256 + left[rows_, wide - n], return_inverse=True)[1]
+            valid = np.flatnonzero(has[rows_, n])
+            key = np.cumsum(gap < wide - n) * (len(rows_) + 1) + before
+            _, to, count = np.unique(key[valid], return_inverse=True, return_counts=True)
+            mine[cls[valid[count[to] > 1]], n] = True
+    return mine[of[back]]
+
+
+def _ranges(texts: DataFrame, length: int) -> DataFrame:
+    """(g, core, k1, k2, last, low, high, left, right) of each range of starts at the anchors of texts (k1, k2, t, places).
+
+    g and core are the prefix hash and the digest of the bytes that all strings of the range share, from `last` on; low and
+    high say how many bytes more on the left its strings have; left and right are the STEP - 1 bytes around the core (0 beyond the text).
     """
-    found = np.zeros(len(data) + 1, bool)
-    if len(group) < 2:
-        return found[:-1]
-    ends, begins = bounds[1:], bounds[:-1]
-    ext = Extensions(data)
-    for back in range(0, int(before.max()) + 1, step):
-        rows = np.flatnonzero(before >= back)
-        start = begins[rows] + before[rows] - back
-        rows, start = rows[ends[rows] - start >= length - step + 1], start[ends[rows] - start >= length - step + 1]
-        # only suffixes that seem to agree in the bytes that all strings here share are sorted
-        core = bytehash.mix(group[rows].view(np.uint64)) ^ bytehash.ranges(ext.pre, start, start + length - step + 1)
-        _, cluster, times = np.unique(core, return_inverse=True, return_counts=True)
-        keep = np.flatnonzero(times[cluster] > 1)
-        keep = keep[np.argsort(cluster[keep], kind="stable")]
-        rows, start, cluster = rows[keep], start[keep], cluster[keep]
-        if len(rows) < 2:
-            continue
-        order = sort_suffixes(ext, cluster, start, rows, ends)
-        rows, start = rows[order], start[order]
-        room = ends[rows] - start
-        lcp = ext.common(start[:-1], start[1:], np.minimum(room[:-1], room[1:]))
-        lcp[cluster[1:] != cluster[:-1]] = 0
-        close = np.flatnonzero(lcp >= length - step + 1)
-        raw = data.tobytes()
-        for i in close:  # equal hashes are not yet equal bytes
-            a, b, n = start[i], start[i + 1], lcp[i]
-            if raw[a : a + n] != raw[b : b + n]:
-                lcp[i] = next(k for k in range(n) if raw[a + k] != raw[b + k])
-        touched = np.zeros(len(rows), bool)
-        touched[close] = touched[close + 1] = True
-        keep = np.flatnonzero(touched)
-        gap = np.zeros(len(rows), np.int64)
-        gap[1:] = lcp
-        # a suffix left out has no close neighbour, so the runs of those kept do not span it
-        gap[keep[np.flatnonzero(np.diff(keep, prepend=-9) != 1)]] = 0
-        gap, rows, start, room = gap[keep], rows[keep], start[keep], room[keep]
-        left = np.zeros(len(rows), np.int64)
-        for more in range(step):
-            valid = (start - more >= begins[rows]) & (room >= length - more)
-            if more:
-                byte = np.where(start - more >= begins[rows], data[np.maximum(start - more, 0)].astype(np.int64), 256)
-                left = np.unique(left * 257 + byte, return_inverse=True)[1]
-            same_run = np.cumsum(gap < length - more)
-            key = same_run * (len(rows) + 1) + left
-            key = key[valid]
-            _, back_to, times = np.unique(key, return_inverse=True, return_counts=True)
-            found[(start - more)[valid][times[back_to] > 1]] = True
-    return found[:-1]
-
-
-def runs(flags: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """First and one past the last place of each run of true flags."""
-    edge = np.diff(np.concatenate([[0], flags.astype(np.int8), [0]]))
-    return np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)
-
-
-def _regions(texts: DataFrame, length: int, gram: int) -> DataFrame:
-    """Around each anchor that may repeat: hash, before, the bytes that strings over it can cover, and its (tk, pos), equal regions of a batch as one row."""
-    reach = length - gram
+    wide, shared = STEP - 1, length - STEP + 1
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        part, n = TaskContext.get().partitionId() << 33, 0
         for batch in it:
-            met: dict[tuple[int, int, bytes], list[tuple[int, int]]] = {}
-            size = 0
-            for tk, places, t in zip(batch.column("tk").to_pylist(), batch.column("places").to_pylist(), batch.column("t").cast(pa.large_binary()).to_pylist(), strict=True):
-                for p in places:
-                    a = max(0, p - reach)
-                    region = t[a : p + length]
-                    h = int.from_bytes(hashlib.blake2b(t[p : p + gram], digest_size=8).digest(), "little", signed=True)
-                    before = met.setdefault((h, p - a, region), [])
-                    size += 0 if before else len(region)
-                    before.append((tk, p))
-                if size > SLICE_BYTES:
-                    yield rows(met, part, n)
-                    n += len(met)
-                    met, size = {}, 0
-            if met:
-                yield rows(met, part, n)
-                n += len(met)
-
-    def rows(met: dict, part: int, n: int) -> pa.RecordBatch:
-        keys = list(met)
-        members = pa.array([[{"tk": t, "pos": p} for t, p in v] for v in met.values()], pa.list_(pa.struct([("tk", pa.int64()), ("pos", pa.int64())])))
-        return pa.RecordBatch.from_arrays([pa.array(np.arange(len(keys)) + part + n), pa.array([k[0] for k in keys], pa.int64()), pa.array([k[1] for k in keys], pa.int32()), pa.array([k[2] for k in keys], pa.binary()), members], ["rid", "hash", "before", "region", "members"])
-
-    return texts.mapInArrow(run, "rid long, hash long, before int, region binary, members array<struct<tk:long,pos:long>>")
-
-
-def _spans(dealt: DataFrame, length: int) -> DataFrame:
-    """(tk, low, high): byte ranges of texts that repeated strings cover, from regions sorted by hash."""
+            data, offsets = bytes_of(batch.column("t"))
+            k1, k2 = batch.column("k1").to_numpy(), batch.column("k2").to_numpy()
+            lists = batch.column("places")
+            cut = lists.offsets.to_numpy() - lists.offsets[0].as_py()
+            pos, first, last = (lists.flatten().field(c).to_numpy() for c in ("pos", "low", "high"))
+            for a, b in slices(offsets):
+                x, y = cut[a], cut[b]
+                p, f, z = pos[x:y], first[x:y], last[x:y]
+                row = np.repeat(np.arange(a, b), np.diff(cut[a : b + 1]))
+                near, far = (p - z) // STEP, (p - f) // STEP
+                for u in range(0, len(p), ROWS):  # a very long text has many anchors
+                    v = slice(u, u + ROWS)
+                    times = far[v] - near[v] + 1
+                    i = np.repeat(np.arange(len(times)), times)
+                    k = near[v][i] + np.arange(len(i)) - np.repeat(np.cumsum(times) - times, times)
+                    yield rows(data, offsets, k1, k2, row[v][i], p[v][i], f[v][i], z[v][i], k)
+
+    def rows(data, offsets, k1, k2, row, p, first, last, k) -> pa.RecordBatch:
+        begin, end = offsets[row], offsets[row + 1]
+        at = begin + p - k * STEP
+        low, high = np.maximum(0, p - last - k * STEP), np.minimum(wide, p - first - k * STEP)
+        around = []
+        for i in (at[:, None] + np.arange(-wide, 0), at[:, None] + shared + np.arange(wide)):
+            inside = (i >= begin[:, None]) & (i < end[:, None])
+            around.append(np.where(inside, data[np.clip(i, 0, max(len(data) - 1, 0))], 0).astype(np.uint8))
+        base = int(at.min()) if len(at) else 0
+        part = data[base : int(at.max()) + shared] if len(at) else data[:0]
+        g, raw = np.empty(len(at), np.uint64), memoryview(np.ascontiguousarray(part))
+        order = np.argsort(at, kind="stable")
+        for u in range(0, len(at), 4096):  # prefix hashes over a few texts at a time
+            o = order[u : u + 4096]
+            here = at[o[0]]
+            if at[o[-1]] - here > 1 << 20:
+                for j in o:
+                    g[j] = bytehash.ranges(bytehash.prefix(data[at[j] : at[j] + shared]), np.zeros(1, np.int64), np.array([shared]))[0]
+                continue
+            pre = bytehash.prefix(data[here : at[o[-1]] + shared])
+            g[o] = bytehash.ranges(pre, at[o] - here, at[o] - here + shared)
+        core = [hashlib.blake2b(raw[j : j + shared], digest_size=16).digest() for j in (at - base).tolist()]
+        g = bytehash.mix(g + k.astype(np.uint64) * np.uint64(0xC2B2AE3D27D4EB4F)).view(np.int64)
+        sides = [pa.Array.from_buffers(pa.binary(wide), len(at), [None, pa.py_buffer(np.ascontiguousarray(m))]).cast(pa.binary()) for m in around]
+        return pa.RecordBatch.from_arrays([pa.array(g), pa.array(core, pa.binary()), pa.array(k1[row]), pa.array(k2[row]), pa.array(p - k * STEP), pa.array(low.astype(np.int32)), pa.array(high.astype(np.int32)), *sides], _RANGE)
+
+    return texts.mapInArrow(run, "g long, core binary, k1 long, k2 long, last long, low int, high int, left binary, right binary")
+
+
+_RANGE = ["g", "core", "k1", "k2", "last", "low", "high", "left", "right"]
+
+
+def _spans(ranges: DataFrame, length: int, crowded: int) -> DataFrame:
+    """(k1, k2, first, end): byte ranges of texts that repeated strings cover. Of a core that has more than `crowded` of them, one of equal ranges comes back as it is."""
+    wide = STEP - 1
 
     def flush(held: list[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = pa.Table.from_batches(held).combine_chunks()
-        h = table.column("hash").to_numpy()
-        data, bounds = bytes_of(table.column("region"))
-        before = table.column("before").to_numpy().astype(np.int64)
-        members = table.column("members").to_pylist()
-        raw, classes = data.tobytes(), {}
-        for i, key in enumerate(zip(h.tolist(), before.tolist(), bounds[:-1].tolist(), bounds[1:].tolist(), strict=True)):
-            classes.setdefault((key[0], key[1], raw[key[2] : key[3]]), []).append(i)
-        first = np.array([v[0] for v in classes.values()])
-        own = [{(m["tk"], m["pos"]) for i in v for m in members[i]} for v in classes.values()]
-        sizes = bounds[first + 1] - bounds[first]
-        joined = np.frombuffer(b"".join(k[2] for k in classes), np.uint8)
-        cut = np.concatenate([[0], np.cumsum(sizes)])
-        order = np.argsort(h[first], kind="stable")
-        if not np.array_equal(order, np.arange(len(order))):
-            raise ValueError("regions are not in order")
-        found = repeated_starts(joined, cut, before[first], h[first], length)
-        tk, low, high = [], [], []
-        for c, mine in enumerate(own):
-            flags = found[cut[c] : cut[c + 1]]
-            if len(mine) > 1:
-                a, b = np.array([0]), np.array([sizes[c] - length + 1])
-                a, b = (a, b) if b[0] > 0 else (a[:0], b[:0])
-            else:
-                a, b = runs(flags)
-            for t, p in mine:
-                base = p - before[first[c]]
-                tk += [t] * len(a)
-                low += (a + base).tolist()
-                high += (b - 1 + length + base).tolist()
-        if tk:
-            yield pa.RecordBatch.from_arrays([pa.array(tk, pa.int64()), pa.array(low, pa.int64()), pa.array(high, pa.int64())], ["tk", "low", "high"])
+        names = np.frombuffer(b"".join(table.column("core").to_pylist()), np.uint64).reshape(-1, 2)
+        g = table.column("g").to_numpy()
+        fresh = np.ones(len(g), bool)
+        fresh[1:] = (g[1:] != g[:-1]) | (names[1:] != names[:-1]).any(1)
+        group = np.cumsum(fresh)
+        size = np.bincount(group)
+        rows = np.flatnonzero(size[group] > 1)
+        if not len(rows):
+            return
+        table = table.take(pa.array(rows))
+        left, right = (np.frombuffer(b"".join(table.column(c).to_pylist()), np.uint8).reshape(-1, wide) for c in ("left", "right"))
+        low, high = (table.column(c).to_numpy().astype(np.int64) for c in ("low", "high"))
+        found = repeated_strings(group[rows], left, right, low, high)
+        edge = np.diff(np.pad(found.astype(np.int8), ((0, 0), (1, 1))), axis=1)
+        row, a = np.nonzero(edge == 1)
+        b = np.nonzero(edge == -1)[1] - 1
+        k1, k2, last = (table.column(c).to_numpy()[row] for c in ("k1", "k2", "last"))
+        if len(row):
+            none = [pa.nulls(len(row), f.type) for f in (table.schema.field(c) for c in _OPEN)]
+            yield pa.RecordBatch.from_arrays([pa.array(k1), pa.array(k2), pa.array(last - b), pa.array(last - a + length), *none], ["k1", "k2", "first", "end", *_OPEN])
+
+    def as_they_are(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+        """One of equal ranges, for all its strings to be counted; of those that occur again in the batch, also what they cover."""
+        keys = [np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint8).reshape(-1, wide) for c in ("left", "right")]
+        keys += [batch.column(c).to_numpy()[:, None] for c in ("low", "high")]
+        like = np.ones(batch.num_rows + 1, bool)
+        like[0] = like[-1] = False
+        for k in keys:
+            like[1:-1] &= (k[1:] == k[:-1]).all(1)
+        one = batch.filter(pa.array(~like[:-1]))
+        none = pa.nulls(one.num_rows, pa.int64())
+        yield pa.RecordBatch.from_arrays([one.column("k1"), one.column("k2"), none, none, *(one.column(c) for c in _OPEN)], ["k1", "k2", "first", "end", *_OPEN])
+        many = batch.filter(pa.array(like[:-1] | like[1:]))
+        if many.num_rows:
+            last, low, high = (many.column(c).to_numpy() for c in ("last", "low", "high"))
+            none = [pa.nulls(many.num_rows, many.schema.field(c).type) for c in _OPEN]
+            yield pa.RecordBatch.from_arrays([many.column("k1"), many.column("k2"), pa.array(last - high), pa.array(last - low + length), *none], ["k1", "k2", "first", "end", *_OPEN])
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[pa.RecordBatch] = []
-        size = 0
+        held: list[pa.RecordBatch] = []  # whole groups, then the one that may go on
+        rows, own, of_own, passed = 0, None, 0, None
         for batch in it:
-            h = batch.column("hash").to_numpy()
-            per_row = max(1, batch.column("region").nbytes // max(1, len(h)))
-            a = 0
-            while a < len(h):
-                # whole groups of equal hashes, about half a slice at a time
-                b = min(len(h), a + max(1, SORT_BYTES // per_row))
-                if held and size >= SORT_BYTES and h[a] != held[-1].column("hash")[-1].as_py():
-                    yield from flush(held)
-                    held, size = [], 0
-                if size >= SORT_BYTES:  # still inside one group: take it to its end
-                    b = a + int(np.argmax(h[a:] != h[a])) if (h[a:] != h[a]).any() else len(h)
+            g, core = batch.column("g").to_numpy(), batch.column("core")
+            n = len(g)
+            if not n:
+                continue
+            names = np.frombuffer(b"".join(core.to_pylist()), np.uint64).reshape(-1, 2)
+            fresh = np.ones(n, bool)
+            fresh[1:] = (g[1:] != g[:-1]) | (names[1:] != names[:-1]).any(1)
+            fresh[0] = own != (g[0], core[0].as_py())
+            starts = np.flatnonzero(fresh)
+            at = 0
+            if not fresh[0]:  # the group of the batch before goes on
+                at = int(starts[0]) if len(starts) else n
+                if passed == own:
+                    yield from as_they_are(batch.slice(0, at))
                 else:
-                    same = h[b - 1]
-                    more = np.flatnonzero(h[b:] != same)
-                    b = b + (int(more[0]) if len(more) else len(h) - b)
-                held.append(batch.slice(a, b - a))
-                size += (b - a) * per_row
-                a = b
+                    held.append(batch.slice(0, at))
+                    rows, of_own = rows + at, of_own + at
+            if len(starts):
+                if rows >= ROWS:
+                    yield from flush(held)
+                    held, rows = [], 0
+                begin = int(starts[-1])
+                if begin > at:
+                    held.append(batch.slice(at, begin - at))
+                    rows += begin - at
+                if rows >= ROWS:
+                    yield from flush(held)
+                    held, rows = [], 0
+                held.append(batch.slice(begin))
+                own, of_own = (g[begin], core[begin].as_py()), n - begin
+                rows += of_own
+            if of_own > crowded and passed != own:
+                table = pa.Table.from_batches(held)
+                whole = table.num_rows - of_own
+                if whole:
+                    yield from flush(table.slice(0, whole).to_batches())
+                for part in table.slice(whole).to_batches():
+                    yield from as_they_are(part)
+                held, rows, passed = [], 0, own
         if held:
             yield from flush(held)
 
-    return dealt.mapInArrow(run, "tk long, low long, high long")
+    dealt = ranges.repartition("g").sortWithinPartitions("g", "core", "left", "right", "low", "high")
+    return dealt.mapInArrow(run, "k1 long, k2 long, first long, end long, core binary, last long, low int, high int, left binary, right binary")
 
 
-def _hot_spans(regions: DataFrame, length: int, step: int = STEP) -> DataFrame:
-    """The same for hashes of very many regions, which no task meets as a group: ranges of starts are counted by digests.
+_OPEN = ["core", "last", "low", "high", "left", "right"]
 
-    For each range of `step` starts: the bytes that all its strings share, and those that any of them
-    covers. If the first occur once, none of the strings does again; if the second occur again, all do.
-    Only for other ranges are the strings counted one by one.
-    """
 
-    def ranges(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in it:
-            rid, back, core, full = [], [], [], []
-            for r, h, before, region in zip(*(batch.column(c).to_pylist() for c in ("rid", "hash", "before", "region")), strict=True):
-                for d in range(0, before + 1, step):
-                    last = before - d
-                    shared = last - step + 1 + length  # where the bytes end that strings of all starts have
-                    first = max(0, last - step + 1)
-                    if max(shared, length) > len(region):
-                        continue
-                    key = b"%d %d" % (h, d)
-                    rid.append(r)
-                    back.append(d)
-                    core.append(hashlib.blake2b(region[last:shared], digest_size=16, key=key).digest())
-                    # the last start's string may reach over the region's end; then not all of them are there
-                    whole = last + length <= len(region)
-                    full.append(hashlib.blake2b(region[first : last + length], digest_size=16, key=key + b" %d" % (last - first)).digest() if whole else None)
-            if rid:
-                yield pa.RecordBatch.from_arrays([pa.array(rid, pa.int64()), pa.array(back, pa.int32()), pa.array(core, pa.binary()), pa.array(full, pa.binary())], ["rid", "back", "core", "full"])
-
-    def windows(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _one_by_one(ranges: DataFrame, length: int) -> DataFrame:
+    """The same for ranges of crowded cores: each string is named by a digest, and names are counted, which needs no group in one task."""
+    wide = STEP - 1
+
+    def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in it:
-            rid, at, key, times = [], [], [], []
-            for r, h, before, region, d, m in zip(*(batch.column(c).to_pylist() for c in ("rid", "hash", "before", "region", "back", "m")), strict=True):
-                last = before - d
-                for q in range(max(0, last - step + 1), min(last, len(region) - length) + 1):
-                    rid.append(r)
-                    at.append(q)
-                    key.append(hashlib.blake2b(region[q : q + length], digest_size=16, key=b"%d %d" % (h, q - before)).digest())
-                    times.append(m)
-            if rid:
-                yield pa.RecordBatch.from_arrays([pa.array(rid, pa.int64()), pa.array(at, pa.int32()), pa.array(key, pa.binary()), pa.array(times, pa.int64())], ["rid", "at", "key", "m"])
-
-    light = regions.select("rid", F.size("members").alias("m"))
-    cut = written(regions.select("rid", "hash", "before", "region").mapInArrow(ranges, "rid long, back int, core binary, full binary").join(light, "rid"), "hot-ranges")
-    core = cut.groupBy("core").agg(F.sum("m").alias("k")).where("k > 1").select("core", F.lit(True).alias("near"))
-    full = cut.where("full is not null").groupBy("full").agg(F.sum("m").alias("k")).where("k > 1").select("full", F.lit(True).alias("all"))
-    told = written(cut.join(full, "full", "left").join(core, "core", "left").select("rid", "back", "near", "all", "core", "full", "m"), "hot-told")
-    sure = told.where("all").join(regions.select("rid", "before"), "rid").select("rid", F.greatest(F.col("before") - F.col("back") - (step - 1), F.lit(0)).alias("low"), (F.col("before") - F.col("back")).alias("high"))
-    open_ = told.where("near and all is null")
-    # a range that is sure may hold the other copy of an open one's string; one of equal ranges stands for all
-    beside = told.where("all").join(open_.select("core").distinct(), "core").groupBy("core", "full").agg(F.min("rid").alias("rid"), F.first("back").alias("back"), F.sum("m").alias("m"))
-    told = open_.select("rid", "back", F.col("m").cast("long").alias("m")).unionByName(beside.select("rid", "back", "m"))
-    each = written(regions.select("rid", "hash", "before", "region").join(told, "rid").mapInArrow(windows, "rid long, at int, key binary, m long"), "hot-windows")
-    again = each.groupBy("key").agg(F.sum("m").alias("k")).where("k > 1").select("key")
-    starts = each.join(again, "key").select("rid", F.col("at").alias("low"), F.col("at").alias("high"))
-    rows = sure.unionByName(starts).join(regions.select("rid", "before", "members"), "rid").select(F.explode("members").alias("m"), "before", "low", "high")
-    base = F.col("m.pos") - F.col("before")
-    return rows.select(F.col("m.tk").alias("tk"), (base + F.col("low")).alias("low"), (base + F.col("high") + length).alias("high"))
+            out = []
+            for k1, k2, core, last, low, high, left, right in zip(*(batch.column(c).to_pylist() for c in ("k1", "k2", *_OPEN)), strict=True):
+                for n in range(low, high + 1):
+                    name = hashlib.blake2b(core + bytes([n]) + left[wide - n :] + right[: wide - n], digest_size=16).digest()
+                    out.append((int.from_bytes(name[:8], "little", signed=True), int.from_bytes(name[8:], "little", signed=True), k1, k2, last - n))
+            if out:
+                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*out, strict=True)], ["w1", "w2", "k1", "k2", "at"])
+
+    each = written(ranges.mapInArrow(run, "w1 long, w2 long, k1 long, k2 long, at long"), "crowded-strings")
+    again = each.groupBy("w1", "w2").agg(F.count("*").alias("n")).where("n > 1").select("w1", "w2")
+    return each.join(again, ["w1", "w2"]).select("k1", "k2", F.col("at").alias("first"), (F.col("at") + length).alias("end"))
 
 
 def _cut(texts: DataFrame) -> DataFrame:
-    """(tk, n_removed, n_spans, kept): texts (tk, t, spans) without the bytes of their spans."""
+    """(k1, k2, n_removed, n_spans, kept): texts (k1, k2, t, spans) without the bytes of their spans."""
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in it:
             removed, count, kept = [], [], []
-            for t, spans in zip(batch.column("t").cast(pa.large_binary()).to_pylist(), batch.column("spans").to_pylist(), strict=True):
-                merged: list[list[int]] = []
-                for s in sorted((s["low"], s["high"]) for s in spans):
-                    if merged and s[0] <= merged[-1][1]:
-                        merged[-1][1] = max(merged[-1][1], s[1])
-                    else:
-                        merged.append([*s])
-                removed.append(sum(b - a for a, b in merged))
-                count.append(len(merged))
-                at = [0, *(x for m in merged for x in m), len(t)]
-                kept.append(b"".join(t[a:b] for a, b in zip(at[::2], at[1::2], strict=True)))
-            yield pa.RecordBatch.from_arrays([batch.column("tk"), pa.array(removed, pa.int64()), pa.array(count, pa.int64()), pa.array(kept, pa.binary())], ["tk", "n_removed", "n_spans", "kept"])
-
-    return texts.mapInArrow(run, "tk long, n_removed long, n_spans long, kept binary")
+            for t, spans in zip(batch.column("t").cast(pa.large_binary()).to_pylist(), batch.column("spans"), strict=True):
+                first, end = (spans.values.field(c).to_numpy() for c in ("first", "end"))
+                order = np.argsort(first, kind="stable")
+                first, end = first[order], np.maximum.accumulate(end[order])
+                fresh = np.flatnonzero(np.concatenate([[True], first[1:] > end[:-1]]))
+                low, high = first[fresh].tolist(), end[np.append(fresh[1:] - 1, len(end) - 1)].tolist()
+                removed.append(sum(high) - sum(low))
+                count.append(len(low))
+                kept.append(b"".join(t[a:b] for a, b in zip([0, *high], [*low, len(t)], strict=True)))
+            yield pa.RecordBatch.from_arrays([batch.column("k1"), batch.column("k2"), pa.array(removed, pa.int64()), pa.array(count, pa.int64()), pa.array(kept, pa.binary())], ["k1", "k2", "n_removed", "n_spans", "kept"])
+
+    return texts.mapInArrow(run, "k1 long, k2 long, n_removed long, n_spans long, kept binary")
+
+
+def _named(docs: DataFrame, text: str, *more: Column) -> DataFrame:
+    """docs' texts (null: empty) as t, named by two hashes, 128 bits together."""
+    given = docs.select(*more, F.coalesce(F.col(f"`{text}`"), F.lit("")).alias("t"))
+    return given.withColumn("k1", F.xxhash64("t")).withColumn("k2", F.xxhash64(F.lit("second"), F.col("t")))
 
 
 def repeated(docs: DataFrame, text: str = "text", length: int = LENGTH, gram: int = GRAM, hot: int = HOT) -> DataFrame:
-    """(tk, n_removed, n_spans, kept) for every distinct text that loses bytes; tk = xxhash64(text).
+    """(k1, k2, n_removed, n_spans, kept) for distinct texts that lose bytes; k1 and k2 name a text, see _named().
 
     A byte is removed if a string of `length` bytes over it also starts anywhere else, in another text or in
-    the same one; overlaps count. A text that occurs again, as a whole, loses all if it has `length` bytes.
-    Strings never reach over two texts. Null and short texts lose nothing. Repeated rows are texts that
-    occur again. Columns other than the text are not read.
+    the same one; overlaps count. A text that occurs again, as a whole, loses all if it has `length` bytes;
+    that is left to the caller. Strings never reach over two texts. Null and short texts lose nothing. Columns other than the text are not read.
     """
-    given = small_batches(docs).select(F.coalesce(F.col(f"`{text}`"), F.lit("")).alias("t")).withColumn("tk", F.xxhash64("t"))
+    given = _named(small_batches(docs), text)
     found = written(_anchor_rows(given, length, gram), "anchors")
-    place = F.struct("tk", "pos")
-    again = found.groupBy("hash").agg(F.min(place).alias("a"), F.max(place).alias("b")).where("a != b").select("hash")
-    places = written(found.join(again, "hash").groupBy("tk").agg(F.collect_set("pos").alias("places")), "anchor-places")
-    mask = mask_of(places, F.col("tk"))
-    once = masked(given, F.col("tk"), mask)[0].groupBy("tk").agg(F.first("t").alias("t"))
-    texts = written(once.join(places, "tk"), "anchor-texts")
-    regions = written(_regions(texts, length, gram), "regions")
-    crowded = regions.groupBy("hash").agg(F.count("*").alias("n")).where(F.col("n") > hot)
-    # at most one hash in `hot` regions is crowded; beyond 10,000 of them they are all compared by digest anyway
-    crowded = crowded.select("hash", F.lit(True).alias("crowded"))
-    told = regions.join(crowded, "hash", "left")
-    calm = told.where("crowded is null").drop("crowded").repartition("hash").sortWithinPartitions("hash", "rid")
-    busy = told.where("crowded").drop("crowded")
-    spans = _spans(calm, length)
-    if not crowded.isEmpty():
-        spans = spans.unionByName(_hot_spans(written(busy, "hot-regions"), length))
-    spans = written(spans, "spans").groupBy("tk").agg(F.collect_set(F.struct("low", "high")).alias("spans"))
-    return _cut(texts.select("tk", "t").join(spans, "tk"))
-
-
-def without_repeats(docs: DataFrame, id_col: str = "doc_id", text: str = "text", length: int = LENGTH, gram: int = GRAM, hot: int = HOT) -> DataFrame:
-    """Per row of docs: id, n_bytes, n_removed, n_spans, kept_sha256 of the bytes that stay. See repeated()."""
-    light = docs.select(F.col(f"`{id_col}`").cast("long").alias("id"), F.coalesce(F.col(f"`{text}`"), F.lit("")).alias("t")).select("id", F.xxhash64("t").alias("tk"), F.octet_length("t").cast("long").alias("n_bytes"), F.sha2("t", 256).alias("whole"))
-    cut = repeated(docs, text, length, gram, hot).select("tk", "n_removed", "n_spans", F.sha2("kept", 256).alias("cut"))
-    copied = light.groupBy("tk", "n_bytes").agg(F.count("*").alias("n")).where((F.col("n") > 1) & (F.col("n_bytes") >= length)).select("tk", F.lit(True).alias("copied"))
-    verdict = cut.join(copied, "tk", "full")
-    out = light.join(verdict, "tk", "left")
-    gone = F.col("copied").isNotNull()
-    return out.select(
-        F.col("id").alias(id_col),
-        "n_bytes",
-        F.when(gone, F.col("n_bytes")).otherwise(F.coalesce("n_removed", F.lit(0))).cast("long").alias("n_removed"),
-        F.when(gone, 1).otherwise(F.coalesce("n_spans", F.lit(0))).cast("long").alias("n_spans"),
-        F.when(gone, F.sha2(F.lit(""), 256)).otherwise(F.coalesce("cut", "whole")).alias("kept_sha256"),
-    )
+    ends = [f(c).alias(f"{f.__name__}_{c}") for c in ("k1", "k2", "pos") for f in (F.min, F.max)]
+    again = found.groupBy("hash").agg(*ends).where("min_k1 <> max_k1 or min_k2 <> max_k2 or min_pos <> max_pos").select("hash")
+    places = found.join(again, "hash").groupBy("k1", "k2").agg(F.collect_set(F.struct("pos", "low", "high")).alias("places"))
+    places = written(places, "anchor-places")
+    once = masked(given, F.col("k1"), mask_of(places, F.col("k1")))[0].groupBy("k1", "k2").agg(F.first("t").alias("t"))
+    texts = written(once.join(places, ["k1", "k2"]), "anchor-texts")
+    spans = written(_spans(_ranges(texts.select("k1", "k2", F.col("t").cast("binary").alias("t"), "places"), length), length, hot), "spans")
+    rest = _one_by_one(spans.where("first is null").drop("first", "end"), length)
+    spans = spans.where("first is not null").select("k1", "k2", "first", "end").unionByName(rest)
+    return _cut(texts.select("k1", "k2", "t").join(spans.groupBy("k1", "k2").agg(F.collect_set(F.struct("first", "end")).alias("spans")), ["k1", "k2"]))
+
+
+def without_repeats(docs: DataFrame, id_col: str = "doc_id", text: str = "text", length: int = LENGTH, gram: int = GRAM, hot: int = HOT, rest: bool = False) -> DataFrame:
+    """Per row of docs: id, n_bytes, n_removed, n_spans, kept_sha256 of the bytes that stay; with `rest` also these as `text` (a sign that was cut through is replaced). See repeated()."""
+    cut = repeated(docs, text, length, gram, hot)
+    light = _named(docs, text, F.col(f"`{id_col}`").cast("long").alias("id")).withColumn("n_bytes", F.octet_length("t").cast("long"))
+    copied = light.groupBy("k1", "k2", "n_bytes").agg(F.count("*").alias("n")).where((F.col("n") > 1) & (F.col("n_bytes") >= length)).select("k1", "k2", F.lit(True).alias("copied"))
+    verdict = written(cut.join(copied, ["k1", "k2"], "full"), "repeat-verdicts")
+    met, calm = masked(light, F.col("k1"), mask_of(verdict, F.col("k1")))
+    whole = calm.select("id", "n_bytes", F.lit(0).cast("long").alias("n_removed"), F.lit(0).cast("long").alias("n_spans"), F.col("t").cast("binary").alias("kept"))
+    gone = F.coalesce("copied", F.lit(False))
+    kept = F.when(gone, F.lit(b"")).otherwise(F.coalesce("kept", F.col("t").cast("binary")))
+    lost = F.when(gone, F.col("n_bytes")).otherwise(F.coalesce("n_removed", F.lit(0).cast("long")))
+    runs = F.when(gone, F.lit(1).cast("long")).otherwise(F.coalesce("n_spans", F.lit(0).cast("long")))
+    told = met.join(verdict, ["k1", "k2"], "left").select("id", "n_bytes", lost.alias("n_removed"), runs.alias("n_spans"), kept.alias("kept"))
+    stays = [F.make_valid_utf8(F.col("kept").cast("string")).alias("text")] if rest else []
+    return whole.unionByName(told).select(F.col("id").alias(id_col), "n_bytes", "n_removed", "n_spans", F.sha2("kept", 256).alias("kept_sha256"), *stays)
