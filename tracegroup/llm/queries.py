@@ -81,11 +81,28 @@ def op9_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_quotes(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return quotes.linked_messages(table(spark, sf_dir, "conversations"))
+    return quotes.linked_messages(table(spark, sf_dir, "conversations")).drop("n_passages", "n_passages_linked")
+
+
+def quoting_turns(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The given conversations (which quote nothing) with quotations put in: every turn quotes one or two turns before it, whole, in one line or wrapped anew, by its numbers."""
+    m = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", F.coalesce("text", F.lit("")).alias("text"))
+    back = F.lit(1) + F.pmod(F.col("conv_id") + F.col("turn"), F.lit(2))
+    said = m.select(F.col("conv_id").alias("c"), F.col("turn").alias("t"), F.col("text").alias("old"))
+    met = m.withColumn("from", F.col("turn") - back).join(said, (F.col("conv_id") == F.col("c")) & (F.col("from") == F.col("t")), "left")
+    kind = F.pmod(F.col("conv_id") * 7 + F.col("turn"), F.lit(3))
+    one_line, wrapped = F.translate("old", "\n", " "), F.regexp_replace("old", " ", "\n> ")
+    quoted = F.when(kind == 0, F.concat(F.lit("> "), F.regexp_replace("old", "\n", "\n> "))).when(kind == 1, F.concat(F.lit(">> "), one_line)).otherwise(F.concat(F.lit("> "), F.regexp_replace(wrapped, "\n([^>])", "\n> $1")))
+    return met.select("conv_id", "turn", "role", F.when(F.col("old").isNull(), F.col("text")).otherwise(F.concat(F.lit("They wrote:\n"), quoted, F.lit("\n\n"), F.col("text"))).alias("text"))
+
+
+def planted_quotes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    linked = quotes.linked_messages(quoting_turns(spark, sf_dir))
+    return quotes.threads(linked).select("conv_id", "turn", "body", "reply_to", "n_quoted", "n_linked", "deepest", "n_passages", "n_passages_linked", "thread")
 
 
 def queries() -> dict[str, Query]:
-    ops = (op1_exact_dedup, op2_suffix_dedup, op3_quality, op4_licenses, op5_url_filter, op6_ngram_join, op7_media, op8_packing, op9_mixing, op10_quotes)
+    ops = (op1_exact_dedup, op2_suffix_dedup, op3_quality, op4_licenses, op5_url_filter, op6_ngram_join, op7_media, op8_packing, op9_mixing, op10_quotes, planted_quotes)
     return {f.__name__: f for f in ops}
 
 
@@ -152,6 +169,34 @@ SELECT conv_id, turn, role, body, reply_to, coalesce(n_quoted, 0) AS n_quoted, c
 FROM m JOIN b USING (r) LEFT JOIN p USING (r)
 """
 
+#: The same over quotations put into the given turns; passages are runs of lines of one level, told by windows.
+_PLANTED = r"""
+WITH RECURSIVE k AS (SELECT conv_id, turn, role, coalesce(text, '') AS text, turn - 1 - (conv_id + turn) % 2 AS f, (conv_id * 7 + turn) % 3 AS kind FROM conversations),
+     m AS (SELECT row_number() OVER () AS r, k.conv_id, k.turn,
+                  CASE WHEN o.text IS NULL THEN k.text ELSE 'They wrote:' || chr(10) || CASE k.kind WHEN 0 THEN '> ' || replace(o.text, chr(10), chr(10) || '> ') WHEN 1 THEN '>> ' || replace(o.text, chr(10), ' ')
+                       ELSE '> ' || regexp_replace(replace(o.text, ' ', chr(10) || '> '), '\n([^>])', chr(10) || '> \1', 'g') END || chr(10) || chr(10) || k.text END AS text
+           FROM k LEFT JOIN k o ON k.conv_id = o.conv_id AND k.f = o.turn),
+     l AS (SELECT r, conv_id, turn, string_split(text, chr(10)) AS lines FROM m),
+     e AS (SELECT r, conv_id, turn, unnest(lines) AS line, generate_subscripts(lines, 1) AS pos FROM l),
+     n AS (SELECT r, conv_id, turn, pos, length(regexp_replace(regexp_extract(line, '^\s*((?:>\s?)+)', 1), '[^>]', '', 'g')) AS level,
+                  trim(regexp_replace(lower(regexp_replace(line, '^\s*((?:>\s?)+)', '')), '\s+', ' ', 'g')) AS said FROM e),
+     g AS (SELECT *, CASE WHEN said = '' THEN -1 ELSE level END AS mark FROM n),
+     h AS (SELECT *, CASE WHEN mark = lag(mark) OVER (PARTITION BY r ORDER BY pos) THEN 0 ELSE 1 END AS fresh FROM g),
+     i AS (SELECT *, sum(fresh) OVER (PARTITION BY r ORDER BY pos) AS run FROM h),
+     u AS (SELECT r, conv_id, turn, false AS whole, level, said FROM n WHERE said <> '' UNION ALL
+           SELECT r, conv_id, turn, true, level, string_agg(said, ' ' ORDER BY pos) FROM i WHERE said <> '' GROUP BY r, conv_id, turn, level, run),
+     o AS (SELECT conv_id, said, min(turn) AS origin FROM u WHERE level = 0 GROUP BY ALL),
+     q AS (SELECT u.r, u.whole, u.level, CASE WHEN origin < u.turn THEN origin END AS origin FROM u LEFT JOIN o ON u.conv_id = o.conv_id AND u.said = o.said WHERE level > 0),
+     p AS (SELECT r, arg_min(origin, (level, -origin)) FILTER (origin IS NOT NULL) AS reply_to, count(*) FILTER (NOT whole) AS n_quoted, count(origin) FILTER (NOT whole) AS n_linked, max(level) AS deepest,
+                  count(*) FILTER (whole) AS n_passages, count(origin) FILTER (whole) AS n_passages_linked FROM q GROUP BY r),
+     b AS (SELECT r, regexp_replace(array_to_string(list_filter(lines, lambda x, i: NOT regexp_matches(x, '^\s*>') AND NOT (regexp_matches(x, '^\s*(on .*|.* )?wrote:\s*$', 'i') AND regexp_matches(coalesce(lines[i + 1], ''), '^\s*>'))), chr(10)), '^\s+|\s+$', '', 'g') AS body FROM l),
+     t AS (SELECT m.r, m.conv_id, m.turn, reply_to FROM m LEFT JOIN p USING (r)),
+     c(conv_id, turn, at_) AS (SELECT conv_id, turn, turn FROM t UNION ALL SELECT c.conv_id, c.turn, t.reply_to FROM c JOIN t ON c.conv_id = t.conv_id AND c.at_ = t.turn WHERE t.reply_to IS NOT NULL),
+     d AS (SELECT conv_id, turn, min(at_) AS thread FROM c GROUP BY ALL)
+SELECT m.conv_id, m.turn, body, reply_to, coalesce(n_quoted, 0) AS n_quoted, coalesce(n_linked, 0) AS n_linked, coalesce(deepest, 0)::INT AS deepest, coalesce(n_passages, 0) AS n_passages, coalesce(n_passages_linked, 0) AS n_passages_linked, thread
+FROM m JOIN b USING (r) LEFT JOIN p USING (r) JOIN d ON m.conv_id = d.conv_id AND m.turn = d.turn
+"""
+
 #: Five-word shingles, pairs by shared shingles, and the smallest id over the links.
 _JACCARD = rf"""
 WITH RECURSIVE w AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), '{_UPPER}', '{_LOWER}'), '[^\x20\x09-\x0D]+') AS ws FROM documents),
@@ -165,4 +210,4 @@ SELECT d.doc_id, coalesce(n.n, 0) AS n_shingles, m.c AS component_id FROM docume
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_exact_dedup": _EXACT, "op5_url_filter": _URLS, "op6_ngram_join": _JACCARD, "op9_mixing": _MIX, "op10_quotes": _QUOTES}
+    return {"op1_exact_dedup": _EXACT, "op5_url_filter": _URLS, "op6_ngram_join": _JACCARD, "op9_mixing": _MIX, "op10_quotes": _QUOTES, "planted_quotes": _PLANTED}
