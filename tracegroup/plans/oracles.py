@@ -23,6 +23,7 @@ WORKLOADS = {
     "page_tags": r"w AS (SELECT page_id AS report_id, page_id AS arrival, list_transform(regexp_extract_all(html, '<[a-z][a-z0-9]*'), lambda x: trim(substr(x, 2))) AS frames, regexp_extract(url, '://([^/?#]*)', 1) AS category_id FROM pages)",
     "label_groups": f"w AS (SELECT doc_id AS report_id, doc_id AS arrival, {_SENTENCES} AS frames, quality::VARCHAR || ',' || toxic::VARCHAR AS category_id FROM documents JOIN labels USING (doc_id))",
 }
+WORKLOADS["whole_docs"] = WORKLOADS["planted_docs"].replace("len(s) BETWEEN 5 AND 100", "len(s) > 0")
 
 
 def reports(name: str) -> str:

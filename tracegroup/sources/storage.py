@@ -25,14 +25,23 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or one of our own where it is unset."""
+    """The folder that driver and executors share: spark.checkpoint.dir; where it is unset, one of our own if the driver is the only machine, else an error."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
         current = spark.sparkContext._jsc.sc().getCheckpointDir()
-        found = current.get() if current.isDefined() else "/tmp/tracegroup-checkpoints"
+        found = current.get() if current.isDefined() else None
+    if not found:
+        if not on_one_machine(spark.sparkContext.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share: tables on their own disks would be lost to each other")
+        found = "/tmp/tracegroup-checkpoints"
     return found.rstrip("/")
 
 
+def on_one_machine(master: str) -> bool:
+    """Whether driver and executors are one process: local, local[n], local[*]; not local-cluster[...], whose folders are apart."""
+    return master == "local" or master.startswith("local[")
+
+
 def written(df: DataFrame, what: str) -> DataFrame:
     """Write df as Parquet below the shared folder and read it back: lineage ends there, and a lost executor costs nothing."""
     spark = df.sparkSession

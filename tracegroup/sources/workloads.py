@@ -56,7 +56,17 @@ def sentences(text: Column) -> Column:
 
 
 def planted_docs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = load(spark, sf_dir, "documents").select("doc_id", sentences(F.col("text")).alias("s")).where("size(s) between 5 and 100")
+    """Variants of the documents with 5 to 100 sentences, as the fixtures define them."""
+    return _variants(spark, sf_dir, "size(s) between 5 and 100")
+
+
+def whole_docs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Variants of every document that has a sentence, however many."""
+    return _variants(spark, sf_dir, "size(s) > 0")
+
+
+def _variants(spark: SparkSession, sf_dir: str, which: str) -> DataFrame:
+    docs = load(spark, sf_dir, "documents").select("doc_id", sentences(F.col("text")).alias("s")).where(which)
     copies = docs.select("doc_id", "s", F.explode(F.sequence(F.lit(0).cast("long"), F.col("doc_id") % 5)).alias("k"))
     drop = lambda i: (F.col("doc_id") * 7919 + F.col("k") * 104729 + i.cast("long") * 1299709) % 1000003 % 5 == 0
     kept = F.when(F.col("k") == 0, F.col("s")).otherwise(F.filter("s", lambda x, i: ~drop(i + 1)))
@@ -147,6 +157,7 @@ WORKLOADS = {
     "orders_longtail": orders_longtail,
     "orders_dense": orders_dense,
     "planted_docs": planted_docs,
+    "whole_docs": whole_docs,
     "doc_copies": doc_copies,
     "conversation_stacks": conversation_stacks,
     "event_errors": event_errors,
