@@ -21,7 +21,10 @@ SMALL = EncoderConfig(vocab=10_000, token=16, frame=12, trace=24)
 
 @dataclass
 class TwoStage:
-    """Options of the method. reranker=False leaves the second stage out; tokens: bpe, frame or package."""
+    """Options of the method. reranker=False leaves the second stage out; tokens: bpe, frame or package.
+
+    search: exact, ivf, lsh or sq8. threshold: a fixed one (0 attaches whatever has a candidate, 1 nothing); None takes the best on the validation part.
+    """
 
     encoder: EncoderConfig = SMALL
     training: train.TrainConfig = field(default_factory=lambda: train.TrainConfig(epochs=2, most_rows=1500))
@@ -33,6 +36,7 @@ class TwoStage:
     tokens: str = "bpe"
     cap: int | None = None
     search: str = "exact"
+    threshold: float | None = None
 
     def fit(self, reports: DataFrame) -> Fitted:
         """Train on the training part only: vocabulary, pairs and triplets."""
@@ -83,6 +87,10 @@ class Fitted:
         if o.search == "ivf":
             centroids, cells = index.ivf_build(base, 16)
             found = index.ivf_topk(q, cells, centroids, o.k, 6)
+        elif o.search == "lsh":
+            found = index.lsh_topk(q, base, o.k, width=self.embedding.width)
+        elif o.search == "sq8":
+            found = index.sq8_topk(q, base, o.k)
         else:
             found = index.exact_topk(q, base, o.k)
         return found.select(F.col("q_id").alias("q_fp"), F.col("c_id").alias("c_fp"), "score")
@@ -98,6 +106,10 @@ class Fitted:
         return replay.outcomes(queries, replay.ranked(replay.category_scores(found)))
 
     def decisions(self, reports: DataFrame) -> DataFrame:
-        """Outcomes of the test part with the action, by the threshold that is best on the validation part."""
-        t = written(best_threshold(self.outcomes(reports, "validation")), "threshold")
+        """Outcomes of the test part with the action, by the option's threshold or the one that is best on the validation part."""
+        fixed = self.options.threshold
+        if fixed is not None:
+            t = reports.sparkSession.range(1).select(F.lit(float(fixed)).alias("threshold"))
+        else:
+            t = written(best_threshold(self.outcomes(reports, "validation")), "threshold")
         return decide(self.outcomes(reports, "test"), t)
