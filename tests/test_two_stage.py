@@ -9,7 +9,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from tracegroup.functions.frames import fingerprint
-from tracegroup.operators import chronology, metrics, train
+from tracegroup.operators import chronology, metrics, pairs, train
 from tracegroup.operators.baselines import traces_of
 from tracegroup.operators.encoder import EncoderConfig
 from tracegroup.plans.two_stage import TwoStage
@@ -114,3 +114,37 @@ def test_training_on_tasks_equals_training_on_the_driver(reports, fitted, spark)
     adam.step(grads)
     assert abs(log[0] - loss) < 1e-9
     assert all(np.allclose(model.params[k], own.params[k], atol=1e-9) for k in own.params)
+
+
+def test_reranker_on_tasks_equals_the_driver(reports, fitted, spark):
+    config = train.TrainConfig(epochs=1, batch=1000, rate=1e-2, task_steps=1)
+    old = reports.where("part = 'train'")
+    drawn = written(pairs.triplets(pairs.positive_pairs(old, 1), old), "triplets-test")
+    dealt = train.token_batches(drawn, fitted.toks, ("anchor", "positive", "negative"), config)
+    model, log = train.fit_reranker_on_tasks(dealt, SMALL, config, steps=1)
+    own = train.CrossEncoder(SMALL)
+    rows = dealt.orderBy("category_id").collect()
+    assert len(rows) == drawn.count() > 10 and {r["batch"] for r in rows} == {0}
+    loss, grads = train.triplet_step(own, *[[train.as_bytes(r[c]) for r in rows] for c in ("anchor", "positive", "negative")])
+    train.Adam(own.params, config.rate).step(grads)
+    assert abs(log[0] - loss) < 1e-9
+    assert all(np.allclose(model.params[k], own.params[k], atol=1e-6) for k in own.params)
+
+
+def test_every_pair_is_read_once_an_epoch(reports, fitted):
+    config = train.TrainConfig(batch=16, task_steps=3)
+    drawn = written(pairs.positive_pairs(reports.where("part = 'train'"), 20), "pairs-test")
+    dealt = train.token_batches(drawn, fitted.toks, ("anchor", "positive"), config)
+    assert dealt.count() == drawn.count()
+    sizes = {r["batch"]: (r["n"], r["turns"]) for r in dealt.groupBy("batch").agg(F.count("*").alias("n"), F.collect_set("turn").alias("turns")).collect()}
+    assert all(turns == [b % 3] for b, (_, turns) in sizes.items())
+    assert sorted(n for n, _ in sizes.values())[1:] == [16] * (len(sizes) - 1)
+
+
+def test_training_on_tasks_finds_the_category(reports):
+    some = TwoStage(SMALL, train.TrainConfig(epochs=4, batch=32, rate=1e-2, task_steps=8), k=10).fit(reports)
+    assert len(some.log) == len(some.cross_log) == 32
+    assert np.mean(some.log[-3:]) < np.mean(some.log[:3]) and np.mean(some.cross_log[-3:]) < np.mean(some.cross_log[:3])
+    assert metrics.acc_at_1(replace_cross(some, None).outcomes(reports)).first()["acc_at_1"] > 0.6
+    logged = train.loss_table(reports.sparkSession, {"embedding": some.log, "reranker": some.cross_log})
+    assert logged.count() == 64 and logged.columns == ["model", "step", "loss"]

@@ -2,22 +2,27 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tracegroup.operators.encoder import CrossEncoder, EncoderConfig, TraceEncoder, dump, restore, unit, unit_back
 from tracegroup.operators.losses import bce_pair, info_nce
 from tracegroup.operators.nn import Adam, Arrays
+from tracegroup.operators.pairs import batches
+from tracegroup.sources.storage import written
 
 
 @dataclass(frozen=True)
 class TrainConfig:
-    """most_rows bounds the pairs or triplets that the fit reads, in an order of hashes."""
+    """most_rows bounds the pairs or triplets that a fit on the driver reads, in an order of hashes.
+
+    task_steps above 0 trains on the tasks instead, over all pairs: that many steps an epoch, each over an equal share of the batches.
+    """
 
     epochs: int = 3
     batch: int = 64
@@ -27,6 +32,7 @@ class TrainConfig:
     mask_same_category: bool = False
     most_rows: int = 20_000
     seed: int = 5
+    task_steps: int = 0
 
 
 def tokenised(traces: DataFrame, tokens: DataFrame, pieces) -> DataFrame:
@@ -111,44 +117,69 @@ def fit_reranker(triplets: DataFrame, toks: DataFrame, encoder: EncoderConfig, c
     return model, log
 
 
-def fit_embedding_on_tasks(batches: DataFrame, encoder: EncoderConfig, config: TrainConfig = TrainConfig(), steps: int = 5) -> tuple[TraceEncoder, list[float]]:
-    """Synchronous data-parallel training on (batch, category_id, anchor, positive), anchor and positive being token arrays.
+def token_batches(rows: DataFrame, toks: DataFrame, names: tuple[str, ...], config: TrainConfig) -> DataFrame:
+    """(batch, turn, category_id, a trace's tokens per name): every drawn row with its traces, dealt to batches; `turn` is the step of an epoch that reads the batch.
 
-    Each step broadcasts the weights, every task adds up the gradients of its batches, and one row per task
-    comes back: what reaches the driver grows with the tasks and the model, not with the pairs.
+    rows name traces as anchor_fp, positive_fp and so on. Written, sorted by turn, so that a step scans its own part.
+    """
+    dealt = batches(rows, config.batch, config.seed).select("batch", F.pmod("batch", F.lit(config.task_steps)).cast("int").alias("turn"), "category_id", *[f"{n}_fp" for n in names])
+    for n in names:
+        dealt = dealt.join(toks.select(F.col("fp").alias(f"{n}_fp"), F.col("toks").alias(n)), f"{n}_fp")
+    return written(dealt.select("batch", "turn", "category_id", *names).repartition("batch").sortWithinPartitions("turn", "batch"), "train-batches")
+
+
+def _on_tasks(model, remade: Callable, step: Callable, rows: DataFrame, config: TrainConfig, steps: int, partial_sums: int = 16) -> list[float]:
+    """Move the model by `steps` steps, each over the batches of its turn (all rows where there is no turn). Gives the loss of every step.
+
+    Each step broadcasts the weights and every task adds up the gradients of its batches; a second round adds
+    those up to `partial_sums` rows, so what reaches the driver grows with the model alone.
     """
-    model = TraceEncoder(encoder)
     adam, log = Adam(model.params, config.rate), []
-    spark = batches.sparkSession
-    dealt = batches.repartition("batch").sortWithinPartitions("batch")
-    for _ in range(steps):
+    spark = rows.sparkSession
+
+    def summed(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total: Arrays = {}
+        loss = n = 0.0
+        for b in it:
+            for r in b.to_pylist():
+                for k, g in restore(r["grads"]).items():
+                    total[k] = total.get(k, 0) + g
+                loss, n = loss + r["loss"], n + r["n"]
+        if n:
+            yield pa.RecordBatch.from_pydict({"grads": [dump(total)], "loss": [loss], "n": [n]})
+
+    for at in range(steps):
         shared = spark.sparkContext.broadcast(dump(model.params))
 
         def run(it: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
-            own = TraceEncoder(encoder, restore(shared.value))
+            own = remade(restore(shared.value))
             total: Arrays = {}
             loss = n = 0.0
             held: list[dict] = []
 
-            def add(rows: list[dict]) -> None:
+            def add(batch: list[dict]) -> None:
                 nonlocal loss, n
-                if len(rows) > 1:
-                    one, grads = contrastive_step(own, [as_bytes(r["anchor"]) for r in rows], [as_bytes(r["positive"]) for r in rows], [r["category_id"] for r in rows], config)
-                    loss, n = loss + one, n + 1
-                    for k, g in grads.items():
+                found = step(own, batch)
+                if found is not None:
+                    loss, n = loss + found[0], n + 1
+                    for k, g in found[1].items():
                         total[k] = total.get(k, 0) + g
 
-            for batch in it:
-                for r in batch.to_pylist():
+            for b in it:
+                for r in b.to_pylist():
                     if held and held[-1]["batch"] != r["batch"]:
                         add(held)
                         held = []
                     held.append(r)
-            add(held)
+            if held:
+                add(held)
             if n:
                 yield pa.RecordBatch.from_pydict({"grads": [dump(total)], "loss": [loss], "n": [n]})
 
-        got = dealt.mapInArrow(run, "grads binary, loss double, n double").toLocalIterator()
+        turn = rows.where(F.col("turn") == at % config.task_steps) if "turn" in rows.columns else rows
+        own_rows = turn.repartition("batch").sortWithinPartitions("batch")
+        shape = "grads binary, loss double, n double"
+        got = own_rows.mapInArrow(run, shape).repartition(partial_sums).mapInArrow(summed, shape).collect()
         total: Arrays = {}
         loss = n = 0.0
         for r in got:
@@ -159,7 +190,34 @@ def fit_embedding_on_tasks(batches: DataFrame, encoder: EncoderConfig, config: T
             adam.step({k: g / n for k, g in total.items()})
             log.append(loss / n)
         shared.unpersist()
-    return model, log
+    return log
+
+
+def fit_embedding_on_tasks(batches: DataFrame, encoder: EncoderConfig, config: TrainConfig = TrainConfig(), steps: int = 5) -> tuple[TraceEncoder, list[float]]:
+    """Synchronous data-parallel training on (batch, category_id, anchor, positive), anchor and positive being token arrays."""
+    model = TraceEncoder(encoder)
+
+    def step(own: TraceEncoder, rows: list[dict]):
+        if len(rows) < 2:
+            return None
+        return contrastive_step(own, [as_bytes(r["anchor"]) for r in rows], [as_bytes(r["positive"]) for r in rows], [r["category_id"] for r in rows], config)
+
+    return model, _on_tasks(model, lambda params: TraceEncoder(encoder, params), step, batches, config, steps)
+
+
+def fit_reranker_on_tasks(batches: DataFrame, encoder: EncoderConfig, config: TrainConfig = TrainConfig(), steps: int = 5, use_marker: bool = True) -> tuple[CrossEncoder, list[float]]:
+    """The same for the reranker, on (batch, anchor, positive, negative)."""
+    model = CrossEncoder(encoder, use_marker=use_marker)
+
+    def step(own: CrossEncoder, rows: list[dict]):
+        return triplet_step(own, *[[as_bytes(r[c]) for r in rows] for c in ("anchor", "positive", "negative")])
+
+    return model, _on_tasks(model, lambda params: CrossEncoder(encoder, params, use_marker), step, batches, config, steps)
+
+
+def loss_table(spark: SparkSession, logs: dict[str, list[float]]) -> DataFrame:
+    """(model, step, loss): the logs of fits, a row per step."""
+    return spark.createDataFrame([(name, i, float(x)) for name, log in logs.items() for i, x in enumerate(log)], "model string, step int, loss double")
 
 
 def embed_all(toks: DataFrame, model: TraceEncoder, batch: int = 256, scaled: bool = True) -> DataFrame:

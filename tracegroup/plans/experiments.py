@@ -5,6 +5,7 @@ Each gives plain rows; `python -m tracegroup.plans.experiments NAME SF_DIR` prin
 
 from __future__ import annotations
 
+import os
 import sys
 import time
 from collections.abc import Callable
@@ -88,28 +89,6 @@ def variants(spark: SparkSession, sf_dir: str, name: str = "planted_docs") -> li
     return [{"variant": v} | _measured(o.fit(reports).outcomes(reports)) for v, o in tried.items()]
 
 
-def unknown_rate(spark: SparkSession, sf_dir: str, name: str = "planted_docs") -> list[dict]:
-    """Share of test frames that a closed vocabulary of training frames does not know; byte-pair tokens know every sign seen."""
-    reports = kept(spark, sf_dir, name)
-    flat = reports.select("part", F.explode("frames").alias("frame"))
-    known = flat.where("part = 'train'").select("frame").distinct().withColumn("known", F.lit(1))
-    signs = flat.where("part = 'train'").select(F.explode(F.split("frame", "")).alias("sign")).distinct().withColumn("known", F.lit(1))
-    test = flat.where("part = 'test'")
-    rate = lambda t, on, k: t.join(k, on, "left").agg(F.round(F.avg(F.col("known").isNull().cast("double")), 6)).first()[0]
-    return [{"tokenizer": "frames", "unknown_rate": rate(test, "frame", known)}, {"tokenizer": "byte pairs", "unknown_rate": rate(test.select(F.explode(F.split("frame", "")).alias("sign")), "sign", signs)}]
-
-
-def position_effect(spark: SparkSession, sf_dir: str) -> list[dict]:
-    """Acc@1 on orders_dense by where the first deciding frame stands."""
-    reports = kept(spark, sf_dir, "orders_dense")
-    place = reports.select(F.col("arrival_seq").alias("query_seq"), F.floor((F.array_position(F.transform("frames", lambda f: F.contains(f, F.lit(".PROMO."))), True) - 1) / 2).alias("bucket"))
-    rows = []
-    for system in ("overlap", "align", "prefix"):
-        o = replay.run(reports, scorer(system, reports)).where("not is_new").join(place, "query_seq")
-        rows += [{"system": system} | r.asDict() for r in o.groupBy("bucket").agg(F.round(F.avg(F.col("correct").cast("double")), 4).alias("acc_at_1"), F.count("*").alias("n")).orderBy("bucket").collect()]
-    return rows
-
-
 def timed(make: Callable[[], DataFrame], runs: int = 3) -> float:
     """Median seconds of running a plan, after a warm-up."""
     run_only(make())
@@ -137,7 +116,21 @@ def time_per_report(spark: SparkSession, sf_dir: str, name: str = "orders_longta
     return out | {"reranking": rerank, "two-stage": round(out["embedding only"] + rerank, 4), "test reports": n}
 
 
-EXPERIMENTS = {f.__name__: f for f in (accuracy, candidates_kept, variants, unknown_rate, position_effect)}
+def scaling(spark: SparkSession, sf_dir: str, name: str = "orders_longtail", folders: tuple[str, ...] = ("sf0.001", "sf0.01", "sf0.1")) -> list[dict]:
+    """Time and pair comparisons per report over folders beside sf_dir, by the number of earlier distinct traces."""
+    rows = []
+    for folder in folders:
+        reports = kept(spark, os.path.join(os.path.dirname(sf_dir.rstrip("/")), folder), name)
+        queries = written(ch.queries_of(reports), "queries")
+        traces, asked = written(baselines.traces_of(reports), "traces"), written(baselines.traces_of(queries), "asked")
+        n = max(1, queries.count())
+        for system in ("overlap", "tfidf", "align", "prefix"):
+            pairs = scorer(system, reports)(asked, traces)
+            rows.append({"folder": folder, "system": system, "n_index": traces.count(), "ms_per_report": round(1000 * timed(lambda pairs=pairs: pairs, 1) / n, 4)} | metrics.work_counters(pairs, queries).first().asDict())
+    return rows
+
+
+EXPERIMENTS = {f.__name__: f for f in (accuracy, candidates_kept, variants, scaling)}
 
 if __name__ == "__main__":
     session = SparkSession.builder.master("local[*]").config("spark.driver.memory", "8g").config("spark.sql.shuffle.partitions", "8").config("spark.ui.showConsoleProgress", "false").getOrCreate()

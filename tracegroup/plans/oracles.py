@@ -84,6 +84,11 @@ def _topk(system: str, name: str) -> str:
     return f"WITH {replayed(name, system)} SELECT query_seq, category_id, round(score, 6) AS score, cand_seq, rank FROM k WHERE rank <= 10"
 
 
+def on_whole_docs(sql: str) -> str:
+    """A twin on planted_docs, on the variants of every document."""
+    return sql.replace(WORKLOADS["planted_docs"], WORKLOADS["whole_docs"])
+
+
 _PAIRS = f"""{reports("planted_docs")},
      tr AS (SELECT DISTINCT category_id, fp FROM r),
      cn AS (SELECT category_id, row_number() OVER (ORDER BY substr(md5(category_id), 1, 2), category_id) - 1 AS cat FROM (SELECT DISTINCT category_id FROM tr)),

@@ -51,21 +51,21 @@ def report_rows(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return wl.reports(spark, sf_dir, name).select("report_id", "arrival_seq", F.size("frames").cast("long").alias("n_frames"), "fp", "category_id")
 
 
-def fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return wl.reports(spark, sf_dir, "planted_docs").groupBy("fp").agg(F.count("*").alias("n_reports"), F.min("arrival_seq").alias("first_seq"))
+def fingerprints(spark: SparkSession, sf_dir: str, name: str = "planted_docs") -> DataFrame:
+    return wl.reports(spark, sf_dir, name).groupBy("fp").agg(F.count("*").alias("n_reports"), F.min("arrival_seq").alias("first_seq"))
 
 
-def identical_shortcut(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return ch.identical_shortcut(kept(spark, sf_dir, "planted_docs"))
+def identical_shortcut(spark: SparkSession, sf_dir: str, name: str = "planted_docs") -> DataFrame:
+    return ch.identical_shortcut(kept(spark, sf_dir, name))
 
 
-def skip_identical(spark: SparkSession, sf_dir: str) -> DataFrame:
-    q = ch.queries_of(kept(spark, sf_dir, "planted_docs"))
+def skip_identical(spark: SparkSession, sf_dir: str, name: str = "planted_docs") -> DataFrame:
+    q = ch.queries_of(kept(spark, sf_dir, name))
     return q.select("report_id", "arrival_seq", "is_new")
 
 
-def chrono_split(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return wl.reports(spark, sf_dir, "planted_docs").select("report_id", "arrival_seq", "part")
+def chrono_split(spark: SparkSession, sf_dir: str, name: str = "planted_docs") -> DataFrame:
+    return wl.reports(spark, sf_dir, name).select("report_id", "arrival_seq", "part")
 
 
 def shared_traces(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -117,21 +117,21 @@ def bpe_encoded_lengths(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encoded(counts, bpe.train(counts)).select("piece", F.size("tokens").alias("n_tokens"))
 
 
-def positive_pair_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return pairs.positive_pairs(kept(spark, sf_dir, "planted_docs"), CAP, SEED).groupBy("category_id").agg(F.count("*").alias("n_pairs"))
+def positive_pair_counts(spark: SparkSession, sf_dir: str, name: str = "planted_docs") -> DataFrame:
+    return pairs.positive_pairs(kept(spark, sf_dir, name), CAP, SEED).groupBy("category_id").agg(F.count("*").alias("n_pairs"))
 
 
-def positive_pairs_capped(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return pairs.positive_pairs(kept(spark, sf_dir, "planted_docs"), CAP, SEED)
+def positive_pairs_capped(spark: SparkSession, sf_dir: str, name: str = "planted_docs") -> DataFrame:
+    return pairs.positive_pairs(kept(spark, sf_dir, name), CAP, SEED)
 
 
-def pair_batches(spark: SparkSession, sf_dir: str) -> DataFrame:
-    drawn = pairs.batches(pairs.positive_pairs(kept(spark, sf_dir, "planted_docs"), CAP, SEED), 64, SEED)
+def pair_batches(spark: SparkSession, sf_dir: str, name: str = "planted_docs") -> DataFrame:
+    drawn = pairs.batches(pairs.positive_pairs(kept(spark, sf_dir, name), CAP, SEED), 64, SEED)
     return drawn.select("anchor_fp", "positive_fp", "category_id", "batch", "slot")
 
 
-def triplet_draws(spark: SparkSession, sf_dir: str) -> DataFrame:
-    reports = kept(spark, sf_dir, "planted_docs")
+def triplet_draws(spark: SparkSession, sf_dir: str, name: str = "planted_docs") -> DataFrame:
+    reports = kept(spark, sf_dir, name)
     return pairs.triplets(pairs.positive_pairs(reports, CAP, SEED), reports, SEED)
 
 
@@ -201,8 +201,8 @@ def category_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
     return replay.category_scores(replay.earlier_pairs(q, scored, ch.index_entries(reports)))
 
 
-def _variant_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    r = wl.planted_docs(spark, sf_dir)
+def _variant_pairs(spark: SparkSession, sf_dir: str, name: str = "planted_docs") -> DataFrame:
+    r = wl.WORKLOADS[name](spark, sf_dir)
     side = lambda n, k: r.where(F.col("report_id") % 10 == k).select("category_id", F.col("frames").alias(n))
     return side("q", 1).join(side("k", 0), "category_id")
 
@@ -211,12 +211,12 @@ def _flags(a: str, b: str):
     return F.array_join(F.transform(a, lambda x: F.array_contains(b, x).cast("int").cast("string")), "")
 
 
-def shared_frame_flags(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _variant_pairs(spark, sf_dir).select("category_id", _flags("q", "k").alias("query_flags"), _flags("k", "q").alias("candidate_flags"))
+def shared_frame_flags(spark: SparkSession, sf_dir: str, name: str = "planted_docs") -> DataFrame:
+    return _variant_pairs(spark, sf_dir, name).select("category_id", _flags("q", "k").alias("query_flags"), _flags("k", "q").alias("candidate_flags"))
 
 
-def shared_frame_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _variant_pairs(spark, sf_dir).select("category_id", F.size(F.filter("q", lambda x: F.array_contains("k", x))).cast("long").alias("in_query"), F.size(F.filter("k", lambda x: F.array_contains("q", x))).cast("long").alias("in_candidate"))
+def shared_frame_counts(spark: SparkSession, sf_dir: str, name: str = "planted_docs") -> DataFrame:
+    return _variant_pairs(spark, sf_dir, name).select("category_id", F.size(F.filter("q", lambda x: F.array_contains("k", x))).cast("long").alias("in_query"), F.size(F.filter("k", lambda x: F.array_contains("q", x))).cast("long").alias("in_candidate"))
 
 
 def _topk(system: str, name: str, spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -246,8 +246,8 @@ def roc_auc(name: str, spark: SparkSession, sf_dir: str) -> DataFrame:
     return _each_system(spark, sf_dir, name, metrics.roc_auc)
 
 
-def acc_at_k(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _each_system(spark, sf_dir, "planted_docs", metrics.acc_at_k)
+def acc_at_k(spark: SparkSession, sf_dir: str, name: str = "planted_docs") -> DataFrame:
+    return _each_system(spark, sf_dir, name, metrics.acc_at_k)
 
 
 def roc_points(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -262,13 +262,13 @@ def best_threshold(name: str, spark: SparkSession, sf_dir: str) -> DataFrame:
     return metrics.best_threshold(outcome(spark, sf_dir, name, "overlap", "validation"))
 
 
-def decisions(spark: SparkSession, sf_dir: str) -> DataFrame:
-    t = written(best_threshold("planted_docs", spark, sf_dir), "threshold")
-    return decide.decide(outcome(spark, sf_dir, "planted_docs", "overlap"), t).select("query_seq", "true_category", "is_new", "predicted", F.round("score", 6).alias("score"), "action")
+def decisions(spark: SparkSession, sf_dir: str, name: str = "planted_docs") -> DataFrame:
+    t = written(best_threshold(name, spark, sf_dir), "threshold")
+    return decide.decide(outcome(spark, sf_dir, name, "overlap"), t).select("query_seq", "true_category", "is_new", "predicted", F.round("score", 6).alias("score"), "action")
 
 
-def skip_rule_effect(spark: SparkSession, sf_dir: str) -> DataFrame:
-    reports = kept(spark, sf_dir, "planted_docs")
+def skip_rule_effect(spark: SparkSession, sf_dir: str, name: str = "planted_docs") -> DataFrame:
+    reports = kept(spark, sf_dir, name)
     out = None
     for skip in (True, False):
         row = metrics.acc_at_1(replay.run(reports, baselines.set_overlap, skip_identical=skip)).select(F.lit(skip).alias("skip"), "*")
@@ -276,14 +276,14 @@ def skip_rule_effect(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out
 
 
-def category_roots(spark: SparkSession, sf_dir: str) -> DataFrame:
-    o = outcome(spark, sf_dir, "planted_docs", "overlap")
+def category_roots(spark: SparkSession, sf_dir: str, name: str = "planted_docs") -> DataFrame:
+    o = outcome(spark, sf_dir, name, "overlap")
     return resolve_roots(o.select(F.col("query_seq").alias("report"), F.when(F.col("score") > 0.5, F.col("best_cand")).alias("parent")))
 
 
-def curate_reviewed(spark: SparkSession, sf_dir: str) -> DataFrame:
+def curate_reviewed(spark: SparkSession, sf_dir: str, name: str = "planted_docs") -> DataFrame:
     reviewed = load(spark, sf_dir, "labels").select(F.col("doc_id").cast("string").alias("category_id"))
-    return curate.reviewed_only(wl.planted_docs(spark, sf_dir), reviewed).select("report_id", "category_id")
+    return curate.reviewed_only(wl.WORKLOADS[name](spark, sf_dir), reviewed).select("report_id", "category_id")
 
 
 def curate_foreign(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -314,8 +314,8 @@ def new_category_rate_hourly(spark: SparkSession, sf_dir: str) -> DataFrame:
     return r.groupBy("hour").agg(F.count("*").alias("n_reports"), F.count(F.when(F.col("is_new"), 1)).alias("n_new"))
 
 
-def moving_acc(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return metrics.moving_accuracy(outcome(spark, sf_dir, "planted_docs", "overlap"))
+def moving_acc(spark: SparkSession, sf_dir: str, name: str = "planted_docs") -> DataFrame:
+    return metrics.moving_accuracy(outcome(spark, sf_dir, name, "overlap"))
 
 
 def session_traces(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -336,17 +336,17 @@ def arrival_gaps(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def embedding_pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
-    reports = kept(spark, sf_dir, "planted_docs")
+    reports = kept(spark, sf_dir, "whole_docs")
     return TwoStage(reranker=False, sep=None).fit(reports).decisions(reports)
 
 
 def two_stage_pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
-    reports = kept(spark, sf_dir, "planted_docs")
+    reports = kept(spark, sf_dir, "whole_docs")
     return TwoStage(sep=None).fit(reports).decisions(reports)
 
 
 def _found(search: Callable, spark: SparkSession, sf_dir: str) -> DataFrame:
-    reports = kept(spark, sf_dir, "planted_docs")
+    reports = kept(spark, sf_dir, "whole_docs")
     q = ch.queries_of(reports)
     return replay.outcomes(q, replay.ranked(replay.category_scores(replay.earlier_pairs(q, search(reports, q), ch.index_entries(reports)))))
 
@@ -359,6 +359,10 @@ def package_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _found(neural_baselines.package_vectors, spark, sf_dir)
 
 
+#: Queries on planted_docs that also run on the variants of every document, as NAME_whole_docs.
+ON_WHOLE_DOCS = (fingerprints, identical_shortcut, skip_identical, chrono_split, positive_pair_counts, positive_pairs_capped, pair_batches, triplet_draws, shared_frame_flags, shared_frame_counts, acc_at_k, decisions, skip_rule_effect, category_roots, curate_reviewed, moving_acc)
+
+
 def queries() -> dict[str, Query]:
     found: dict[str, Query] = {f"reports_{name}": partial(_named(report_rows), name) for name in REPORT_TABLES}
     for f in (fingerprints, identical_shortcut, skip_identical, chrono_split, shared_traces, dataset_stats, frame_parts, bpe_piece_counts, bpe_first_pairs, bpe_merges, bpe_encoded_lengths, positive_pair_counts, positive_pairs_capped, pair_batches, triplet_draws, info_nce_on_embeddings, bce_on_embeddings, exact_topk_embeddings, causal_best_match, ivf_full_probe, ann_recall, lsh_bucket_keys, category_scores, shared_frame_flags, shared_frame_counts, char_edit_distance, llm_concat_text, acc_at_k, roc_points, decisions, skip_rule_effect, category_roots, curate_reviewed, curate_foreign, benchmark_probe, acc_rollup_region, acc_pivot, new_category_rate_hourly, moving_acc, session_traces, burst_windows, arrival_gaps, pairwise_frames, package_vectors, embedding_pipeline, two_stage_pipeline):
@@ -372,7 +376,9 @@ def queries() -> dict[str, Query]:
     for name in ("orders_longtail", "planted_docs", "conversation_stacks"):
         found[f"acc_at_1_{name}"] = partial(acc_at_1, name)
         found[f"roc_auc_{name}"] = partial(roc_auc, name)
-    for name in ("orders_longtail", "planted_docs"):
+    for f in ON_WHOLE_DOCS:
+        found[f"{f.__name__}_whole_docs"] = partial(f, name="whole_docs")
+    for name in ("orders_longtail", "planted_docs", "whole_docs"):
         found[f"f1_curve_{name}"] = partial(f1_curve, name)
         found[f"best_threshold_{name}"] = partial(best_threshold, name)
     return found

@@ -59,9 +59,15 @@ class TwoStage:
         toks = written(train.tokenised(traces, tokens, cut), "trace-tokens")
         cap = self.cap or pairs.default_cap(old)
         drawn = written(pairs.positive_pairs(old, cap), "train-pairs")
-        embedding, log = train.fit_embedding(drawn, toks, self.encoder, self.training)
+        steps = self.training.task_steps * self.training.epochs
+        if steps:
+            embedding, log = train.fit_embedding_on_tasks(train.token_batches(drawn, toks, ("anchor", "positive"), self.training), self.encoder, self.training, steps)
+        else:
+            embedding, log = train.fit_embedding(drawn, toks, self.encoder, self.training)
         cross, cross_log = (None, [])
-        if self.reranker:
+        if self.reranker and steps:
+            cross, cross_log = train.fit_reranker_on_tasks(train.token_batches(pairs.triplets(drawn, old), toks, ("anchor", "positive", "negative"), self.training), self.encoder, self.training, steps, self.use_marker)
+        elif self.reranker:
             cross, cross_log = train.fit_reranker(pairs.triplets(drawn, old), toks, self.encoder, self.training, self.use_marker)
         vectors = written(train.embed_all(toks, embedding), "trace-vectors")
         return Fitted(self, model, toks, vectors, embedding, cross, log, cross_log)
