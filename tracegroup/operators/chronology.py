@@ -5,23 +5,23 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from tracegroup.sources.storage import written
+
 PARTS = (0.7, 0.1, 0.2)
 
 
-def numbered(reports: DataFrame, bucket_of: int = 1_000_003) -> DataFrame:
+def numbered(reports: DataFrame) -> DataFrame:
     """reports with arrival_seq, 1, 2, … by (arrival, report_id).
 
-    A rank within time buckets plus the number of reports in earlier buckets: only the bucket counts, not
-    the reports, meet in one task. Buckets are `arrival` divided by a span that keeps them to about bucket_of.
+    Reports are dealt out by ranges of (arrival, report_id), so that many of one arrival are spread too; a rank
+    within a range is added to the number of reports in earlier ranges, and only those counts meet in one task.
+    The ranges come from a sample, hence they are written once and not drawn again.
     """
-    ends = reports.agg(F.min("arrival").alias("low"), F.max("arrival").alias("high"))
-    wide = reports.join(F.broadcast(ends), F.lit(True))
-    span = F.greatest(F.ceil((F.col("high") - F.col("low") + 1) / F.lit(min(bucket_of, 4096))), F.lit(1))
-    wide = wide.withColumn("bucket", F.floor((F.col("arrival") - F.col("low")) / span).cast("long")).drop("low", "high")
-    sizes = wide.groupBy("bucket").agg(F.count("*").alias("n"))
-    before = sizes.select("bucket", F.coalesce(F.sum("n").over(Window.orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("before"))
-    rank = F.row_number().over(Window.partitionBy("bucket").orderBy("arrival", "report_id"))
-    return wide.withColumn("rank", rank).join(before, "bucket").withColumn("arrival_seq", (F.col("before") + F.col("rank")).cast("long")).drop("bucket", "rank", "before")
+    dealt = written(reports.repartitionByRange("arrival", "report_id").withColumn("range", F.spark_partition_id()), "arrivals")
+    sizes = dealt.groupBy("range").agg(F.count("*").alias("n"))
+    before = sizes.select("range", F.coalesce(F.sum("n").over(Window.orderBy("range").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("before"))
+    rank = F.row_number().over(Window.partitionBy("range").orderBy("arrival", "report_id"))
+    return dealt.withColumn("rank", rank).join(F.broadcast(before), "range").withColumn("arrival_seq", (F.col("before") + F.col("rank")).cast("long")).drop("range", "rank", "before")
 
 
 def split(reports: DataFrame, parts: tuple[float, float, float] = PARTS) -> DataFrame:
