@@ -14,8 +14,12 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-#: Queries that are held against the base at a time; more are taken in blocks.
-BLOCK = 4096
+#: Queries of a block and base rows of a part: each block meets each part in one task.
+BLOCK, PART = 4096, 65_536
+#: Base rows of a part that are scored at a time.
+SLAB = 2048
+#: (queries, rows) -> scores, a row for each query.
+Similarity = Callable[[np.ndarray, np.ndarray], np.ndarray]
 
 
 def cosine(a: Column, b: Column) -> Column:
@@ -42,54 +46,30 @@ def _best(scores: np.ndarray, k: int) -> np.ndarray:
     return (scores >= kth) & np.isfinite(scores)
 
 
+def _kept(row: np.ndarray, score: np.ndarray, k: int) -> np.ndarray:
+    """Places of the k greatest scores of each row number and of all that equal the k-th."""
+    order = np.lexsort((-score, row))
+    first = np.searchsorted(row[order], row[order], "left")
+    last = np.searchsorted(row[order], row[order], "right") - 1
+    return order[score[order] >= score[order][np.minimum(first + k - 1, last)]]
+
+
 def merged(found: DataFrame, k: int) -> DataFrame:
     w = Window.partitionBy("q_id").orderBy(F.desc("score"), "c_seq", "c_id")
     return found.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("q_id", "c_id", "score", "rank")
 
 
-def exact_topk(queries: DataFrame, base: DataFrame, k: int, causal: bool = True, similarity: Callable[[np.ndarray, np.ndarray], np.ndarray] | None = None) -> DataFrame:
-    """Every query against every base row: a block of queries is broadcast, each task multiplies its rows and sends on its best.
+def exact_topk(queries: DataFrame, base: DataFrame, k: int, causal: bool = True, similarity: Similarity | None = None) -> DataFrame:
+    """Every query against every base row: blocks of queries and parts of the base form a grid, and a task takes one field of it.
 
-    Blocks of BLOCK queries bound what is broadcast. similarity(queries, rows) may replace the dot products.
+    Nothing but two row counts reaches the driver. The base is sent to each block, the queries to each part; a
+    task holds a block, a part and the scores of a slab. similarity(queries, rows) may replace the dot products.
     """
-    out = None
-    for block in _blocks(queries):
-        shared = queries.sparkSession.sparkContext.broadcast(block)
-
-        def run(it: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
-            q_id, q_seq, q = shared.value
-            for b in it:
-                ids, seq = b.column("id").to_numpy(zero_copy_only=False), b.column("seq").to_numpy()
-                m = _matrix(b.column("vec")).astype(np.float64)
-                s = np.round((similarity or _dots)(q.astype(np.float64), m), 9) if b.num_rows else np.zeros((len(q), 0))
-                if causal:
-                    s = np.where(seq[None, :] < q_seq[:, None], s, -np.inf)
-                i, j = np.nonzero(_best(s, k))
-                yield pa.RecordBatch.from_arrays([pa.array(q_id[i]), pa.array(ids[j]), pa.array(seq[j]), pa.array(s[i, j])], ["q_id", "c_id", "c_seq", "score"])
-
-        kind = base.schema["id"].dataType.simpleString()
-        part = base.select("id", "seq", "vec").mapInArrow(run, f"q_id {kind}, c_id {kind}, c_seq long, score double")
-        out = part if out is None else out.unionByName(part)
-    if out is None:
-        kind = base.schema["id"].dataType.simpleString()
-        return base.sparkSession.createDataFrame([], f"q_id {kind}, c_id {kind}, score double, rank int")
-    return merged(out, k)
-
-
-def _blocks(queries: DataFrame) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
-    held = []
-    for r in queries.select("id", "seq", "vec").toLocalIterator(prefetchPartitions=True):
-        held.append(r)
-        if len(held) == BLOCK:
-            yield _as_block(held)
-            held = []
-    if held:
-        yield _as_block(held)
-
-
-def _as_block(rows: list) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    ids = np.array([r["id"] for r in rows], object if isinstance(rows[0]["id"], str) else np.int64)
-    return ids, np.array([r["seq"] for r in rows], np.int64), np.array([r["vec"] for r in rows], np.float32)
+    blocks = max(1, -(-queries.count() // BLOCK))
+    parts = max(base.sparkSession.sparkContext.defaultParallelism, -(-base.count() // PART))
+    dealt = queries.select("id", "seq", "vec", F.pmod(F.xxhash64("id"), F.lit(blocks)).cast("int").alias("block"))
+    sent = base.select("id", "seq", "vec", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("block"))
+    return merged(_within(dealt, sent, ["block"], k, causal, parts, similarity), k)
 
 
 def kmeans(sample: np.ndarray, cells: int, rounds: int = 12, seed: int = 3) -> np.ndarray:
@@ -132,7 +112,7 @@ def with_cells(vectors: DataFrame, centroids: np.ndarray, nprobe: int) -> DataFr
     return v.mapInArrow(run, f"{', '.join(f'{n} {t}' for n, t in v.dtypes)}, cell int")
 
 
-def _within(left: DataFrame, right: DataFrame, keys: list[str], k: int, causal: bool, salts: int = 1) -> DataFrame:
+def _within(left: DataFrame, right: DataFrame, keys: list[str], k: int, causal: bool, salts: int = 1, similarity: Similarity | None = None) -> DataFrame:
     """Best pairs of rows of equal keys. Base rows of a key are spread over `salts` groups, queries are sent to each."""
     spread = right.withColumn("salt", F.pmod(F.xxhash64("id"), F.lit(salts)).cast("int"))
     sent = left.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
@@ -142,13 +122,18 @@ def _within(left: DataFrame, right: DataFrame, keys: list[str], k: int, causal:
         schema = pa.schema([("q_id", q.schema.field("id").type), ("c_id", q.schema.field("id").type), ("c_seq", pa.int64()), ("score", pa.float64())])
         if not q.num_rows or not c.num_rows:
             return schema.empty_table()
-        c = c.combine_chunks()
-        qv, cv = _matrix(q.column("vec").combine_chunks()), _matrix(c.column("vec").combine_chunks())
-        s = np.round(qv.astype(np.float64) @ cv.T.astype(np.float64), 9)
-        if causal:
-            s = np.where(c.column("seq").to_numpy()[None, :] < q.column("seq").to_numpy()[:, None], s, -np.inf)
-        i, j = np.nonzero(_best(s, k))
-        return pa.table([q.column("id").take(pa.array(i)), c.column("id").take(pa.array(j)), c.column("seq").take(pa.array(j)), pa.array(s[i, j])], schema=schema)
+        qv = _matrix(q.column("vec").combine_chunks()).astype(np.float64)
+        cv, c_seq, q_seq = _matrix(c.column("vec").combine_chunks()), c.column("seq").to_numpy(), q.column("seq").to_numpy()
+        i, j, s = np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)
+        for at in range(0, len(cv), SLAB):
+            part = np.round((similarity or _dots)(qv, cv[at : at + SLAB].astype(np.float64)), 9)
+            if causal:
+                part = np.where(c_seq[None, at : at + SLAB] < q_seq[:, None], part, -np.inf)
+            row, col = np.nonzero(_best(part, k))
+            i, j, s = np.append(i, row), np.append(j, col + at), np.append(s, part[row, col])
+            best = _kept(i, s, k)
+            i, j, s = i[best], j[best], s[best]
+        return pa.table([q.column("id").take(pa.array(i)), c.column("id").take(pa.array(j)), c.column("seq").take(pa.array(j)), pa.array(s)], schema=schema)
 
     by = [*keys, "salt"]
     return sent.groupBy(*by).cogroup(spread.groupBy(*by)).applyInArrow(run, f"q_id {kind}, c_id {kind}, c_seq long, score double")
