@@ -107,8 +107,9 @@ def _in_chunks(given: DataFrame, parallel_bytes: int, base: int, prime: int) ->
 
     step = 1 << 20
     long = given.where(F.octet_length("hashed text") > parallel_bytes).select(F.monotonically_increasing_id().alias("row"), F.col("hashed text").cast("binary").alias("b"))
-    cut = long.select("row", "b", F.explode(F.sequence(F.lit(0), F.octet_length("b") - 1, F.lit(step))).alias("at"))
-    cut = cut.select("row", F.col("at").cast("long").alias("at"), F.expr(f"substring(b, at + 1, {step})").alias("chunk")).repartition("row", "at")
+    # all chunks are cut at once: a row for each offset beside the whole text would copy the text once per chunk
+    pieces = F.transform(F.sequence(F.lit(0), F.octet_length("b") - 1, F.lit(step)), lambda at: F.struct(at.cast("long").alias("at"), F.substring("b", at + 1, step).alias("chunk")))
+    cut = long.select("row", F.explode(pieces).alias("piece")).select("row", "piece.at", "piece.chunk").repartition("row", "at")
     summed = cut.mapInArrow(run, "row long, term long, n long").groupBy("row").agg(F.sum(F.col("term").cast("decimal(38,0)")).alias("t"), F.sum("n").alias("n_bytes"))
     return summed.select((F.col("t") % F.lit(prime).cast("decimal(38,0)")).cast("long").alias("fp"), "n_bytes")
 
