@@ -1,6 +1,7 @@
 import re
 
 import corpus_pipeline as c
+from tests.llm.conftest import ROWS
 from tests.llm.test_ngram_join import brute, shingles
 
 SF = "/root/testdata/sf0.001"
@@ -39,3 +40,27 @@ def test_empty(spark, tmp_path):
     docs = spark.read.parquet(f"{SF}/documents.parquet").where("false")
     for _, stage in c.STAGES:
         assert stage(spark, docs, SF).count() == 0
+
+
+def test_stages_on_odd_rows(spark, odd_docs, tmp_path):
+    """Null and repeated ids, null, empty and long texts, null leaves, columns named like those used inside."""
+    labels = [(i, int(i in (1, 2, 6, 9, 10))) for i in range(1, 11)] + [(None, 1), (3, None)]
+    spark.createDataFrame(labels, "doc_id long, quality int").write.parquet(f"{tmp_path}/labels.parquet")
+    odd_docs.write.parquet(f"{tmp_path}/documents.parquet")
+    docs = spark.read.parquet(f"{tmp_path}/documents.parquet")
+    ids = lambda df: sorted(str(r["doc_id"]) for r in df.collect())
+    judged = c.quality_stage(spark, docs, str(tmp_path))
+    assert judged.columns == docs.columns
+    n = {r["text"]: r["count"] for r in judged.groupBy("text").count().collect()}
+    assert n and all(k == sum(t == text for _, t, _, _ in ROWS) for text, k in n.items())
+    exact = c.exact_stage(spark, docs, str(tmp_path))
+    assert exact.columns == docs.columns and ids(exact) == sorted(["2", "4", "5", "None", "6", "8", "9", "10"])
+    near = c.near_stage(spark, docs, str(tmp_path))
+    assert near.columns == docs.columns and ids(near) == sorted(["1", "3", "4", "5", "6", "7", "9", "None"])
+    mixed = c.mixing_stage(spark, docs, str(tmp_path))
+    words = lambda df: sum(len((r["text"] or "").split()) for r in df.collect())
+    assert mixed.columns == docs.columns and 0.88 * words(docs) <= words(mixed) <= words(docs)
+    packed = c.packing_stage(spark, docs, str(tmp_path))
+    assert sorted(str(r["doc_id"]) for r in packed.where("piece = 0").collect()) == ids(docs)
+    whole = c.run(spark, str(tmp_path)).where("piece = 0")
+    assert set(ids(whole)) <= set(ids(judged)) and whole.count() == whole.select("doc_id").distinct().count()

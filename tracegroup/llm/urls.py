@@ -98,7 +98,9 @@ def judge(pages: DataFrame, rules: Sequence[Rule], globs: Sequence[tuple[str, st
     `#` or the end; without `://`, and for null, both are empty. Of the site rules that fit, the one of the
     highest rank decides (equal ranks: the first given). If none does, `rule` is null and the first fitting
     glob decides, else `otherwise`. A glob that fits beside a site rule is reported but has no effect.
-    Repeated rows stay, other columns are not read.
+    Repeated rows stay, other columns are not read, an empty table gives an empty result. A batch takes one
+    step per byte of its longest URL, but only over the URLs that are that long: the cost is bytes, not rows
+    times the longest.
     """
     ranked = sorted(rules, key=lambda r: -r.rank)
     automaton = Automaton([*ranked, *(Rule(g, v, g, 0) for g, v in globs)])
