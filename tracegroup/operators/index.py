@@ -114,6 +114,8 @@ def with_cells(vectors: DataFrame, centroids: np.ndarray, nprobe: int) -> DataFr
 
 def _within(left: DataFrame, right: DataFrame, keys: list[str], k: int, causal: bool, salts: int = 1, similarity: Similarity | None = None) -> DataFrame:
     """Best pairs of rows of equal keys. Base rows of a key are spread over `salts` groups, queries are sent to each."""
+    # columns of their own on both sides, which may come from one table
+    left, right = (df.select(*[F.col(c).alias(c) for c in df.columns]) for df in (left, right))
     spread = right.withColumn("salt", F.pmod(F.xxhash64("id"), F.lit(salts)).cast("int"))
     sent = left.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
     kind = right.schema["id"].dataType.simpleString()
