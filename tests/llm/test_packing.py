@@ -101,3 +101,16 @@ def least_sequences(h, size):
         room = sum((size - x) * n for x, n in half)
         best = max(best, closed + alone + max(0, -(-(small - room) // size)))
     return best
+
+
+def test_words_are_forgotten_at_the_end_of_a_task():
+    import pyarrow as pa
+
+    tokens = p.WordTokens()
+    texts = ["one two three " * 30000 + "end", "", "four five"]
+    batch = pa.RecordBatch.from_pydict({"id": pa.array([1, 2, 3]), "t": pa.array(texts)})
+    got = list(p.tokenised(iter([batch, batch]), tokens))
+    assert tokens.key is None and len(tokens.ids) == 0
+    ids = [x[a:b] for _, x, c in got for a, b in zip(c[:-1], c[1:], strict=True)]
+    for x, text in zip(ids, texts + texts, strict=True):
+        assert np.array_equal(x, tokens.one(text.encode()))
