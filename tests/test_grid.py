@@ -54,3 +54,14 @@ def test_numbering_shuffles_reports_once(spark):
     assert [x["report_id"] for x in got.orderBy("arrival_seq").collect()] == [i for i, a in sorted(rows, key=lambda x: (x[1], x[0]))]
     assert sorted(x["arrival_seq"] for x in got.collect()) == list(range(1, 501))
     assert "row_number" not in got._jdf.queryExecution().optimizedPlan().toString()
+
+
+def test_nearest_categories_equal_pairs(spark, monkeypatch):
+    monkeypatch.setattr(grid, "PART_POSTINGS", 400)
+    reports = _reports(spark).localCheckpoint()
+    q = ch.queries_of(reports)
+    pairs = baselines.prefix_match(baselines.traces_of(q), baselines.traces_of(reports))
+    want = replay.ranked(replay.category_scores(replay.earlier_pairs(q, pairs, ch.index_entries(reports)))).where("rank <= 3")
+    cols = ["query_seq", "category_id", "score", "cand_seq", "rank"]
+    got = sorted(map(repr, grid.nearest(reports, baselines.prefix_match, 3).select(cols).collect()))
+    assert got == sorted(map(repr, want.select(cols).collect())) and got
