@@ -70,3 +70,15 @@ def test_threads_keep_rows_without_a_place(spark):
     assert len(out) == len(ROWS)
     assert {(r["conv_id"], r["turn"]): r["thread"] for r in out}[1, 3] == 0
     assert all((r["thread"] is None) == (r["conv_id"] is None or r["turn"] is None) for r in out)
+
+
+def test_query_gives_threads_in_order(spark, monkeypatch):
+    """Two threads that take turns in one conversation come back one after the other, answers after what they answer."""
+    from tracegroup.llm import queries
+
+    said = ["first question", "second question", "> first question\nfirst answer", "> second question\nsecond answer", "> first answer\nthanks for the first", "> second answer\nthanks for the second"]
+    df = spark.createDataFrame([(1, i, "user", t) for i, t in enumerate(said)], "conv_id long, turn long, role string, text string").repartition(3)
+    monkeypatch.setattr(queries, "table", lambda *_: df)
+    got = queries.op10_quotes(spark, "")
+    assert [r["turn"] for r in got.collect()] == [0, 2, 4, 1, 3, 5]
+    assert "thread" not in got.columns

@@ -115,16 +115,23 @@ def threads(linked: DataFrame) -> DataFrame:
     """linked with `thread`, the turn that the chain of answers begins with, and its own turn for a message that answers none.
 
     (conv_id, thread, turn) is an order in which each thread stands together and an answer follows its original. Chains are
-    followed by pointer doubling over (conv_id, turn), so no conversation is gathered. Rows of null conversation or turn have no thread.
+    followed by pointer doubling over the (conv_id, turn) of answers, so no conversation is gathered; a turn that is no answer ends
+    a chain. Rows of null conversation or turn have no thread.
     """
     key = lambda turn: F.struct("conv_id", F.col(turn).alias("turn"))
-    known = linked.where("conv_id is not null and turn is not null").groupBy("conv_id", "turn").agg(F.max("reply_to").alias("reply_to"))
-    roots = resolve_roots(known.select(key("turn").alias("report"), F.when(F.col("reply_to").isNotNull(), key("reply_to")).alias("parent")))
-    named = roots.select(F.col("report.conv_id").alias("c"), F.col("report.turn").alias("t"), F.col("root.turn").alias("thread"))
-    return linked.join(named, (linked["conv_id"] == named["c"]) & (linked["turn"] == named["t"]), "left").drop("c", "t")
+    known = linked.where("conv_id is not null and turn is not null and reply_to is not null").groupBy("conv_id", "turn").agg(F.max("reply_to").alias("reply_to"))
+    roots = resolve_roots(known.select(key("turn").alias("report"), key("reply_to").alias("parent")))
+    named = roots.select(F.col("report.conv_id").alias("c"), F.col("report.turn").alias("t"), F.col("root.turn").alias("root"))
+    own = F.when(F.col("conv_id").isNotNull(), F.coalesce("root", "turn"))
+    return linked.join(named, (linked["conv_id"] == named["c"]) & (linked["turn"] == named["t"]), "left").withColumn("thread", own).drop("c", "t", "root")
+
+
+def in_order(linked: DataFrame) -> DataFrame:
+    """linked in the order of its conversations and, after threads(), of their threads, spread by range."""
+    order = [c for c in ("conv_id", "thread", "turn") if c in linked.columns]
+    return linked.repartitionByRange(*order).sortWithinPartitions(*order)
 
 
 def write_conversations(linked: DataFrame, path: str) -> None:
     """Write rendered messages so that a conversation's turns (or, after threads(), its threads) stand together and in order, spread by range."""
-    order = [c for c in ("conv_id", "thread", "turn") if c in linked.columns]
-    linked.repartitionByRange(*order).sortWithinPartitions(*order).write.mode("overwrite").parquet(path)
+    in_order(linked).write.mode("overwrite").parquet(path)
