@@ -28,3 +28,13 @@ def test_as_of_join_takes_the_latest(spark):
 @pytest.mark.parametrize("master, one", [("local", True), ("local[*]", True), ("local[4,2]", True), ("local-cluster[3,2,1000]", False), ("yarn", False), ("spark://host:7077", False)])
 def test_own_folder_only_on_one_machine(master, one):
     assert storage.on_one_machine(master) == one
+
+
+def test_doc_copies_moves_no_text(spark):
+    """Every shuffle of the categories and, keyed, of the reports carries hashes instead of sentences."""
+    from tracegroup.sources import workloads as wl
+
+    plain, hashed = (wl.doc_copies(spark, "/root/testdata/sf0.001", keyed=k) for k in (False, True))
+    assert dict(hashed.dtypes)["frames"] == "array<bigint>"
+    of = lambda df: sorted(map(tuple, df.select("report_id", "category_id", "n").collect()))
+    assert of(plain.selectExpr("*", "size(frames) as n")) == of(hashed.selectExpr("*", "size(frames) as n"))
