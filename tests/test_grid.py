@@ -111,3 +111,14 @@ def test_parts_are_not_broadcast_to_order_lines(spark):
     for keyed in (False, True):
         plan = wl.orders_longtail(spark, "/root/testdata/sf0.001", keyed)._jdf.queryExecution().executedPlan().toString()
         assert "SortMergeJoin [l_partkey" in plan and "BroadcastHashJoin [l_partkey" not in plan
+
+
+def test_rollup_by_region_reads_lines_once(spark, monkeypatch):
+    from tracegroup.plans import queries
+    from tracegroup.sources import workloads as wl
+
+    read = []
+    load = wl.load
+    monkeypatch.setattr(wl, "load", lambda spark, sf_dir, name: read.append(name) or load(spark, sf_dir, name))
+    assert queries.acc_rollup_region(spark, "/root/testdata/sf0.001").count() > 1
+    assert read.count("lineitem") == 1
