@@ -122,3 +122,30 @@ def test_rollup_by_region_reads_lines_once(spark, monkeypatch):
     monkeypatch.setattr(wl, "load", lambda spark, sf_dir, name: read.append(name) or load(spark, sf_dir, name))
     assert queries.acc_rollup_region(spark, "/root/testdata/sf0.001").count() > 1
     assert read.count("lineitem") == 1
+
+
+def test_orders_in_portions_equal_the_whole(spark, monkeypatch):
+    from tracegroup.sources import workloads as wl
+
+    made, sf = [], "/root/testdata/sf0.001"
+    whole = [sorted(map(repr, t.collect())) for t in wl.keyed(spark, sf, "orders_longtail")]
+    monkeypatch.setattr(wl, "PORTION_ORDERS", 1)
+    monkeypatch.setitem(wl.WORKLOADS, "orders_longtail", lambda *a, **k: made.append(k["portion"]) or wl.orders_longtail(*a, **k))
+    assert [sorted(map(repr, t.collect())) for t in wl.keyed(spark, sf, "orders_longtail")] == whole and whole[0]
+    assert made == [(r, 4) for r in range(4)]
+
+
+def test_written_tables_leave_no_shuffle_files(spark):
+    """They would stay on disk until the driver happens to collect its garbage."""
+    from pathlib import Path
+
+    from tracegroup.sources import storage
+
+    folders = [str(d) for d in spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().localDirs()]
+    files = lambda: {f.name for d in folders for f in Path(d).rglob("shuffle_*.data")}
+    df = spark.range(5000).groupBy((F.col("id") % 700).alias("k")).count()
+    setting = spark.conf.get(storage._CLEANUP)
+    before = files()
+    got = storage.written_in_turn([df, df.selectExpr("k + 700 as k", "count")], "turns")
+    assert not files() - before and got.count() == 1400 and got.dtypes == df.dtypes
+    assert spark.conf.get(storage._CLEANUP) == setting
