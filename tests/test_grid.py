@@ -149,3 +149,53 @@ def test_written_tables_leave_no_shuffle_files(spark):
     got = storage.written_in_turn([df, df.selectExpr("k + 700 as k", "count")], "turns")
     assert not files() - before and got.count() == 1400 and got.dtypes == df.dtypes
     assert spark.conf.get(storage._CLEANUP) == setting
+
+
+def test_search_leaves_out_frames_that_most_entries_have(spark):
+    """Twins share rare frames, all share twenty frequent ones: as many pairs as that are not looked at, and the best are the same."""
+    import numpy as np
+    import pyarrow as pa
+
+    rng, rows = np.random.default_rng(3), []
+    for i in range(300):
+        rare = [1000 + 10 * (i % 150) + j for j in range(5)]
+        rows.append([*range(1, 6), *rare, *rng.permutation(20)[: rng.integers(3, 9)] + 50])
+    hashed = [[int(x) * 0x9E3779B97F4A7C15 % 2**64 >> 1 for x in r] for r in rows]
+    table = lambda rows: pa.table({"keys": pa.array(rows, pa.list_(pa.int64())), "distinct": [len(set(r)) for r in rows], "sum": [0.0] * len(rows), "df": pa.array([[0] * len(r) for r in rows], pa.list_(pa.int64()))})
+    for kernel in ({"kind": "overlap"}, {"kind": "prefix"}, {"kind": "dampened"}, {"kind": "align", "alpha": 1.0, "beta": 2.0, "gamma": 0.1}):
+        entries, asked = grid.Flat(table(hashed[:150])), grid.Flat(table(hashed[150:]))
+        block = grid.Asked(grid.postings(asked, kernel, 100), kernel)
+        at, cand = np.full(150, 1000), np.arange(150)
+        all_of = lambda bound: [np.concatenate(x) for x in zip(*grid._entries_for(entries, block, entries, 100, "sum", None).scored(bound, at, cand), strict=True)]
+        q, c, score = all_of(np.full(150, -1.0))
+        best = np.zeros(150)
+        np.maximum.at(best, q, score)
+        q2, c2, score2 = all_of(best)
+        want = {(a, b, s) for a, b, s in zip(q.tolist(), c.tolist(), score.tolist(), strict=True) if s == best[a]}
+        assert len(q) == 150 * 150 and want <= set(zip(q2.tolist(), c2.tolist(), score2.tolist(), strict=True)) and len(want) >= 150
+        assert kernel["kind"] == "prefix" or len(q2) < 150 * 75
+
+
+def test_keyed_orders_equal_gathered_ones(spark, monkeypatch):
+    from tracegroup.sources import workloads as wl
+
+    monkeypatch.setattr(wl, "GATHERED_LINES", 3)
+    for make in (wl.orders_longtail, wl.orders_dense):
+        want = make(spark, "/root/testdata/sf0.001").collect()
+        got = {r["report_id"]: r for r in make(spark, "/root/testdata/sf0.001", keyed=True).collect()}
+        assert len(want) == len(got) > 0
+        for r in want:
+            g = got[r["report_id"]]
+            assert (g["arrival"], g["category_id"], len(g["frames"])) == (r["arrival"], r["category_id"], len(r["frames"]))
+            assert [k & 1 for k in g["frames"]] == [".PROMO." in f for f in r["frames"]]
+
+
+def test_position_effect_gathers_no_arrays_of_names(spark, monkeypatch):
+    from tracegroup.plans import probes
+    from tracegroup.sources import workloads as wl
+
+    def gathered(*_):
+        raise AssertionError("names gathered")
+
+    monkeypatch.setattr(wl, "in_order", gathered)
+    assert probes.position_effect(spark, "/root/testdata/sf0.001").count() > 1
